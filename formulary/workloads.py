@@ -1,0 +1,5 @@
+"""Every registered workload of the corpus engine."""
+
+from .registry import ORACLES, QUERIES
+
+__all__ = ["ORACLES", "QUERIES"]

@@ -1,15 +1,19 @@
 """Jaccard self-join of word shingle sets with token-combination prefixes.
 
-Shingles (tokens) have one global order: rare ones by hash, then frequent ones by hash. A set's prefix holds so
-many of its first tokens that two sets similar enough must meet in it. Rare tokens of the prefix are indexed one
-by one. Frequent tokens fall into classes; of each class the prefix's tokens are indexed in combinations of two,
-and the prefix is extended, since the first token that a class gives covers nothing. Where a set has too few
-tokens for that, its frequent tokens are also indexed singly, in a list space of their own.
-
-Sets that meet in a list form candidate groups (by edges to the list's first set, not by pairs). Whole sets go
-once to their group, in blocks; a block counts all its intersections and gives each set the least set that it is
-linked to. Groups of several blocks then compare the sets outside the group's largest class with all the others,
-block against block. Nothing is capped, and no step emits the pairs of a group.
+1. Live sets. A set with a partner shares all but a few tokens with it. Over a quarter of the token space, every
+   task sends its tokens as sorted blocks of short fingerprints and learns how many of each set's tokens any other
+   set has; sets with too few can't have a partner. (Equal fingerprints of unlike tokens only let more sets live.)
+2. Order. Of the live sets, the same exchange returns each token's document frequency. Tokens have one global
+   order, the rarest first, then by hash.
+3. Prefixes. A set's prefix holds so many of its first tokens that two sets similar enough must meet in it. Rare
+   tokens of the prefix are indexed one by one. Frequent tokens fall into classes; of each class the prefix's
+   tokens are indexed in combinations of two, and the prefix is extended, since the first token that a class gives
+   covers nothing. Where a set has too few tokens for that, its frequent tokens are also indexed singly, in a list
+   space of their own. A token that no other set has fills its place in the prefix but isn't indexed.
+4. Verification. Sets that meet in a list form candidate groups (by edges to the list's first set, not by pairs).
+   Whole sets go once to their group, in blocks; a block counts all its intersections and gives each set the least
+   set that it is linked to. Groups of several blocks then compare the sets outside the group's largest class with
+   all the others, block against block. Nothing is capped, and no step emits the pairs of a group.
 
 Equal sets are one node. Names of sets are 63-bit hashes of their content.
 """
@@ -24,18 +28,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slabs, discard, edges_to_components, materialise, mix64, utf8_view
+from .common import byte_slabs, edges_to_components, materialise, mix64, utf8_view
 from .shingles import set_names, shingle_sets
 
 WORDS = 4
 PERCENT = 85
-#: A token is frequent if more than this share of the documents, and more than FREQUENT_LEAST, have it in their prefix.
-#: At most (mean prefix length / share) tokens can be frequent, whatever the number of documents.
-FREQUENT_SHARE = 1e-3
-FREQUENT_LEAST = 64
+#: A token is frequent if more live sets than this have it.
+FREQUENT = 64
 CLASSES = 16
 BLOCK = 1000
 _SLAB = 1 << 20
+#: Tokens of one block of the frequency exchanges.
+_CHUNK = 1 << 20
+_QUARTER = np.uint64(3)
 _PAIR, _SINGLE = np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3)
 
 
@@ -44,18 +49,24 @@ def prefix_size(n: np.ndarray | int, percent: int):
     return n - (percent * n + 99) // 100 + 1
 
 
-def combined_keys(tokens: np.ndarray, frequent: np.ndarray, percent: int, classes: int = CLASSES) -> np.ndarray:
-    """Index keys of one set whose prefix reaches frequent tokens. tokens: ascending; frequent: which of them are frequent."""
+def frequency_code(count: np.ndarray) -> np.ndarray:
+    """A byte that rises with the logarithm of a count; 0 for 1."""
+    return np.minimum(np.ceil(12 * np.log2(count)), 255).astype(np.uint8)
+
+
+def prefix_keys(tokens: np.ndarray, code: np.ndarray, percent: int, frequent: int = FREQUENT, classes: int = CLASSES) -> np.ndarray:
+    """Index keys of one set. tokens in global order (ascending code, then value); code: their frequency codes."""
     need = int(prefix_size(len(tokens), percent))
-    rare, common = tokens[~frequent], tokens[frequent]
-    if len(rare) >= need:
-        return rare[:need]
-    need -= len(rare)
+    rare = int(np.searchsorted(code, frequency_code(np.array([frequent]))[0], "right"))
+    alone_in_corpus = int(np.searchsorted(code, 0, "right"))
+    if rare >= need:
+        return tokens[alone_in_corpus:need]
+    first, common, need = tokens[alone_in_corpus:rare], tokens[rare:], need - rare
     group = (mix64(common ^ _PAIR) % np.uint64(classes)).astype(np.int64)
     members: dict[int, list[int]] = {}
     covered = taken = 0
     while covered < need and taken < len(common):
-        covered += group[taken] in members
+        covered += int(group[taken]) in members
         members.setdefault(int(group[taken]), []).append(taken)
         taken += 1
     left, right = [], []
@@ -65,7 +76,7 @@ def combined_keys(tokens: np.ndarray, frequent: np.ndarray, percent: int, classe
             right.append(j)
     pairs = mix64(common[left] * _PAIR + mix64(common[right])) if left else np.empty(0, np.uint64)
     alone = mix64(common[:need] ^ _SINGLE) if covered < need else np.empty(0, np.uint64)
-    return np.concatenate([rare, pairs, alone])
+    return np.concatenate([first, pairs, alone])
 
 
 def similar(sets: list[np.ndarray], percent: int) -> np.ndarray:
@@ -121,52 +132,92 @@ def _described(k: int):
     return run
 
 
-def _prefixes(k: int, percent: int):
-    """Rows (token, node) of the first tokens of every set, by hash."""
+def _blocks(tokens: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """An order of tokens by (bucket, fingerprint), the fingerprints in that order, and the borders of the buckets."""
+    bucket = (tokens >> np.uint64(8)) % np.uint64(buckets)
+    order = np.lexsort((tokens >> np.uint64(32), bucket))
+    return order, (tokens[order] >> np.uint64(32)).astype(np.uint32), np.searchsorted(bucket[order], np.arange(buckets + 1).astype(np.uint64))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set[int] = set()
-        for batch in batches:
-            data, offsets = utf8_view(batch.column(0))
-            for a, b in byte_slabs(offsets, _SLAB):
-                h, at = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], k)
-                node, size = set_names(h, at), np.diff(at)
-                fresh = np.array([x != 0 and not (x in seen or seen.add(x)) for x in node.tolist()], bool)
-                take = np.where(fresh, prefix_size(size, percent), 0)
-                place = np.arange(len(h)) - np.repeat(at[:-1], size)
-                keep = place < np.repeat(take, size)
-                if keep.any():
-                    yield pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(np.repeat(node, take))], ["key", "node"])
 
-    return run
+_SENT = "bucket int, spread long, chunk long, fp binary, idx binary"
 
 
-def _extended(k: int, percent: int, frequent: np.ndarray):
-    """Rows (key, node) of the sets whose first tokens include frequent ones."""
+def _sent(k: int, percent: int, buckets: int):
+    """Texts -> blocks of the fingerprints of a quarter of all tokens, and a row of names for each chunk of sets.
+
+    The row of names (bucket -1) has the sets' names as fp and, as idx, how many shared tokens each needs.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
+        held: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
+
+        def send() -> pa.RecordBatch:
+            names, need, size, tokens = (np.concatenate(x) for x in zip(*held))
+            held.clear()
+            chunk = int(mix64(np.array([names.view(np.uint64).sum() + np.uint64(len(names))], np.uint64))[0] >> np.uint64(1))
+            owner = np.repeat(np.arange(len(size), dtype=np.uint16), size)
+            order, fp, at = _blocks(tokens, buckets)
+            owner = owner[order]
+            used = np.flatnonzero(np.diff(at))
+            rows = [(-1, chunk, chunk, names.tobytes(), need.astype(np.int32).tobytes()), *((int(b), 0, chunk, fp[at[b] : at[b + 1]].tobytes(), owner[at[b] : at[b + 1]].tobytes()) for b in used)]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary()))], ["bucket", "spread", "chunk", "fp", "idx"])
+
         for batch in batches:
             data, offsets = utf8_view(batch.column(0))
             for a, b in byte_slabs(offsets, _SLAB):
                 h, at = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], k)
-                if not len(h):
-                    continue
-                known = frequent[np.minimum(np.searchsorted(frequent, h), len(frequent) - 1)] == h
-                node, need = set_names(h, at).tolist(), prefix_size(np.diff(at), percent)
-                before = np.concatenate([[0], np.cumsum(known)])
-                keys, nodes = [], []
-                for i in np.flatnonzero((before[np.minimum(at[:-1] + need, at[1:])] > before[at[:-1]]) & (np.diff(at) > 0)).tolist():
-                    if node[i] not in seen:
-                        seen.add(node[i])
-                        keys.append(combined_keys(h[at[i] : at[i + 1]], known[at[i] : at[i + 1]], percent))
-                        nodes.append(np.full(len(keys[-1]), node[i], np.int64))
-                if keys:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.concatenate(nodes))], ["key", "node"])
+                node, size = set_names(h, at), np.diff(at)
+                fresh = np.array([x != 0 and not (x in seen or seen.add(x)) for x in node.tolist()], bool)
+                quarter = (h & _QUARTER) == 0
+                inside = np.concatenate([[0], np.cumsum(quarter)])
+                inside = inside[at[1:]] - inside[at[:-1]]
+                keep = quarter & np.repeat(fresh, size)
+                held.append((node[fresh], (inside - prefix_size(size, percent) + 1)[fresh], inside[fresh], h[keep]))
+                if sum(len(x[3]) for x in held) >= _CHUNK or sum(len(x[0]) for x in held) > 50_000:
+                    yield send()
+        if any(len(x[0]) for x in held):
+            yield send()
 
     return run
 
 
+def _shared_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Blocks in runs of one bucket -> (chunk, i, node, need, got): names as they come, and how many tokens of a set others have too."""
+
+    def out(chunk, i, node, need, got) -> pa.RecordBatch:
+        n = len(i)
+        cols = [pa.array(np.broadcast_to(chunk, n).astype(np.int64)), pa.array(i.astype(np.int32)), pa.array(node, pa.int64()) if node is not None else pa.nulls(n, pa.int64()), pa.array(need, pa.int32()) if need is not None else pa.nulls(n, pa.int32()), pa.array(got, pa.int64()) if got is not None else pa.nulls(n, pa.int64())]
+        return pa.RecordBatch.from_arrays(cols, ["chunk", "i", "node", "need", "got"])
+
+    def settle(held: list) -> pa.RecordBatch | None:
+        fp = np.concatenate([np.frombuffer(x[1], np.uint32) for x in held])
+        block = np.repeat(np.arange(len(held)), [len(x[1]) // 4 for x in held])
+        owner = np.concatenate([np.frombuffer(x[2], np.uint16) for x in held]).astype(np.int64)
+        order = np.argsort(fp, kind="stable")
+        same = fp[order][1:] == fp[order][:-1]
+        shared = np.zeros(len(fp), bool)
+        shared[order[1:]] |= same
+        shared[order[:-1]] |= same
+        code, got = np.unique(block[shared] << 16 | owner[shared], return_counts=True)
+        return out(np.array([x[0] for x in held], np.int64)[code >> 16], code & 0xFFFF, None, None, got) if len(code) else None
+
+    bucket, held = None, []
+    for batch in batches:
+        for b, chunk, fp, idx in zip(*(batch.column(i).to_pylist() for i in (0, 2, 3, 4))):
+            if b < 0:
+                yield out(chunk, np.arange(len(fp) // 8), np.frombuffer(fp, np.int64), np.frombuffer(idx, np.int32), None)
+                continue
+            if b != bucket and held:
+                if (found := settle(held)) is not None:
+                    yield found
+                held = []
+            bucket = b
+            held.append((chunk, fp, idx))
+    if held and (found := settle(held)) is not None:
+        yield found
+
+
 def _named_texts(k: int):
     """Rows (node, text), a node once a task."""
 
@@ -185,18 +236,95 @@ def _named_texts(k: int):
     return run
 
 
-def _packed_sets(k: int):
+def _chunked(k: int):
+    """(node, text) -> chunks of sets: chunk, nodes, sizes, tokens."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+        def send() -> pa.RecordBatch:
+            nodes, sizes, tokens = (np.concatenate(x) for x in zip(*held))
+            held.clear()
+            chunk = int(mix64(np.array([nodes.view(np.uint64).sum() + np.uint64(len(nodes))], np.uint64))[0] >> np.uint64(1))
+            return pa.RecordBatch.from_arrays([pa.array([chunk]), *(pa.array([x.tobytes()], pa.binary()) for x in (nodes, sizes.astype(np.int32), tokens))], ["chunk", "nodes", "sizes", "tokens"])
+
         for batch in batches:
-            data, offsets = utf8_view(batch.column(3))
+            node = batch.column(0).to_numpy()
+            data, offsets = utf8_view(batch.column(1))
             for a, b in byte_slabs(offsets, _SLAB):
                 h, at = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], k)
-                raw = [h[x:y].tobytes() for x, y in zip(at[:-1], at[1:])]
-                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(a, b - a) for i in range(3)), pa.array(raw, pa.binary())], ["node", "grp", "blocks", "tokens"])
+                held.append((node[a:b].astype(np.int64), np.diff(at), h))
+                if sum(len(x[2]) for x in held) >= _CHUNK:
+                    yield send()
+        if any(len(x[0]) for x in held):
+            yield send()
 
     return run
 
 
+def _asked(buckets: int):
+    """Chunks -> (bucket, chunk, fp): the fingerprints of all their tokens."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for chunk, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                _, fp, at = _blocks(np.frombuffer(raw, np.uint64), buckets)
+                used = np.flatnonzero(np.diff(at))
+                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array([chunk] * len(used), pa.int64()), pa.array([fp[at[b] : at[b + 1]].tobytes() for b in used], pa.binary())], ["bucket", "chunk", "fp"])
+
+    return run
+
+
+def _answered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Blocks in runs of one bucket -> (chunk, bucket, codes): the frequency code of each fingerprint of a block."""
+
+    def settle(bucket: int, held: list) -> pa.RecordBatch:
+        fp = np.concatenate([np.frombuffer(x[1], np.uint32) for x in held])
+        _, back, count = np.unique(fp, return_inverse=True, return_counts=True)
+        code = frequency_code(count)[back]
+        at = np.concatenate([[0], np.cumsum([len(x[1]) // 4 for x in held])])
+        return pa.RecordBatch.from_arrays([pa.array([x[0] for x in held], pa.int64()), pa.array([bucket] * len(held), pa.int32()), pa.array([code[a:b].tobytes() for a, b in zip(at, at[1:])], pa.binary())], ["chunk", "bucket", "codes"])
+
+    bucket, held = None, []
+    for batch in batches:
+        for b, chunk, fp in zip(*(batch.column(i).to_pylist() for i in range(3))):
+            if b != bucket and held:
+                yield settle(bucket, held)
+                held = []
+            bucket = b
+            held.append((chunk, fp))
+    if held:
+        yield settle(bucket, held)
+
+
+def _keyed(percent: int, buckets: int, frequent: int):
+    """(nodes, sizes, tokens, answers) -> (key, node): the prefix index."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for nodes, sizes, raw, answers in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                tokens, size = np.frombuffer(raw, np.uint64), np.frombuffer(sizes, np.int32).astype(np.int64)
+                order, _, _ = _blocks(tokens, buckets)
+                code = np.empty(len(tokens), np.uint8)
+                code[order] = np.frombuffer(b"".join(x["codes"] for x in sorted(answers, key=lambda x: x["bucket"])), np.uint8)
+                rank = np.lexsort((tokens, code, np.repeat(np.arange(len(size)), size)))
+                tokens, code, at = tokens[rank], code[rank], np.concatenate([[0], np.cumsum(size)])
+                keys = [prefix_keys(tokens[a:b], code[a:b], percent, frequent) for a, b in zip(at, at[1:])]
+                lengths = [len(x) for x in keys]
+                if sum(lengths):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys).view(np.int64)), pa.array(np.repeat(np.frombuffer(nodes, np.int64), lengths))], ["key", "node"])
+
+    return run
+
+
+def _unpacked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Chunks -> (node, tokens)."""
+    for batch in batches:
+        for nodes, sizes, raw in zip(*(batch.column(i).to_pylist() for i in range(3))):
+            at = np.concatenate([[0], np.cumsum(np.frombuffer(sizes, np.int32).astype(np.int64))]) * 8
+            yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(nodes, np.int64)), pa.array([raw[a:b] for a, b in zip(at, at[1:])], pa.binary())], ["node", "tokens"])
+
+
 def _linked(percent: int):
     """Blocks in sorted runs of (grp, b1, b2) -> (a, b): each linked set and the least set that the block links it to."""
 
@@ -240,39 +368,41 @@ def _compare(rows: DataFrame, percent: int, tag: str) -> DataFrame:
     return materialise(dealt.mapInArrow(_linked(percent), "a long, b long"), tag)
 
 
-def set_groups(docs: DataFrame, text_col: str, words: int = WORDS, percent: int = PERCENT, block: int = BLOCK, share: float = FREQUENT_SHARE, least: int = FREQUENT_LEAST) -> DataFrame:
+def _live_chunks(texts: DataFrame, words: int, percent: int) -> DataFrame:
+    """Chunks of the sets that may have a partner."""
+    buckets = max(8, int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
+    sent = texts.mapInArrow(_sent(words, percent, buckets), _SENT).repartition("bucket", "spread").sortWithinPartitions("bucket")
+    counted = sent.mapInArrow(_shared_counts, "chunk long, i int, node long, need int, got long")
+    sets = counted.groupBy("chunk", "i").agg(F.max("node").alias("node"), F.max("need").alias("need"), F.coalesce(F.sum("got"), F.lit(0)).alias("got"))
+    live = materialise(sets.where("got >= need").select("node").distinct(), "join-live")
+    held = texts.mapInArrow(_named_texts(words), "node long, text string").join(live, "node").dropDuplicates(["node"])
+    return materialise(held.select("node", "text").mapInArrow(_chunked(words), "chunk long, nodes binary, sizes binary, tokens binary"), "join-chunks")
+
+
+def set_groups(docs: DataFrame, text_col: str, words: int = WORDS, percent: int = PERCENT, block: int = BLOCK, frequent: int = FREQUENT) -> DataFrame:
     """Rows (node, component) of the sets that are linked with another one; component: the least node reached."""
     texts = docs.select(F.col(text_col).alias("text"))
-    n = texts.count()
-    posted = materialise(texts.mapInArrow(_prefixes(words, percent), "key long, node long"), "join-posted")
-    lists = posted.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last"), F.count("*").alias("m")).where("head < last")
-    lists = materialise(lists, "join-lists")
-    limit = max(least, int(n * share))
-    # at most (rows of posted) / limit tokens: bounded by the mean prefix length over `share`
-    frequent = np.array(sorted(r.key % (1 << 64) for r in lists.where(F.col("m") > limit).select("key").collect()), np.uint64)
-    meets = posted.join(lists.where(F.col("m") <= limit), "key")
-    edges = meets.where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
-    if len(frequent):
-        more = materialise(texts.mapInArrow(_extended(words, percent, frequent), "key long, node long"), "join-extended")
-        known = more.unionByName(posted.join(more.select("key").distinct(), "key", "left_semi"))
-        heads = materialise(known.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last")).where("head < last").select("key", "head"), "join-heads")
-        edges = edges.unionByName(more.join(heads, "key").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")))
-        edges = edges.unionByName(posted.join(heads, "key").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b")))
-    edges = materialise(edges.distinct(), "join-candidates")
-    discard(posted)
+    chunks = _live_chunks(texts, words, percent)
+    buckets = max(8, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
+    asked = chunks.select("chunk", "tokens").mapInArrow(_asked(buckets), "bucket int, chunk long, fp binary").repartition("bucket").sortWithinPartitions("bucket")
+    answers = asked.mapInArrow(_answered, "chunk long, bucket int, codes binary").groupBy("chunk").agg(F.collect_list(F.struct("bucket", "codes")).alias("answers"))
+    keyed = chunks.join(answers, "chunk").select("nodes", "sizes", "tokens", "answers").mapInArrow(_keyed(percent, buckets, frequent), "key long, node long")
+    posted = materialise(keyed, "join-posted")
+    lists = posted.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last")).where("head < last").select("key", "head")
+    edges = posted.join(materialise(lists, "join-lists"), "key").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
     groups = edges_to_components(edges, "join-groups").select("node", F.col("component").alias("grp"))
     groups = materialise(groups, "join-groups")
     sizes = materialise(groups.groupBy("grp").agg(F.ceil(F.count("*") / block).cast("int").alias("blocks")), "join-sizes")
-    groups = materialise(groups.join(sizes, "grp").select("node", "grp", "blocks"), "join-members")
-    members = texts.mapInArrow(_named_texts(words), "node long, text string").join(groups, "node").select("node", "grp", "blocks", "text")
-    sets = materialise(members.mapInArrow(_packed_sets(words), "node long, grp long, blocks int, tokens binary"), "join-sets")
+    groups = groups.join(sizes, "grp").select("node", "grp", "blocks")
+    sets = chunks.select("nodes", "sizes", "tokens").mapInArrow(_unpacked, "node long, tokens binary")
+    sets = materialise(sets.join(groups, "node").select("node", "grp", "blocks", "tokens"), "join-sets")
     own = F.pmod(F.xxhash64("node", F.lit(3)), F.col("blocks")).cast("int")
     first = _compare(sets.select("grp", own.alias("b1"), own.alias("b2"), "node", "tokens", F.lit(2).alias("side")), percent, "join-links")
     wide = sets.where("blocks > 1")
     if not wide.limit(1).count():
         return edges_to_components(first, "join-final")
     label = edges_to_components(first, "join-first").select(F.col("node").alias("_n"), "component")
-    wide = materialise(wide.dropDuplicates(["node"]).join(label, F.col("node") == F.col("_n"), "left").select("node", "grp", "blocks", "tokens", F.coalesce("component", "node").alias("label")), "join-wide")
+    wide = materialise(wide.join(label, F.col("node") == F.col("_n"), "left").select("node", "grp", "blocks", "tokens", F.coalesce("component", "node").alias("label")), "join-wide")
     top = wide.groupBy("grp", "label").agg(F.count("*").alias("c")).groupBy("grp").agg(F.max(F.struct("c", "label")).alias("top"), F.sum("c").alias("all"))
     top = materialise(top.select("grp", F.col("top.label").alias("major"), F.ceil((F.col("all") - F.col("top.c")) / block).cast("int").alias("rest")).where("rest > 0"), "join-top")
     left = wide.join(top, "grp").withColumn("minor", F.col("label") != F.col("major")).withColumn("b", own).withColumn("c", F.pmod(F.xxhash64("node", F.lit(5)), F.col("rest")).cast("int"))

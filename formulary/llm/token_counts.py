@@ -128,7 +128,7 @@ def merger(path: str) -> RankMerger:
 def count_batch(m: RankMerger, texts: list[str | None]) -> list[int]:
     """Pre-tokens are found once a text; those not seen yet are merged together for the whole batch."""
     plain = [t for t in texts if t and len(t) <= 1 << 20 and not any(s in t for s in m.specials)]
-    found, out = {}, []
+    found = {}
     for t in plain:
         if t not in found:
             found[t] = m.pattern.findall(t)
@@ -141,13 +141,11 @@ def count_batch(m: RankMerger, texts: list[str | None]) -> list[int]:
         fresh = list(set().union(*found.values()))
     new = dict(zip(fresh, m.symbol_counts(fresh).tolist())) if fresh else {}
     m.known.update(new)
-    for t in texts:
-        out.append(sum(map(m.known.__getitem__, found[t])) if t in found else m.count(t))
-    if any(len(p) > LONG for p in new):
-        for p in new:
-            if len(p) > LONG:
-                m.known.pop(p, None)
-    return out
+    counts = {t: sum(map(m.known.__getitem__, pretokens)) for t, pretokens in found.items()}
+    for p in new:
+        if len(p) > LONG:
+            m.known.pop(p, None)
+    return [counts[t] if t in counts else m.count(t) for t in texts]
 
 
 def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id", text_col: str = "text", limit: int = LIMIT) -> DataFrame:

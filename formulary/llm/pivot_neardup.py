@@ -27,7 +27,9 @@ from .common import edges_to_components, materialise
 
 COSINE = 0.95
 PIVOTS = 256
-NEAREST = 6
+#: Lengths of the pivot lists that calibration tries, and the recall at the threshold that it asks for.
+NEAREST = (6, 8, 12, 16, 24)
+RECALL = 0.985
 SHARED = 2
 BLOCK = 1024
 PIVOT_SAMPLE = 4096
@@ -48,21 +50,20 @@ def unit_rows(vectors: list, dim: int) -> tuple[np.ndarray, np.ndarray]:
     return out / np.where(length > 0, length, 1) + 0.0, ok
 
 
-def fit_pivots(vectors: DataFrame, id_col: str, vec_col: str, pivots: int = PIVOTS, sample: int = PIVOT_SAMPLE) -> np.ndarray:
-    """Reference points: of the `sample` valid vectors with the smallest id hash, a subset spread by farthest-first order.
-
-    Only these at most `sample` vectors come to the driver. Returns a (pivots found, dim) array; 0 rows if none is valid.
-    """
-    rows = vectors.where(F.col(vec_col).isNotNull() & (F.size(vec_col) > 0)).orderBy(F.xxhash64(F.col(id_col).cast("string")), F.col(id_col)).select(F.col(vec_col).alias("v")).limit(sample).collect()
+def sample_rows(vectors: DataFrame, sample: int = PIVOT_SAMPLE) -> np.ndarray:
+    """Of the valid vectors the `sample` with the smallest id hash, scaled: all that comes to the driver to fit on."""
+    rows = vectors.where(F.col("vector").isNotNull() & (F.size("vector") > 0)).orderBy(F.xxhash64(F.col("vec_id").cast("string")), "vec_id").select("vector").limit(sample).collect()
     if not rows:
         return np.zeros((0, 0))
-    dims = pd.Series([len(r.v) for r in rows]).mode()
-    x, ok = unit_rows([r.v for r in rows], int(dims[0]))
-    x = np.unique(x[ok], axis=0)
+    x, ok = unit_rows([r.vector for r in rows], int(pd.Series([len(r.vector) for r in rows]).mode()[0]))
+    return np.unique(x[ok], axis=0)
+
+
+def fit_pivots(x: np.ndarray, pivots: int = PIVOTS) -> np.ndarray:
+    """Reference points: rows of x spread by farthest-first order."""
     if len(x) == 0:
-        return np.zeros((0, 0))
-    near = x @ x[0]
-    chosen = [0]
+        return x
+    near, chosen = x @ x[0], [0]
     while len(chosen) < min(pivots, len(x)):
         nxt = int(near.argmin())
         if near[nxt] > 0.999:
@@ -72,6 +73,44 @@ def fit_pivots(vectors: DataFrame, id_col: str, vec_col: str, pivots: int = PIVO
     return x[chosen]
 
 
+def nearest_pivots(x: np.ndarray, pivots: np.ndarray, count: int) -> np.ndarray:
+    """The ordered list of each row's nearest pivots (ties: the lower number)."""
+    sims = x @ pivots.T
+    if count < len(pivots):
+        top = np.argpartition(-sims, count - 1, axis=1)[:, :count]
+    else:
+        top = np.tile(np.arange(len(pivots)), (len(x), 1))
+    order = np.lexsort((top, -np.take_along_axis(sims, top, axis=1)), axis=1)
+    return np.take_along_axis(top, order, axis=1).astype(np.int32)
+
+
+def calibrate(x: np.ndarray, pivots: np.ndarray, cosine: float, shared: int, lengths: tuple[int, ...] = NEAREST, recall: float = RECALL) -> int:
+    """The least list length at which enough similar pairs share enough pivots.
+
+    Measured by brute force on the pairs of the sample, and on partners made to lie exactly at the threshold.
+    """
+    if len(pivots) < 2 or not len(x):
+        return len(pivots)
+    rng = np.random.default_rng(0)
+    a = x[rng.integers(0, len(x), 2000)]
+    u = rng.normal(size=a.shape)
+    u -= (u * a).sum(axis=1, keepdims=True) * a
+    u /= np.maximum(np.linalg.norm(u, axis=1, keepdims=True), 1e-300)
+    pairs = [(a, cosine * a + np.sqrt(max(0.0, 1 - cosine * cosine)) * u)]
+    part = x[rng.permutation(len(x))[:2048]]
+    i, j = np.nonzero(np.triu(part @ part.T >= cosine, 1))
+    if len(i):
+        pick = rng.integers(0, len(i), 4000)
+        pairs.append((part[i[pick]], part[j[pick]]))
+    for length in lengths:
+        if length >= len(pivots):
+            break
+        met = [(nearest_pivots(p, pivots, length)[:, :, None] == nearest_pivots(q, pivots, length)[:, None, :]).sum(axis=(1, 2)) >= shared for p, q in pairs]
+        if min(m.mean() for m in met) >= recall:
+            return length
+    return min(lengths[-1], len(pivots))
+
+
 def _packed(v) -> bytes:
     d = np.asarray(v, np.float64)
     with np.errstate(over="ignore"):
@@ -87,13 +126,7 @@ def _index(pivots: np.ndarray, nearest: int, id_col: str, vec_col: str):
             for i in range(0, len(f), 4096):
                 part = f.iloc[i : i + 4096]
                 x, ok = unit_rows(part[vec_col].tolist(), dim)
-                sims = x @ pivots.T
-                if l < len(pivots):
-                    top = np.argpartition(-sims, l - 1, axis=1)[:, :l] if l else np.zeros((len(x), 0), int)
-                else:
-                    top = np.tile(np.arange(len(pivots)), (len(x), 1))
-                order = np.lexsort((top, -np.take_along_axis(sims, top, axis=1)), axis=1) if l else top
-                top = np.take_along_axis(top, order, axis=1).astype(np.int32)
+                top = nearest_pivots(x, pivots, l) if l else np.zeros((len(x), 0), np.int32)
                 yield pd.DataFrame({
                     "vec_id": part[id_col].values,
                     "digest": [hashlib.blake2b(np.round(r, 12).tobytes(), digest_size=16).digest() if k else None for r, k in zip(x, ok)],
@@ -186,26 +219,27 @@ def _links(cosine: float, shared: int, dim: int):
     return run
 
 
-def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", cosine: float = COSINE, pivots: int = PIVOTS, nearest: int = NEAREST, shared: int = SHARED, block: int = BLOCK, fitted: np.ndarray | None = None) -> DataFrame:
+def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", cosine: float = COSINE, pivots: int = PIVOTS, nearest: int | None = None, shared: int = SHARED, block: int = BLOCK) -> DataFrame:
     """One row per input row: vec_id, n_links, component_id, kept.
 
     vectors: any table with a whole-number id and an array of numbers; other columns are ignored whatever their
     names. Null, zero, non-finite and wrong-length vectors link with nothing: 0 links, own component. Repeated
     rows (equal vectors) link with each other. A null id keeps its row, with no component of its own (null).
-    An empty table gives an empty result. shared: least number of pivots that two vectors must share (2 or more).
+    An empty table gives an empty result. shared: least number of pivots that two vectors must share (2 or more);
+    nearest: length of the pivot lists, by default calibrated on the sample.
     """
     spark = vectors.sparkSession
     base = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).alias("vector"))
-    points = fit_pivots(base, "vec_id", "vector", pivots) if fitted is None else fitted
-    if len(points) < max(2, shared):
-        nearest = len(points)
+    sample = sample_rows(base)
+    points = fit_pivots(sample, pivots)
+    nearest = min(nearest or calibrate(sample, points, cosine, shared), len(points))
     index = base.mapInPandas(_index(points, nearest, "vec_id", "vector"), "vec_id long, digest binary, vec binary, perm array<int>")
     index = materialise(index, "pivot-index")
     valid = index.where("digest IS NOT NULL AND vec_id IS NOT NULL")
     reps = valid.groupBy("digest").agg(F.min(F.struct("vec_id", "vec", "perm")).alias("r"), F.count("*").alias("n"))
     reps = materialise(reps.select("digest", F.col("r.vec_id").alias("rep"), F.col("r.vec").alias("vec"), F.col("r.perm").alias("perm"), "n"), "pivot-reps")
 
-    low = min(shared, max(2, len(points)))
+    low = min(shared, nearest)
     if nearest >= 2:
         pairs = list(combinations(range(nearest), 2))
         key = lambda i, j: F.least(F.col("perm")[i], F.col("perm")[j]).cast("long") * (1 << 20) + F.greatest(F.col("perm")[i], F.col("perm")[j])
@@ -219,7 +253,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "
     posted = posted.select("rep", "key", "b", other)
     posted = posted.select("rep", "key", F.least("b", "o").alias("b1"), F.greatest("b", "o").alias("b2"), F.when(F.col("b") == F.col("o"), 2).when(F.col("b") < F.col("o"), 0).otherwise(1).alias("side"))
     posted = posted.join(reps.select("rep", "vec", "perm", "n"), "rep").select("key", "b1", "b2", "side", "rep", "vec", "perm", "n")
-    found = posted.repartition("key", "b1", "b2").sortWithinPartitions("key", "b1", "b2").mapInPandas(_links(cosine, low if nearest >= 2 else 0, points.shape[1]), "rep long, links long, root long")
+    found = posted.repartition("key", "b1", "b2").sortWithinPartitions("key", "b1", "b2").mapInPandas(_links(cosine, low if nearest >= 2 else 0, points.shape[1] if len(points) else 0), "rep long, links long, root long")
     found = materialise(found, "pivot-links")
     degree = found.groupBy("rep").agg(F.sum("links").alias("links"))
     comps = edges_to_components(found.select(F.col("rep").alias("a"), F.col("root").alias("b")), "pivot")

@@ -243,12 +243,15 @@ def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, c
     kinds = rows.groupBy("core", "flanks").agg(F.sum("n").alias("n"), F.min(F.struct("digest", "first", "windows", "last_of_cell")).alias("r"))
     kinds = materialise(kinds.select("core", "flanks", (F.col("n") > 1).alias("whole"), "r"), "suffix-kinds")
     whole = rows.join(kinds.where("whole").select("core", "flanks"), ["core", "flanks"]).select("digest", "first", (F.col("first") + F.col("windows") - 1).alias("last"))
+    whole = materialise(whole, "suffix-whole")
     mixed = materialise(kinds.groupBy("core").agg(F.count("*").alias("variants")).where("variants > 1"), "suffix-mixed")
     wanted = kinds.join(mixed, "core").select("r.digest", F.struct("core", "variants", "r.first", "r.windows", "r.last_of_cell").alias("c")).groupBy("digest").agg(F.collect_list("c").alias("wanted"))
     wanted = materialise(wanted, "suffix-wanted")
     strings = holders.join(wanted, "digest").select("digest", "text", "wanted").mapInPandas(_flanked(width, cell, flanks), "core long, digest binary, first int, windows int, before int, bytes binary, window binary")
     strings = materialise(strings, "suffix-strings")
-    dealt = strings.where("bytes IS NOT NULL").drop("window").repartition("core").sortWithinPartitions("core", "digest", "first")
+    flanked = strings.where("bytes IS NOT NULL").drop("window")
+    tasks = max(1, -(-flanked.count() // (2 * build)))  # a build costs seconds, not bytes: no coalescing by size
+    dealt = flanked.repartition(tasks, "core").sortWithinPartitions("core", "digest", "first")
     built = dealt.mapInPandas(_built(cell, build), "digest binary, first int, last int")
     single = strings.where("window IS NOT NULL").select("window", "digest", "first")
     twice = single.groupBy("window").agg(F.min(F.struct("digest", "first")).alias("a"), F.max(F.struct("digest", "first")).alias("b"))
@@ -272,17 +275,27 @@ def merged(spans: list, repeated: bool, n: int, width: int) -> list[tuple[int, i
     return [tuple(x) for x in out]
 
 
+def _inside(text: memoryview, a: int, b: int) -> tuple[int, int]:
+    """The part of a run that starts and ends between characters."""
+    while a < b and text[a] & 0xC0 == 0x80:
+        a += 1
+    while a < b < len(text) and text[b] & 0xC0 == 0x80:
+        b -= 1
+    return a, b
+
+
 def _named_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_digest(t) for t in _texts(batch, batch.num_columns - 1)], pa.binary())], [*batch.schema.names, "_digest"])
 
 
-def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH, **tuning) -> DataFrame:
+def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH, whole_characters: bool = False, **tuning) -> DataFrame:
     """docs with columns _kept (the text without its repeated bytes, binary), _removed (runs of bytes) and _n_bytes.
 
     Every byte that a string of `width` bytes covers which also starts elsewhere (same text included, overlaps
     too) goes; strings are judged on the input. Null and empty texts stay empty; repeated rows are repeats of each
-    other. Columns keep their names and values, whatever they are called (names starting with _ are reserved).
+    other. whole_characters: leave the bytes of a character that a run would cut, so that what stays is UTF-8.
+    Columns keep their names and values, whatever they are called (names starting with _ are reserved).
     """
     text = F.col(text_col).alias("text")
     named = materialise(docs.select(F.lit(0).cast("long").alias("doc_id"), text).mapInArrow(_named, "doc_id long, n_bytes long, digest binary").groupBy("digest").agg(F.count("*").alias("n")), "suffix-names")
@@ -298,6 +311,8 @@ def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH,
             kept, removed, sizes = [], [], []
             for t, n, spans in zip(_texts(batch, at["_text"]), batch.column(at["_n"]).to_pylist(), batch.column(at["_spans"]).to_pylist()):
                 runs, parts, done = merged(spans, (n or 1) > 1, len(t), width), [], 0
+                if whole_characters:
+                    runs = [_inside(t, a, b) for a, b in runs]
                 for a, b in runs:
                     parts.append(bytes(t[done:a]))
                     done = b

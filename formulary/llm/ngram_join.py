@@ -41,6 +41,8 @@ _SLAB = 1 << 20
 #: Tokens of one block of the frequency exchanges.
 _CHUNK = 1 << 20
 _QUARTER = np.uint64(3)
+#: 64-bit words of the filter (2 MB, whatever the input) that spares most texts without a partner a shuffle.
+FILTER_WORDS = 1 << 18
 _PAIR, _SINGLE = np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3)
 
 
@@ -218,8 +220,16 @@ def _shared_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         yield found
 
 
-def _named_texts(k: int):
-    """Rows (node, text), a node once a task."""
+def membership_bits(nodes: DataFrame, words: int = FILTER_WORDS) -> np.ndarray:
+    """A bit set of fixed size with the bit of every node set: a filter that lets all nodes through, and some others."""
+    got = nodes.select((F.shiftright("node", 6) % words).alias("w"), F.expr("shiftleft(1L, int(node % 64))").alias("b")).groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()
+    out = np.zeros(words, np.uint64)
+    out[got.column("w").to_numpy()] = got.column("b").to_numpy().view(np.uint64)
+    return out
+
+
+def _named_texts(k: int, bits: np.ndarray):
+    """Rows (node, text) of the nodes that the bit set lets through, a node once a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
@@ -230,7 +240,8 @@ def _named_texts(k: int):
                 h, at = shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], k)
                 names.append(set_names(h, at))
             node = np.concatenate(names) if names else np.empty(0, np.int64)
-            fresh = np.flatnonzero([x != 0 and not (x in seen or seen.add(x)) for x in node.tolist()])
+            let = (bits[(node >> 6) % len(bits)] >> (node % 64).astype(np.uint64)) & np.uint64(1) > 0
+            fresh = np.array([i for i in np.flatnonzero(let & (node != 0)).tolist() if not (node[i] in seen or seen.add(int(node[i])))], np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(node[fresh]), batch.column(0).take(pa.array(fresh))], ["node", "text"])
 
     return run
@@ -375,7 +386,7 @@ def _live_chunks(texts: DataFrame, words: int, percent: int) -> DataFrame:
     counted = sent.mapInArrow(_shared_counts, "chunk long, i int, node long, need int, got long")
     sets = counted.groupBy("chunk", "i").agg(F.max("node").alias("node"), F.max("need").alias("need"), F.coalesce(F.sum("got"), F.lit(0)).alias("got"))
     live = materialise(sets.where("got >= need").select("node").distinct(), "join-live")
-    held = texts.mapInArrow(_named_texts(words), "node long, text string").join(live, "node").dropDuplicates(["node"])
+    held = texts.mapInArrow(_named_texts(words, membership_bits(live)), "node long, text string").join(live, "node").dropDuplicates(["node"])
     return materialise(held.select("node", "text").mapInArrow(_chunked(words), "chunk long, nodes binary, sizes binary, tokens binary"), "join-chunks")
 
 
@@ -399,8 +410,8 @@ def set_groups(docs: DataFrame, text_col: str, words: int = WORDS, percent: int
     own = F.pmod(F.xxhash64("node", F.lit(3)), F.col("blocks")).cast("int")
     first = _compare(sets.select("grp", own.alias("b1"), own.alias("b2"), "node", "tokens", F.lit(2).alias("side")), percent, "join-links")
     wide = sets.where("blocks > 1")
-    if not wide.limit(1).count():
-        return edges_to_components(first, "join-final")
+    if not wide.limit(1).count():  # a block has reached all that a group of one block can
+        return first.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(first.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
     label = edges_to_components(first, "join-first").select(F.col("node").alias("_n"), "component")
     wide = materialise(wide.join(label, F.col("node") == F.col("_n"), "left").select("node", "grp", "blocks", "tokens", F.coalesce("component", "node").alias("label")), "join-wide")
     top = wide.groupBy("grp", "label").agg(F.count("*").alias("c")).groupBy("grp").agg(F.max(F.struct("c", "label")).alias("top"), F.sum("c").alias("all"))

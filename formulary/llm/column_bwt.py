@@ -18,17 +18,31 @@ DONE = 0
 
 
 class SequentialArray:
-    """An array in a file, read whole from the front and replaced by a file written from the front."""
+    """An array in two files that take turns: a round reads one from the front and writes the other from the front.
+
+    Both stay open and only grow, so a round costs no file creation, renaming or truncation.
+    """
 
     def __init__(self, folder: str, name: str, dtype):
-        self.path, self.dtype = os.path.join(folder, name), np.dtype(dtype)
+        self.files = [open(os.path.join(folder, f"{name}{i}"), "w+b") for i in range(2)]  # noqa: SIM115
+        self.dtype, self.turn, self.length = np.dtype(dtype), 0, 0
 
     def write(self, values: np.ndarray) -> None:
-        values.astype(self.dtype, copy=False).tofile(self.path + ".next")
-        os.replace(self.path + ".next", self.path)
+        self.turn, self.length = 1 - self.turn, len(values)
+        f = self.files[self.turn]
+        f.seek(0)
+        f.write(np.ascontiguousarray(values, self.dtype).data)
+        f.flush()
 
     def read(self) -> np.ndarray:
-        return np.fromfile(self.path, self.dtype)
+        f, out = self.files[self.turn], np.empty(self.length, self.dtype)
+        f.seek(0)
+        f.readinto(out.data)
+        return out
+
+    def close(self) -> None:
+        for f in self.files:
+            f.close()
 
 
 def _spread(old: np.ndarray, at: np.ndarray, new: np.ndarray) -> np.ndarray:
@@ -112,6 +126,8 @@ def build(strings: list[np.ndarray], cap: int, folder: str | None = None) -> tup
                 # the j-th inserted suffix stands at place[j]; an older one moves by the number of those at or before its new place
                 at[rest] = _moved(at[rest], place)
         # replay the insertions backwards: where did each round's suffixes end?
+        bwt_file.close()
+        lcp_file.close()
         table = np.zeros((m, int(length.max(initial=0)) + 1), np.int64)
         final = np.arange(len(bwt))
         for step in range(len(history) - 1, -1, -1):

@@ -95,10 +95,20 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != "")
 
 
+def bind(value: Column, f) -> Column:
+    """f(value) with value evaluated once a row. Inside f it is a lambda variable, which the optimizer can't replace by
+    the expression again (inside another lambda that would repeat it for every element)."""
+    return F.element_at(F.transform(F.array(value), f), 1)
+
+
 def shingles(words: Column, n: int) -> Column:
     """Distinct n-word shingles; fewer words: the whole sequence; none: empty."""
-    many = F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.array_join(F.slice(words, i, n), " "))
-    return F.array_distinct(F.when(F.size(words) >= n, many).when(F.size(words) > 0, F.array(F.array_join(words, " "))).otherwise(F.array().cast("array<string>")))
+
+    def of(w: Column) -> Column:
+        many = F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.array_join(F.slice(w, i, n), " "))
+        return F.array_distinct(F.when(F.size(w) >= n, many).when(F.size(w) > 0, F.array(F.array_join(w, " "))).otherwise(F.array().cast("array<string>")))
+
+    return bind(words, of)
 
 
 def hash_order(key: Column, seed: int) -> Column:

@@ -20,10 +20,13 @@ def held_out(key: Column, parts: int = 5) -> Column:
 
 def stop_word_vote(text: Column) -> Column:
     """The language most of whose stop words occur among the tokens; ties by name; und if none does."""
-    t = C.tokens(text)
-    votes = F.array(*(F.struct(F.size(F.filter(t, lambda x, ws=ws: x.isin(*ws))).alias("k"), F.lit(lang).alias("lang")) for lang, ws in sorted(L.STOP_WORDS.items(), reverse=True)))
-    best = F.array_max(votes)
-    return F.when(best["k"] > 0, best["lang"]).otherwise("und")
+
+    def of(t: Column) -> Column:
+        count = lambda words: F.size(F.filter(t, lambda x: x.isin(*words)))
+        votes = F.array(*(F.struct(count(words).alias("k"), F.lit(lang).alias("lang")) for lang, words in sorted(L.STOP_WORDS.items(), reverse=True)))
+        return C.bind(F.array_max(votes), lambda best: F.when(best["k"] > 0, best["lang"]).otherwise("und"))
+
+    return C.bind(C.tokens(text), of)
 
 
 def naive_bayes(docs: DataFrame, label: str) -> tuple[DataFrame, DataFrame]:

@@ -40,6 +40,10 @@ def fingerprint60(docs: DataFrame, n: int = SHINGLE, key: str = "doc_id") -> Dat
     return votes.select(key, fp.alias("fp"))
 
 
+def _hasher(seed: int):
+    return lambda s: F.xxhash64(s, F.lit(seed))
+
+
 def fingerprint(docs: DataFrame, bits: int = 256, n: int = SHINGLE, key: str = "doc_id", text_col: str = "text") -> DataFrame:
     """key and a fingerprint of bits / 64 words: shingles are hashed in the JVM, votes are counted in numpy by Arrow batch.
 
@@ -47,7 +51,7 @@ def fingerprint(docs: DataFrame, bits: int = 256, n: int = SHINGLE, key: str = "
     """
     words = bits // 64
     sh = C.shingles(C.tokens(F.col(text_col)), n)
-    hashed = docs.select(F.col(key).cast("long").alias("id"), *(F.transform(sh, lambda s, i=i: F.xxhash64(s, F.lit(i))).alias(f"h{i}") for i in range(words)))
+    hashed = docs.select(F.col(key).cast("long").alias("id"), *(F.transform(sh, _hasher(i)).alias(f"h{i}") for i in range(words)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -91,13 +95,18 @@ def pairs_blocked(fps: DataFrame, d: int, bits: int = BITS60, key: str = "doc_id
 def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int = 16, tables: int = 32, seed: int = 5, key: str = "doc_id") -> DataFrame:
     """Pairs with similarity of tau or more among those that agree on r sampled bits in one of the tables."""
     rng = np.random.default_rng(seed)
-    def one(t: int) -> Column:
-        out = F.lit(0).cast("long")
-        for j, b in enumerate(sorted(rng.choice(bits, r, replace=False).tolist())):
-            out = out + F.shiftleft(F.shiftright(F.get(F.col("fp"), F.lit(b // 64)), b % 64).bitwiseAND(1), j)
-        return F.struct(F.lit(t).alias("t"), out.alias("v"))
+    picks = [sorted(rng.choice(bits, r, replace=False).tolist()) for _ in range(tables)]
 
-    keyed = fps.where("fp IS NOT NULL").select(key, "fp", F.explode(F.array(*(one(t) for t in range(tables)))).alias("k")).select(key, "fp", "k.*")
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fp = np.array(batch.column(1).to_pylist(), np.int64).view(np.uint64).reshape(len(batch), -1)
+            for t, chosen in enumerate(picks):
+                v = np.zeros(len(batch), np.int64)
+                for j, bit in enumerate(chosen):
+                    v |= ((fp[:, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1)).astype(np.int64) << j
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.full(len(batch), t, np.int32)), pa.array(v)], [key, "fp", "t", "v"])
+
+    keyed = fps.where("fp IS NOT NULL").select(F.col(key).cast("long").alias(key), "fp").mapInArrow(keys, f"{key} long, fp array<long>, t int, v long")
     a, b = keyed.select(F.col(key).alias("a"), F.col("fp").alias("fa"), "t", "v"), keyed.select(F.col(key).alias("b"), F.col("fp").alias("fb"), "t", "v")
     near = a.join(b, ["t", "v"]).where("a < b").withColumn("dist", distance(F.col("fa"), F.col("fb"))).where(F.col("dist") <= int((1 - tau) * bits + 1e-9))
     return near.select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
@@ -169,7 +178,7 @@ def any_previous(docs: DataFrame, pairs: DataFrame, key: str = "doc_id") -> Data
 def minhash_pairs(docs: DataFrame, percent: int = 70, bands: int = 16, rows: int = 4, n: int = SHINGLE, key: str = "doc_id") -> DataFrame:
     """Comparison method: MinHash bands, then verification by Jaccard."""
     sh = shingled(docs, n, key).where(F.size("sh") > 0)
-    mins = [F.array_min(F.transform("sh", lambda s, i=i: F.xxhash64(s, F.lit(100 + i)))) for i in range(bands * rows)]
+    mins = [F.array_min(F.transform("sh", _hasher(100 + i))) for i in range(bands * rows)]
     keyed = sh.select(key, "sh", F.explode(F.array(*(F.struct(F.lit(b).alias("band"), F.xxhash64(*mins[b * rows : (b + 1) * rows]).alias("v")) for b in range(bands)))).alias("k")).select(key, "sh", "k.*")
     a, b = keyed.select(F.col(key).alias("a"), F.col("sh").alias("sa"), "band", "v"), keyed.select(F.col(key).alias("b"), F.col("sh").alias("sb"), "band", "v")
     both = F.size(F.array_intersect("sa", "sb"))

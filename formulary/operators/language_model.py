@@ -20,7 +20,7 @@ def ngrams(docs: DataFrame, n: int, order: int | None = None, key: str = "doc_id
     """key, ctx (n - 1 words), w: every n-gram that predicts a word or the end mark."""
     order = order or n
     skip = max(1, order - 1)
-    grams = F.transform(F.sequence(F.lit(skip + 1), F.size("w")), lambda i: F.struct(F.array_join(F.slice("w", i - (n - 1), n - 1), " ").alias("ctx"), F.element_at("w", i).alias("w")))
+    grams = C.bind(F.col("w"), lambda w: F.transform(F.sequence(F.lit(skip + 1), F.size(w)), lambda i: F.struct(F.array_join(F.slice(w, i - (n - 1), n - 1), " ").alias("ctx"), F.element_at(w, i).alias("w"))))
     return marked(docs, order, key).select(key, F.inline(grams))
 
 

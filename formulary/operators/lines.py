@@ -32,13 +32,15 @@ def is_header(line: Column) -> Column:
 
 def drop_empty_headers(text: Column) -> Column:
     """Without headers that another header or the end follows, blank lines aside."""
-    rows = F.split(text, "\n")
 
-    def stays(x, i):
-        rest = F.filter(F.slice(rows, i + 2, F.size(rows)), lambda y: F.trim(y) != "")
-        return ~(is_header(x) & F.coalesce(is_header(F.get(rest, F.lit(0))), F.lit(True)))
+    def of(rows: Column) -> Column:
+        def stays(x, i):
+            rest = F.filter(F.slice(rows, i + 2, F.size(rows)), lambda y: F.trim(y) != "")
+            return ~(is_header(x) & F.coalesce(is_header(F.get(rest, F.lit(0))), F.lit(True)))
 
-    return F.array_join(F.filter(rows, stays), "\n")
+        return F.array_join(F.filter(rows, stays), "\n")
+
+    return C.bind(F.split(text, "\n"), of)
 
 
 def escape_dollars(text: Column) -> Column:

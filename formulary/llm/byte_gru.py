@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import utf8_view
+from .common import hash_sample, utf8_view
 from .quality_gam import held_out
 
 #: At most this many documents, those with the least id hash, give training stretches to the driver.
@@ -178,10 +178,9 @@ def pooled(model: Gru, data: np.ndarray, offsets: np.ndarray, core: int = CORE,
 def train(docs: DataFrame, sample: int = SAMPLE, stretch: int = STRETCH) -> Gru | None:
     """Learn from text and non-null lang of documents that aren't held out: two stretches of each sampled document."""
     known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 4, 2) & F.col("text").rlike(r"\p{L}"))
-    h = F.xxhash64(F.col("doc_id").cast("string"), F.lit(5))
     start = lambda salt: F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit(salt)), F.greatest(F.length("text") - stretch, F.lit(0)).cast("long") + 1).cast("int") + 1
-    rows = known.select(h.alias("h"), "doc_id", "lang", *(F.col("text").substr(start(s), F.lit(stretch)).alias(f"s{s}") for s in (1, 2)))
-    got = rows.orderBy("h", "doc_id", "lang", "s1").limit(sample).collect()
+    rows = known.select("doc_id", "lang", *(F.col("text").substr(start(s), F.lit(stretch)).alias(f"s{s}") for s in (1, 2)))
+    got = hash_sample(rows, "doc_id", sample, docs.count()).collect()
     stretches, languages = [], []
     for r in got:
         for s in (r.s1, r.s2):

@@ -45,6 +45,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def hash_sample(df: DataFrame, key: str, n: int, total: int) -> DataFrame:
+    """About the n rows of df with the least hash of their key (ties: by all columns), where df has at most `total` rows.
+
+    Rows above a hash threshold go before the sort, so that what the tasks send together is bounded by n, not by
+    n for each task. If much fewer than `total` rows are in df, fewer than n may come.
+    """
+    h = F.pmod(F.xxhash64(F.col(key).cast("string"), F.lit(5)), F.lit(1 << 30))
+    share = min(1.0, (1.5 * n + 100) / max(total, 1))
+    return df.withColumn("_h", h).where(F.col("_h") < int(share * (1 << 30)) + 1).orderBy("_h", *df.columns).limit(n).drop("_h")
+
+
 def utf8_view(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """The bytes of a string column end to end, and the offsets of its rows; nulls are empty."""
     if column.null_count:

@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import edges_to_components, materialise
+from .common import edges_to_components, hash_sample, materialise
 
 COSINE = 0.95
 PIVOTS = 256
@@ -52,7 +52,8 @@ def unit_rows(vectors: list, dim: int) -> tuple[np.ndarray, np.ndarray]:
 
 def sample_rows(vectors: DataFrame, sample: int = PIVOT_SAMPLE) -> np.ndarray:
     """Of the valid vectors the `sample` with the smallest id hash, scaled: all that comes to the driver to fit on."""
-    rows = vectors.where(F.col("vector").isNotNull() & (F.size("vector") > 0)).orderBy(F.xxhash64(F.col("vec_id").cast("string")), "vec_id").select("vector").limit(sample).collect()
+    rows = vectors.where(F.col("vector").isNotNull() & (F.size("vector") > 0))
+    rows = hash_sample(rows, "vec_id", sample, vectors.count()).select("vector").collect()
     if not rows:
         return np.zeros((0, 0))
     x, ok = unit_rows([r.vector for r in rows], int(pd.Series([len(r.vector) for r in rows]).mode()[0]))

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import utf8_view
+from .common import hash_sample, utf8_view
 from .text_shape import NAMES, shape
 
 #: At most this many labelled rows, those with the least id hash, come to the driver (as feature rows, not texts).
@@ -143,7 +143,8 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Gam:
     """Learn labels.quality from the rows that aren't held out; a document labelled more than once has its highest label."""
     known = labels.where(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 5, 0))
-    known = known.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
+    known = known.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("label"))
+    known = hash_sample(known, "doc_id", sample, labels.count())
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(known), "doc_id").select(F.col("label").cast("long").alias("label"), "text")
     got = rows.mapInArrow(_features, "label long, x array<double>").toPandas()
     got = got.iloc[np.lexsort(np.array([list(v) for v in got["x"]]).T)] if len(got) else got  # the order of rows can't matter

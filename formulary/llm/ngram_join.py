@@ -141,6 +141,12 @@ def _blocks(tokens: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, n
     return order, (tokens[order] >> np.uint64(32)).astype(np.uint32), np.searchsorted(bucket[order], np.arange(buckets + 1).astype(np.uint64))
 
 
+def _chunk_name(names: np.ndarray) -> int:
+    """A 63-bit name of a chunk: a hash of the names of its sets and their places."""
+    placed = mix64(names.view(np.uint64) + mix64(np.arange(1, len(names) + 1).astype(np.uint64)))
+    return int(mix64(np.array([placed.sum() + np.uint64(len(names))], np.uint64))[0] >> np.uint64(1))
+
+
 _SENT = "bucket int, spread long, chunk long, fp binary, idx binary"
 
 
@@ -157,7 +163,7 @@ def _sent(k: int, percent: int, buckets: int):
         def send() -> pa.RecordBatch:
             names, need, size, tokens = (np.concatenate(x) for x in zip(*held))
             held.clear()
-            chunk = int(mix64(np.array([names.view(np.uint64).sum() + np.uint64(len(names))], np.uint64))[0] >> np.uint64(1))
+            chunk = _chunk_name(names)
             owner = np.repeat(np.arange(len(size), dtype=np.uint16), size)
             order, fp, at = _blocks(tokens, buckets)
             owner = owner[order]
@@ -256,7 +262,7 @@ def _chunked(k: int):
         def send() -> pa.RecordBatch:
             nodes, sizes, tokens = (np.concatenate(x) for x in zip(*held))
             held.clear()
-            chunk = int(mix64(np.array([nodes.view(np.uint64).sum() + np.uint64(len(nodes))], np.uint64))[0] >> np.uint64(1))
+            chunk = _chunk_name(nodes)
             return pa.RecordBatch.from_arrays([pa.array([chunk]), *(pa.array([x.tobytes()], pa.binary()) for x in (nodes, sizes.astype(np.int32), tokens))], ["chunk", "nodes", "sizes", "tokens"])
 
         for batch in batches:

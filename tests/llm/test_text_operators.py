@@ -218,6 +218,13 @@ def test_join_matches_brute_force(spark, tuning):
     assert got == naive_groups(rows, tuning.get("words", 4), tuning.get("percent", 85))
 
 
+def test_join_of_the_same_copies_stored_in_other_orders(spark):
+    texts = [" ".join(f"w{i}" for i in range(60)) + f" end{v}" for v in range(4)]
+    orders = [(0, 1, 2, 3), (3, 2, 1, 0), (2, 3, 0, 1), (1, 0, 3, 2)]
+    docs = spark.createDataFrame(spark.sparkContext.parallelize([(10 * k + v, texts[v]) for k, o in enumerate(orders) for v in o], 4), "doc_id long, text string")
+    assert {r.component_id for r in ngram_join.jaccard_groups(docs).collect()} == {0}
+
+
 def test_prefix_keys_of_similar_sets_meet():
     rng = np.random.default_rng(0)
     for _ in range(200):

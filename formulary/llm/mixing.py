@@ -128,12 +128,33 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Classifie
     return fit_classifier([np.frombuffer(r.words, np.uint64) for r in got], shapes, domain)
 
 
-def rates(p: np.ndarray, history: np.ndarray) -> np.ndarray:
-    """Rates of documents with posteriors p after the steps whose multipliers history has."""
-    r = np.ones(len(p))
-    for nu in history:
+@dataclass
+class Steps:
+    """Multipliers of the steps so far. After the first `free` ones, rates within `snap` of a whole number of 1 or more
+    are set to it; the later steps move the others only."""
+
+    nu: np.ndarray
+    free: int
+    snap: float = 0.0
+
+
+def split_rates(p: np.ndarray, steps: Steps) -> tuple[np.ndarray, np.ndarray]:
+    """(rates, whether each was set to a whole number) of documents with posteriors p."""
+    r, held = np.ones(len(p)), np.zeros(len(p), bool)
+    for nu in steps.nu[: steps.free]:
         r = np.maximum(0.0, r - p @ nu)
-    return r
+    if steps.snap > 0:
+        whole = np.round(r)
+        held = (whole >= 1) & (np.abs(r - whole) <= steps.snap)
+        r = np.where(held, whole, r)
+    for nu in steps.nu[steps.free :]:
+        r = np.where(held, r, np.maximum(0.0, r - p @ nu))
+    return r, held
+
+
+def rates(p: np.ndarray, history: np.ndarray | Steps) -> np.ndarray:
+    """Rates of documents with posteriors p after the steps of history (or the steps whose multipliers it has)."""
+    return split_rates(p, history if isinstance(history, Steps) else Steps(history, len(history)))[0]
 
 
 def _memberships(model: Classifier):
@@ -157,14 +178,16 @@ def _matrix(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
     return np.stack([batch.column(f"p_{d}").to_numpy() for d in DOMAINS], axis=1), batch.column("tokens").to_numpy().astype(float)
 
 
-def _sums(table: DataFrame, history: np.ndarray, gram: bool) -> np.ndarray:
-    """Over all documents: tokens times rate by domain, or the token-weighted products of posteriors."""
+def _sums(table: DataFrame, history: np.ndarray | Steps, gram: bool) -> np.ndarray:
+    """Over all documents: tokens times rate by domain, or (of documents not set to a whole number) the token-weighted products of posteriors."""
     k = len(DOMAINS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((k, k) if gram else k)
         for batch in batches:
             p, n = _matrix(batch)
+            if gram and isinstance(history, Steps):
+                n = n * ~split_rates(p, history)[1]
             total += (p * n[:, None]).T @ p if gram else (n * rates(p, history)) @ p
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size).astype(np.int32)), pa.array(total.ravel())], ["cell", "v"])
 
@@ -204,6 +227,27 @@ def fit_rates(table: DataFrame, targets: dict[str, float], total: float | None =
     return history, now, goal
 
 
+def fit_whole_rates(table: DataFrame, targets: dict[str, float], snap: float, steps: int = STEPS, tolerance: float = TOLERANCE, **fitting) -> tuple[Steps, np.ndarray, np.ndarray]:
+    """fit_rates, then rates near a whole number are set to it and the other documents are fitted again to what is left
+    of the targets: (steps, expected tokens by domain, target tokens by domain). Rates below 1 - snap never become 0 by it."""
+    nu, now, goal = fit_rates(table, targets, steps=steps, tolerance=tolerance, **fitting)
+    history = Steps(nu, len(nu), snap)
+    if snap <= 0:
+        return history, now, goal
+    limit = tolerance * max(goal.sum(), 1.0)
+    now = _sums(table, history, False)
+    inverse = np.linalg.pinv(_sums(table, history, True), rcond=1e-10)
+    for _ in range(steps):
+        miss = now - goal
+        if np.abs(miss).max() <= limit:
+            break
+        history = Steps(np.concatenate([history.nu, [inverse @ miss]]), history.free, snap)
+        before, now = now, _sums(table, history, False)
+        if np.abs(now - before).max() <= limit:
+            break
+    return history, now, goal
+
+
 def copies(rate: np.ndarray, draw: np.ndarray, snap: float = 0.0) -> np.ndarray:
     """Whole copies with the rate as mean: draw is uniform in [0, 1). Rates within `snap` of a whole number are taken as it."""
     whole = np.round(rate)
@@ -236,16 +280,20 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS,
 
 
 def resample(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, snap: float = 0.1, **fitting) -> DataFrame:
-    """The mixture itself: every row of docs as many times as its copies say, with all its columns."""
+    """The mixture itself: every row of docs as many times as its copies say, with all its columns.
+
+    snap: rates this near to a whole number of 1 or more are taken as it, so that most documents stay as they are;
+    the other rates are fitted with these given, so that the expected tokens still meet the targets.
+    """
     model = train(docs, labels)
     table = materialise(memberships(docs, model), "mixing-members")
-    history, _, _ = fit_rates(table, targets, **fitting)
+    history, _, _ = fit_whole_rates(table, targets, snap, **fitting)
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             p, _ = model.posteriors(*utf8_view(batch.column(batch.num_columns - 1)))
-            n = copies(rates(p, history), _draws(batch.column(batch.num_columns - 2)), snap)
+            n = copies(rates(p, history), _draws(batch.column(batch.num_columns - 2)))
             own = pa.RecordBatch.from_arrays(batch.columns[:-2], batch.schema.names[:-2])
             yield own.take(pa.array(np.repeat(np.arange(len(n)), n)))
 

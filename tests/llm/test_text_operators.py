@@ -378,6 +378,19 @@ def test_step_solves_the_whole_problem_in_numpy(spark):
     assert np.allclose((n * r) @ p, now) and np.abs(now - goal).max() < 1e-6 * goal.sum()
 
 
+def test_mixture_meets_its_targets_in_tokens(spark):
+    rng = np.random.default_rng(2)
+    words = {n: [f"{n}{i}" for i in range(40)] for n in mixing.DOMAINS}
+    kind = rng.choice(3, 4_000, p=[0.75, 0.11, 0.14])
+    rows = [(i, " ".join(rng.choice(words[mixing.DOMAINS[k]], 30))) for i, k in enumerate(kind)]
+    labels = spark.createDataFrame([(i, int(k != 1), int(k == 2)) for i, k in enumerate(kind.tolist())], "doc_id long, quality int, toxic int")
+    out = mixing.resample(documents(spark, rows), labels, keep="clean").select("doc_id").toPandas()
+    got = np.bincount(kind[out.doc_id], minlength=3)
+    share = got / got.sum()
+    assert got[0] == (kind == 0).sum()
+    assert abs(share[1] - 0.04) < 0.012 and abs(share[2] - 0.005) < 0.004
+
+
 def test_mixing_of_odd_rows(spark, odd):
     labels = spark.createDataFrame([(3, 1, 0), (4, 0, 0), (4, 1, None), (None, 1, 1)], "doc_id long, quality int, toxic int")
     assert mixing.mix(odd, labels).count() == odd.count()

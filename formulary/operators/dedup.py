@@ -112,6 +112,66 @@ def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int
     return near.select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
 
 
+def _cells(fps: DataFrame, bits: int, key: str, limit: int, out, schema: str, block: int) -> DataFrame:
+    """Compare all fingerprints, block against block. out gets (a, b, dist) of a cell's pairs within limit bits, a < b, as arrays."""
+    rows = fps.where(F.col("fp").isNotNull() & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), "fp")
+    rows = _stored(rows)
+    n = max(1, -(-rows.count() // block))
+    own = F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
+    dealt = rows.select("id", "fp", own.alias("own"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("o"))
+    dealt = dealt.select(F.least("own", "o").alias("i"), F.greatest("own", "o").alias("j"), "own", "id", "fp")
+
+    def run(cell: pa.Table) -> pa.Table:
+        i, j = cell.column("i")[0].as_py(), cell.column("j")[0].as_py()
+        ids, side = cell.column("id").to_numpy(), cell.column("own").to_numpy()
+        words = cell.column("fp").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+        signs = np.unpackbits(np.ascontiguousarray(words).view(np.uint8), axis=1).astype(np.float32) * 2 - 1
+        left, right, found = np.flatnonzero(side == i), np.flatnonzero(side == j), []
+        for s in range(0, len(left), 512):
+            part = left[s : s + 512]
+            dist = (bits - signs[part] @ signs[right].T) / 2
+            r, c = np.nonzero(dist <= limit)
+            a, b, d = ids[part[r]], ids[right[c]], dist[r, c].astype(np.int32)
+            if i == j:
+                once = a < b
+                a, b, d = a[once], b[once], d[once]
+            found.append((np.minimum(a, b), np.maximum(a, b), d))
+        return out(*(np.concatenate(x) for x in zip(*found))) if found else out(*(np.empty(0, t) for t in (np.int64, np.int64, np.int32)))
+
+    return dealt.groupBy("i", "j").applyInArrow(run, schema)
+
+
+def pairs_exact(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, key: str = "doc_id", block: int = 8192) -> DataFrame:
+    """All pairs with similarity of tau or more: every fingerprint is compared with every other. At 0.7 no exact index
+    has fewer candidates than a good part of all pairs."""
+
+    def out(a: np.ndarray, b: np.ndarray, d: np.ndarray) -> pa.Table:
+        return pa.table({"a": a, "b": b, "dist": d, "sim": np.round(1 - d / bits, 6)})
+
+    return _cells(fps, bits, key, int((1 - tau) * bits + 1e-9), out, "a long, b long, dist int, sim double", block)
+
+
+def links_exact(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, key: str = "doc_id", block: int = 8192) -> DataFrame:
+    """Links (a, b) with the same components as pairs_exact: of each cell every node and the least one it is joined to."""
+
+    def out(a: np.ndarray, b: np.ndarray, d: np.ndarray) -> pa.Table:
+        node, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+        x, y, root = at[: len(a)], at[len(a) :], np.arange(len(node))
+        while len(a):
+            low = np.minimum(root[x], root[y])
+            later = root.copy()
+            np.minimum.at(later, x, low)
+            np.minimum.at(later, y, low)
+            later = later[later]
+            if (later == root).all():
+                break
+            root = later
+        on = np.flatnonzero(root != np.arange(len(node)))
+        return pa.table({"a": node[root[on]].astype(np.int64), "b": node[on].astype(np.int64)})
+
+    return _cells(fps, bits, key, int((1 - tau) * bits + 1e-9), out, "a long, b long", block)
+
+
 def prefix_tokens(sh: DataFrame, percent: int, key: str = "doc_id") -> DataFrame:
     """key, n, token: of each set its first n - ceil(percent n / 100) + 1 tokens, the rarest first."""
     long = sh.select(key, F.size("sh").alias("n"), F.explode("sh").alias("token"))

@@ -74,6 +74,29 @@ def dedup_any_previous(spark, d):
     return dedup.any_previous(x.select("doc_id"), dedup.pairs_blocked(dedup.fingerprint60(x), 3))
 
 
+@query("simhash_pairs")
+def simhash_pairs(spark, d):
+    """All pairs with similarity of 0.7 or more on 256 bits."""
+    return dedup.pairs_exact(dedup.fingerprint(docs(spark, d)))
+
+
+@query("dup_components_070")
+def dup_components_070(spark, d):
+    return dedup.components(dedup.links_exact(dedup.fingerprint(docs(spark, d))))
+
+
+@query("dedup_survivors_070")
+def dedup_survivors_070(spark, d):
+    x = docs(spark, d)
+    return dedup.survivors(x.select("doc_id", "n_chars"), dedup.components(dedup.links_exact(dedup.fingerprint(x))))
+
+
+@query("dedup_any_previous_070")
+def dedup_any_previous_070(spark, d):
+    x = docs(spark, d)
+    return dedup.any_previous(x.select("doc_id"), dedup.pairs_exact(dedup.fingerprint(x)))
+
+
 @query("simhash_lsh")
 def simhash_lsh(spark, d):
     return dedup.pairs_lsh(dedup.fingerprint(docs(spark, d)))

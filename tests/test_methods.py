@@ -156,6 +156,30 @@ def test_lsh_finds_near_copies(spark):
     assert len(near & found) >= 0.95 * len(near) > 0
 
 
+def _planted_fingerprints(spark):
+    """Groups of four fingerprints whose members differ from the first in 12 to 76 of 256 bits, and fingerprints alone."""
+    rng, rows = np.random.default_rng(8), []
+    for g in range(40):
+        base = rng.integers(0, 2, 256)
+        for m in range(4):
+            x = base.copy()
+            x[rng.choice(256, int(rng.integers(12, 77)) if m else 0, replace=False)] ^= 1
+            rows.append((4 * g + m, np.packbits(x).view(np.int64).tolist()))
+    fps = spark.createDataFrame(rows, "doc_id long, fp array<long>")
+    w = np.array([r[1] for r in rows], np.int64).view(np.uint64)
+    dist = np.bitwise_count(w[:, None] ^ w[None, :]).sum(axis=2)
+    return fps, dist
+
+
+def test_exact_pairs_are_whole_at_seven_tenths(spark):
+    fps, dist = _planted_fingerprints(spark)
+    for block in (8192, 50):
+        got = {(r.a, r.b): r.dist for r in dedup.pairs_exact(fps, block=block).collect()}
+        assert got == {(a, b): int(dist[a, b]) for a in range(160) for b in range(a + 1, 160) if dist[a, b] <= 76}
+    roots = [{r.node: r.root for r in dedup.components(x).collect()} for x in (dedup.links_exact(fps, block=50), dedup.pairs_exact(fps))]
+    assert roots[0] == roots[1] and len(roots[0]) >= 160
+
+
 def test_components_of_random_graphs(spark):
     rng = random.Random(4)
     edges = [(rng.randrange(200), rng.randrange(200)) for _ in range(150)]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -92,8 +93,14 @@ def pairs_blocked(fps: DataFrame, d: int, bits: int = BITS60, key: str = "doc_id
     return x.where((F.col("dist") <= d) & ~earlier).select("a", "b", F.col("dist").cast("int").alias("dist"))
 
 
-def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int = 16, tables: int = 32, seed: int = 5, key: str = "doc_id") -> DataFrame:
-    """Pairs with similarity of tau or more among those that agree on r sampled bits in one of the tables."""
+def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int = 12, tables: int | None = None, seed: int = 5, key: str = "doc_id", recall: float = 0.99) -> DataFrame:
+    """Pairs with similarity of tau or more among those that agree on r sampled bits in one of the tables: an approximate
+    method (pairs_exact finds all). Unless given, there are so many tables that a pair at tau itself is met with
+    probability recall."""
+    limit = int((1 - tau) * bits + 1e-9)
+    if tables is None:
+        meet = math.comb(bits - limit, r) / math.comb(bits, r)
+        tables = max(1, math.ceil(math.log(1 - recall) / math.log1p(-meet))) if meet < 1 else 1
     rng = np.random.default_rng(seed)
     picks = [sorted(rng.choice(bits, r, replace=False).tolist()) for _ in range(tables)]
 
@@ -108,7 +115,7 @@ def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int
 
     keyed = fps.where("fp IS NOT NULL").select(F.col(key).cast("long").alias(key), "fp").mapInArrow(keys, f"{key} long, fp array<long>, t int, v long")
     a, b = keyed.select(F.col(key).alias("a"), F.col("fp").alias("fa"), "t", "v"), keyed.select(F.col(key).alias("b"), F.col("fp").alias("fb"), "t", "v")
-    near = a.join(b, ["t", "v"]).where("a < b").withColumn("dist", distance(F.col("fa"), F.col("fb"))).where(F.col("dist") <= int((1 - tau) * bits + 1e-9))
+    near = a.join(b, ["t", "v"]).where("a < b").withColumn("dist", distance(F.col("fa"), F.col("fb"))).where(F.col("dist") <= limit)
     return near.select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
 
 
@@ -172,6 +179,20 @@ def links_exact(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, key:
     return _cells(fps, bits, key, int((1 - tau) * bits + 1e-9), out, "a long, b long", block)
 
 
+def sweep_exact(fps: DataFrame, taus: tuple[float, ...], bits: int = 256, key: str = "doc_id", block: int = 8192) -> DataFrame:
+    """tau, pairs, removable: pairs with that similarity and their distinct later documents, counted where they are found."""
+    limits = [int((1 - t) * bits + 1e-9) for t in taus]
+
+    def out(a: np.ndarray, b: np.ndarray, d: np.ndarray) -> pa.Table:
+        got = [(t, *np.unique(b[d <= x], return_counts=True)) for t, x in zip(taus, limits)]
+        return pa.table({"tau": pa.array([t for t, v, _ in got for _ in v], pa.float64()), "b": pa.array([i for _, v, _ in got for i in v.tolist()], pa.int64()), "n": pa.array([c for _, _, k in got for c in k.tolist()], pa.int64())})
+
+    seen = _cells(fps, bits, key, max(limits), out, "tau double, b long, n long", block)
+    found = seen.groupBy("tau").agg(F.sum("n").alias("pairs"), F.countDistinct("b").alias("removable"))
+    every = fps.sparkSession.createDataFrame([(t,) for t in taus], "tau double")
+    return every.join(found, "tau", "left").select("tau", F.coalesce("pairs", F.lit(0)).alias("pairs"), F.coalesce("removable", F.lit(0)).alias("removable"))
+
+
 def prefix_tokens(sh: DataFrame, percent: int, key: str = "doc_id") -> DataFrame:
     """key, n, token: of each set its first n - ceil(percent n / 100) + 1 tokens, the rarest first."""
     long = sh.select(key, F.size("sh").alias("n"), F.explode("sh").alias("token"))

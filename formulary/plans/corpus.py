@@ -53,7 +53,7 @@ def run(spark: SparkSession, pages: DataFrame, cfg: Config, perplexity: DataFram
     scored = scored.join(perplexity, "page_id", "left") if perplexity is not None else scored.withColumn("ppl", F.lit(None).cast("double"))
     judged = dedup._stored(classify.verdicts(scored, order, cfg.keep_lang, cfg.cut_with_tex, cfg.cut_without_tex, cfg.max_ppl).withColumn("verdict", F.when(F.col("status") != "ok", F.col("status")).when(F.coalesce(F.trim("text"), F.lit("")) == "", "empty").otherwise(F.col("verdict"))))
     kept = judged.where("verdict = 'keep'")
-    near = dedup.pairs_lsh(dedup.fingerprint(kept, cfg.fp_bits, key="page_id"), cfg.tau, cfg.fp_bits, key="page_id")
+    near = dedup.links_exact(dedup.fingerprint(kept, cfg.fp_bits, key="page_id"), cfg.tau, cfg.fp_bits, key="page_id")
     losers = dedup.components(near).where("node <> root").select(F.col("node").alias("page_id"))
     spam = C.host(F.col("url")).rlike(rf"(^|\.)({'|'.join(L.SPAM_HOSTS)})[0-9]*\.")
     final = judged.join(losers.withColumn("_dup", F.lit(True)), "page_id", "left")

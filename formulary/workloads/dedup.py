@@ -104,11 +104,10 @@ def simhash_lsh(spark, d):
 
 @query("dedup_sweep")
 def dedup_sweep(spark, d):
-    """Pairs found and documents touched at each threshold."""
-    fps, out = dedup.fingerprint(docs(spark, d)), None
-    near = dedup.pairs_lsh(fps, tau=0.6)
-    for tau in (0.6, 0.7, 0.8, 0.9):
-        x = near.where(F.col("sim") >= tau).agg(F.lit(tau).alias("tau"), F.count("*").alias("pairs"), F.countDistinct("b").alias("removable"))
+    """All pairs and the documents they touch at each threshold and width."""
+    out = None
+    for bits in (64, 128, 256):
+        x = dedup.sweep_exact(dedup.fingerprint(docs(spark, d), bits), (0.6, 0.7, 0.8, 0.9), bits).withColumn("bits", F.lit(bits))
         out = x if out is None else out.unionByName(x)
     return out
 

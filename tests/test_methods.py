@@ -178,6 +178,25 @@ def test_exact_pairs_are_whole_at_seven_tenths(spark):
         assert got == {(a, b): int(dist[a, b]) for a in range(160) for b in range(a + 1, 160) if dist[a, b] <= 76}
     roots = [{r.node: r.root for r in dedup.components(x).collect()} for x in (dedup.links_exact(fps, block=50), dedup.pairs_exact(fps))]
     assert roots[0] == roots[1] and len(roots[0]) >= 160
+    taus = (0.6, 0.7, 0.8, 0.9)
+    got = {r.tau: (r.pairs, r.removable) for r in dedup.sweep_exact(fps, taus, block=50).collect()}
+    for t in taus:
+        near = (dist <= int((1 - t) * 256 + 1e-9)) & np.tri(160, k=-1, dtype=bool)
+        assert got[t] == (near.sum(), near.any(axis=1).sum())
+
+
+def test_plan_and_queries_remove_at_seven_tenths(spark):
+    """Candidates of 32 tables of 16 bits met one in ten of the pairs at 0.7."""
+    fps, dist = _planted_fingerprints(spark)
+    found = {(r.a, r.b) for r in dedup.pairs_lsh(fps).collect()}
+    whole = {(r.a, r.b) for r in dedup.pairs_exact(fps).collect()}
+    assert found <= whole and len(found) >= 0.97 * len(whole)
+    from formulary.registry import QUERIES
+    from formulary.workloads import dedup as _  # noqa: F401
+
+    assert {"simhash_pairs", "dup_components_070", "dedup_survivors_070", "dedup_any_previous_070"} <= set(QUERIES)
+    sweep = {(r.bits, r.tau) for r in QUERIES["dedup_sweep"](spark, SF).collect()}
+    assert sweep == {(b, t) for b in (64, 128, 256) for t in (0.6, 0.7, 0.8, 0.9)}
 
 
 def test_components_of_random_graphs(spark):

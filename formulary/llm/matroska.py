@@ -8,12 +8,13 @@ timestamp and its byte range in the file.
 from __future__ import annotations
 
 import hashlib
+import math
 import struct
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -152,7 +153,12 @@ def _uint(data: bytes, at: int, end: int) -> int:
 
 
 def _float(data: bytes, at: int, end: int) -> float:
-    return {0: lambda b: 0.0, 4: lambda b: struct.unpack(">f", b)[0], 8: lambda b: struct.unpack(">d", b)[0]}[end - at](data[at:end])
+    if end - at not in (0, 4, 8):
+        raise Broken(f"a float of {end - at} bytes")
+    value = struct.unpack(">f" if end - at == 4 else ">d", data[at:end])[0] if end > at else 0.0
+    if not math.isfinite(value):
+        raise Broken("a float that is no number")
+    return value
 
 
 def frame_ranges(data: bytes, at: int, end: int, lacing: int) -> list[tuple[int, int]]:
@@ -317,28 +323,37 @@ def packet_table(files: DataFrame, id_col: str, media_col: str) -> DataFrame:
     Null files and bytes of another format give one row with a status and no packet; cut files give their whole packets.
     """
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            for key, raw in zip(f["id"], f["media"]):
+    schema = pa.schema([("id", pa.int64()), ("track", pa.int64()), ("codec", pa.string()), ("packet", pa.int64()), ("timestamp_ns", pa.int64()), ("first_byte", pa.int64()), ("n_bytes", pa.int64()), ("keyframe", pa.bool_()), ("status", pa.string())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for key, raw in zip(batch.column(0).to_pylist(), batch.column(1)):
+                raw = raw.as_py()
                 try:
                     m = parse(raw) if raw is not None else Media()
                     status = "null" if raw is None else "truncated" if m.truncated else "ok"
                 except Broken as e:
                     m, status = Media(), f"broken: {e}"
                 rows = [(key, t, m.tracks.get(t, {}).get("codec"), i, ns, at, n, k, status) for i, (t, ns, at, n, k) in enumerate(m.packets)]
-                yield pd.DataFrame(rows or [(key, None, None, None, None, None, None, None, status)], columns=["id", "track", "codec", "packet", "timestamp_ns", "first_byte", "n_bytes", "keyframe", "status"])
+                rows = rows or [(key, None, None, None, None, None, None, None, status)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
-    return files.select(F.col(id_col).cast("long").alias("id"), F.col(media_col).alias("media")).mapInPandas(run, "id long, track int, codec string, packet long, timestamp_ns long, first_byte long, n_bytes long, keyframe boolean, status string")
+    return files.select(F.col(id_col).cast("long").alias("id"), F.col(media_col).alias("media")).mapInArrow(run, "id long, track long, codec string, packet long, timestamp_ns long, first_byte long, n_bytes long, keyframe boolean, status string")
 
 
 def media_column(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id and a media file (binary) that stores each text, padded, as 8-bit samples."""
+    """id and a media file (binary) that stores each text, padded, as 8-bit samples.
+
+    One row per input row: null and empty texts are 64 zero bytes, equal texts equal files, a null id stays null; other
+    columns are ignored whatever their names; an empty table gives an empty result. A file holds its whole text.
+    """
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            yield pd.DataFrame({"id": f["id"], "media": [write_pcm(padded((t or "").encode("utf-8", "surrogatepass"))) for t in f["text"]]})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            files = [write_pcm(padded((t or "").encode("utf-8", "surrogatepass"))) for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(files, pa.binary())], ["id", "media"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInPandas(run, "id long, media binary")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, media binary")
 
 
 def media_digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -360,14 +375,16 @@ def media_digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         ranges = zlib.crc32(repr([p[:4] for p in m.packets]).encode())
         return len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), f"tracks={len(m.tracks)};clusters={m.clusters};cues={len(m.cues)};packets={len(m.packets)};ms={m.duration:.3f};table={ranges:08x}"
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        names = ["n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
-        for f in frames:
-            out = pd.DataFrame([digest(t) for t in f["text"]], columns=names)
-            out.insert(0, "doc_id", f["doc_id"].values)
-            yield out
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"]
+    types = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [digest(t) for t in batch.column(1).to_pylist()]
+            if found:
+                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(zip(*found), types))], names)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInPandas(run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
 
 
 def op8_query(spark, sf_dir: str) -> DataFrame:

@@ -12,7 +12,7 @@ import zlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -91,9 +91,9 @@ class Encoder:
             return np.array(self.library().encode(text, add_special_tokens=False).ids, np.uint32)
         try:
             return self.fast.encode_to_numpy(text, disallowed_special=())
-        except (KeyboardInterrupt, SystemExit):
-            raise
-        except BaseException:  # a panic of the fast library, on very long runs of white space
+        except BaseException as e:  # a panic of the fast library (no Exception), on very long runs of white space
+            if type(e).__name__ != "PanicException":
+                raise
             return np.array(self.library().encode(text, add_special_tokens=False).ids, np.uint32)
 
 
@@ -115,39 +115,50 @@ def cut(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
 def pieces(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, separator: int = SEPARATOR) -> DataFrame:
     """doc_id, piece, start, length, ids_crc32 of every document's pieces; a null or empty text is the separator alone."""
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    names, types = ["doc_id", "piece", "start", "length", "ids_crc32"], [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(vocabulary_path)
-        for f in frames:
+        for batch in batches:
             rows = []
-            for key, text in zip(f["doc_id"].tolist(), f["text"].tolist()):
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 ids = np.append(enc.ids(text), np.uint32(separator)).astype("<u4")
                 rows += [(key, i, s, n, zlib.crc32(ids[s : s + n].tobytes())) for i, (s, n) in enumerate(cut(len(ids), capacity))]
-            out = pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32"])
-            yield out.astype({"doc_id": "Int64"})
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), types)], names)
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    return narrow.mapInPandas(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return narrow.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def pack(rows: DataFrame, capacity: int = CAPACITY, open_bins: int = OPEN_BINS) -> DataFrame:
-    """Add sequence_id and offset to rows with a length (1 to capacity); other columns stay.
+    """Add sequence_id and offset to rows with a length (1 to capacity); other columns stay, whatever they are called.
 
-    Rows are dealt by a hash of their values and packed in hash order, so a task that runs again packs alike.
-    Sequences of different partitions have different ids; within one, pieces lie without gaps from offset 0.
+    Columns that are called sequence_id or offset already are replaced. A row whose length is null or 0 takes no
+    place: both are null. A length beyond the capacity is an error. Repeated rows are packed each; an empty table
+    gives an empty result. Rows are dealt by a hash of their values and packed in hash order, so a task that runs
+    again packs alike. Sequences of different partitions have different ids; within one, pieces lie without gaps
+    from offset 0.
     """
+    rows = rows.drop("sequence_id", "offset")
+    deal = "deal"
+    while deal in rows.columns:
+        deal += "_"
+    at = rows.columns.index("length")
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fit, base = BestFit(capacity, open_bins), TaskContext.get().partitionId() << 40
-        for f in frames:
-            placed = [fit.place(n) for n in f["length"].tolist()]
-            f["sequence_id"] = np.array([base + b for b, _ in placed], np.int64)
-            f["offset"] = np.array([o for _, o in placed], np.int64)
-            yield f.drop(columns="deal").astype({c: "Int64" for c in f.columns if c == "doc_id"})
-
-    dealt = rows.withColumn("deal", F.xxhash64(*rows.columns))
-    dealt = dealt.repartition("deal").sortWithinPartitions("deal", *rows.columns)
+        for batch in batches:
+            placed = [fit.place(n) if n else None for n in batch.column(at).to_pylist()]
+            sequence = pa.array([None if p is None else base + p[0] for p in placed], pa.int64())
+            offset = pa.array([None if p is None else p[1] for p in placed], pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], sequence, offset], [*batch.schema.names[:-1], "sequence_id", "offset"])
+
+    keys = [F.col(f"`{c}`") for c in rows.columns]
+    dealt = rows.withColumn(deal, F.xxhash64(*keys))
+    dealt = dealt.repartition(deal).sortWithinPartitions(deal, *keys)
     schema = ", ".join(f"`{n}` {t}" for n, t in rows.dtypes) + ", sequence_id long, offset long"
-    return dealt.mapInPandas(run, schema)
+    return dealt.mapInArrow(run, schema)
 
 
 def pack_documents(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, open_bins: int = OPEN_BINS, separator: int = SEPARATOR) -> DataFrame:

@@ -12,7 +12,7 @@ from collections.abc import Iterator
 from itertools import islice
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -155,21 +155,21 @@ def count_tokens(docs: DataFrame, vocabulary_path: str, id_col: str = "doc_id",
     columns are ignored whatever their names; an empty table gives an empty result. Texts are never cut.
     """
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = merger(vocabulary_path)
-        for f in frames:
-            texts, counts, part, held = f["text"].tolist(), [], [], 0
-            for t in texts:
+        for batch in batches:
+            counts, part, held = [], [], 0
+            for t in batch.column(2).to_pylist():
                 part.append(t)
                 held += len(t or "")
                 if held > 1 << 20:
                     counts += count_batch(m, part)
                     part, held = [], 0
             counts += count_batch(m, part)
-            yield pd.DataFrame({"doc_id": f["doc_id"], "n_bytes": f["n_bytes"], "n_tokens": np.array(counts, np.int64)})
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(counts, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
 
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.octet_length(text_col), F.lit(0)).cast("long").alias("n_bytes"), F.col(text_col).alias("text"))
-    return narrow.mapInPandas(run, "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
+    return narrow.mapInArrow(run, "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
 
 
 def op2_query(spark, sf_dir: str) -> DataFrame:

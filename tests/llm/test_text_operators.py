@@ -403,3 +403,35 @@ def test_copies_keep_the_mean():
     draw = np.random.default_rng(0).random(20_000)
     assert abs(mixing.copies(rate, draw).mean() - 1.3) < 0.02
     assert mixing.copies(np.array([0.95, 0.05, 0.5]), np.array([0.0, 0.99, 0.6]), 0.1).tolist() == [1, 0, 1]
+
+
+# ---- ids
+
+
+def test_large_ids_stay_whole_beside_a_null(spark):
+    big = 2**53 + 1
+    df = documents(spark, [(big, "one two"), (None, "three"), (big + 2, None)]).coalesce(1)
+    want = [None, big, big + 2]
+    order = lambda rows: sorted((r[0] for r in rows), key=lambda i: i or 0)
+    assert order(token_counts.count_tokens(df, VOCABULARY).collect()) == want
+    assert order(packing.pack_documents(df, VOCABULARY).collect()) == want
+    assert order(matroska.media_digest(df).collect()) == want
+    files = matroska.media_column(df)
+    assert order(files.collect()) == want
+    assert order(matroska.packet_table(files, "id", "media").select("id").distinct().collect()) == want
+
+
+def test_packing_keeps_columns_of_any_name(spark):
+    rows = spark.createDataFrame([(1, 5, 9, 7), (2, None, 9, 7), (3, 0, 9, 7), (4, 1024, 9, 7)], "doc_id long, length long, deal int, offset int")
+    got = {r.doc_id: r for r in packing.pack(rows).collect()}
+    assert packing.pack(rows).columns == ["doc_id", "length", "deal", "sequence_id", "offset"] and {r.deal for r in got.values()} == {9}
+    assert got[2].sequence_id is None and got[3].offset is None and got[1].offset == got[4].offset == 0
+
+
+@pytest.mark.parametrize("body", [b"\x00" * 3, b"\x7f\xf8" + b"\x00" * 6, b"\x7f\x80\x00\x00"])
+def test_floats_that_are_none_break_a_file_only(spark, body):
+    audio = matroska.element(matroska.AUDIO, matroska.element(matroska.SAMPLING, body))
+    tracks = matroska.element(matroska.TRACKS, matroska.element(matroska.TRACK_ENTRY, matroska.element(matroska.CODEC_ID, b"A_PCM/INT/LIT") + audio))
+    raw = matroska.element(matroska.EBML, b"") + matroska.element(matroska.SEGMENT, tracks)
+    got = matroska.packet_table(spark.createDataFrame([(1, bytearray(raw)), (2, bytearray(matroska.write_pcm(bytes(64))))], "id long, media binary"), "id", "media").collect()
+    assert {r.id: r.status.split(":")[0] for r in got} == {1: "broken", 2: "ok"}

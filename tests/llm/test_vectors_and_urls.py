@@ -63,8 +63,37 @@ def test_invalid_vectors_link_with_nothing(spark):
     rows = [(1, good), (2, good), (3, None), (4, [0.0, 0.0, 0.0]), (5, [float("nan"), 1.0, 1.0]), (6, [1.0, None, 1.0]), (7, [float("inf"), 1.0, 1.0]), (8, [1.0]), (None, good), (9, [-1.0, -2.0, -3.0]), (9, [-1.0, -2.0, -3.0]), (10, [2e300, 4e300, 6e300])]
     got = pivot_neardup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
     by = sorted((r.vec_id or -1, r.n_links, r.component_id or -1) for r in got)
-    assert by[0][0] == -1 and len(got) == len(rows)
-    assert by[1:] == [(1, 2, 1), (2, 2, 1), (3, 0, 3), (4, 0, 4), (5, 0, 5), (6, 0, 6), (7, 0, 7), (8, 0, 8), (9, 1, 9), (9, 1, 9), (10, 2, 1)]
+    assert by[0] == (-1, 3, 1) and len(got) == len(rows)  # a row without an id is compared as any other
+    assert by[1:] == [(1, 3, 1), (2, 3, 1), (3, 0, 3), (4, 0, 4), (5, 0, 5), (6, 0, 6), (7, 0, 7), (8, 0, 8), (9, 1, 9), (9, 1, 9), (10, 3, 1)]
+
+
+def test_finer_lists_find_the_same(spark):
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(40, 32))
+    x = np.concatenate([c + rng.normal(scale=0.05, size=(12, 32)) for c in centres])
+    hit = naive_links(x, np.ones(len(x), bool))
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": range(len(x)), "embedding": x.tolist()}))
+    for shared in (3, 4):
+        got = pivot_neardup.near_duplicates(df, pivots=64, nearest=12, shared=shared).toPandas().set_index("vec_id").loc[range(len(x))]
+        assert (got.n_links <= hit.sum(axis=1)).all() and got.n_links.sum() >= 0.97 * hit.sum()
+
+
+def test_more_vectors_get_finer_lists():
+    x = np.random.default_rng(4).normal(size=(4000, 32))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    few, many = pivot_neardup.calibrate(x, 0.95, 10**4, (256, 1024)), pivot_neardup.calibrate(x, 0.95, 10**9, (256, 1024))
+    lists = lambda c: len(c[0]) ** c[2]
+    assert lists(many) >= 16 * lists(few)
+    for points, nearest, shared in (few, many):
+        met = [pivot_neardup._in_common(*(pivot_neardup.nearest_pivots(v, points, nearest) for v in pair)) for pair in pivot_neardup._meetings(x, 0.95)]
+        assert min((m >= shared).mean() for m in met) >= 0.9
+
+
+def test_large_ids_stay_whole_beside_a_null(spark):
+    big = 2**53 + 1
+    rows = [(big, [1.0, 2.0, 3.0]), (big + 2, [1.0, 2.0, 3.1]), (None, [3.0, -1.0, 0.0]), (5, None)]
+    got = pivot_neardup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>").coalesce(1)).collect()
+    assert sorted((r.vec_id, r.component_id, r.n_links) for r in got if r.vec_id) == [(5, 5, 0), (big, big, 1), (big + 2, big, 1)]
 
 
 def test_no_vectors(spark):

@@ -18,9 +18,8 @@ from pyspark.sql import functions as F
 from .common import hash_sample, utf8_view
 from .quality_gam import held_out
 
-#: At most this many documents, those with the least id hash, give training stretches to the driver.
-SAMPLE = 6000
-STRETCH = 192
+#: At most this many labelled documents, those with the least id hash, go to the driver, with their whole texts.
+SAMPLE = 4000
 HIDDEN = 8
 CORE, WARM = 120, 12
 UNKNOWN = "und"
@@ -122,26 +121,24 @@ def gradients(model: Gru, rows: np.ndarray, target: np.ndarray, weight: np.ndarr
     return loss, [gx0, gx1, gu0, gu1, *go, g.sum(axis=(0, 1))]
 
 
-def fit(stretches: list[bytes], languages: list[str], known: list[str], hidden: int = HIDDEN, steps: int = 450, batch: int = 160, rate: float = 0.02, seed: int = 11) -> Gru:
-    """Adam on random batches, each language drawn alike often; positions past a stretch's end weigh nothing."""
+def fit(texts: list[bytes], languages: list[str], known: list[str], hidden: int = HIDDEN, steps: int = 450, batch: int = 160, span: int = 64, rate: float = 0.02, seed: int = 11) -> Gru:
+    """Adam on random batches of `span` bytes from anywhere in the texts, each language drawn alike often; positions past
+    a text's end weigh nothing."""
     model = new_model(known, hidden, seed)
     if len(known) < 2:
         return model
     rng = np.random.default_rng(seed)
-    length = max(map(len, stretches))
-    rows = np.zeros((len(stretches), length), np.uint8)
-    for i, s in enumerate(stretches):
-        rows[i, : len(s)] = np.frombuffer(s, np.uint8)
-    size, target = np.array([len(s) for s in stretches]), np.array([known.index(x) for x in languages])
+    size, target = np.array([len(s) for s in texts]), np.array([known.index(x) for x in languages])
+    data, begin = np.frombuffer(b"".join(texts), np.uint8), np.cumsum(size) - size
+    span = min(span, int(size.max()))
     of = [np.flatnonzero(target == k) for k in range(len(known))]
     first, second = [np.zeros_like(p) for p in model.parameters()], [np.zeros_like(p) for p in model.parameters()]
-    span = min(length, 64)
     for t in range(1, steps + 1):
         pick = np.concatenate([rng.choice(o, -(-batch // len(known))) for o in of])
         start = (rng.random(len(pick)) * np.maximum(size[pick] - span + 1, 1)).astype(int)
         at = start[:, None] + np.arange(span)
         weight = (at < size[pick][:, None]).astype(np.float32)
-        chosen = rows[pick[:, None], np.minimum(at, length - 1)]
+        chosen = np.where(weight > 0, data[np.minimum(begin[pick][:, None] + at, len(data) - 1)], 0)
         _, grads = gradients(model, np.ascontiguousarray(chosen.T), target[pick], weight.T)
         norm = np.sqrt(sum(float((g * g).sum()) for g in grads))
         step = rate * min(1.0, 2 * (1 - t / (steps + 1)))
@@ -175,19 +172,11 @@ def pooled(model: Gru, data: np.ndarray, offsets: np.ndarray, core: int = CORE,
     return np.where(size[:, None] > 0, total / np.maximum(size, 1)[:, None], 1 / max(k, 1))
 
 
-def train(docs: DataFrame, sample: int = SAMPLE, stretch: int = STRETCH) -> Gru | None:
-    """Learn from text and non-null lang of documents that aren't held out: two stretches of each sampled document."""
+def train(docs: DataFrame, sample: int = SAMPLE) -> Gru | None:
+    """Learn from text and non-null lang of documents that aren't held out: whole texts of a sample of them."""
     known = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), 4, 2) & F.col("text").rlike(r"\p{L}"))
-    start = lambda salt: F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit(salt)), F.greatest(F.length("text") - stretch, F.lit(0)).cast("long") + 1).cast("int") + 1
-    rows = known.select("doc_id", "lang", *(F.col("text").substr(start(s), F.lit(stretch)).alias(f"s{s}") for s in (1, 2)))
-    got = hash_sample(rows, "doc_id", sample, docs.count()).collect()
-    stretches, languages = [], []
-    for r in got:
-        for s in (r.s1, r.s2):
-            if s:
-                stretches.append(s.encode("utf-8", "surrogatepass"))
-                languages.append(r.lang)
-    return fit(stretches, languages, sorted(set(languages))) if stretches else None
+    got = hash_sample(known.select("doc_id", "lang", "text"), "doc_id", sample, docs.count()).collect()
+    return fit([r.text.encode("utf-8", "surrogatepass") for r in got], [r.lang for r in got], sorted({r.lang for r in got})) if got else None
 
 
 def with_language(docs: DataFrame, model: Gru | None, text_col: str = "text") -> DataFrame:

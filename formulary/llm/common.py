@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -16,10 +17,12 @@ _LOCAL: dict[str, str] = {}
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder (spark.checkpoint.dir); a temporary one only where that is unset, as in tests."""
+    """The cluster's shared folder (spark.checkpoint.dir); a temporary one only where that is unset and all tasks run here."""
     shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if shared:
         return shared.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if "dir" not in _LOCAL:
         _LOCAL["dir"] = tempfile.mkdtemp(prefix="formulary-")
     return "file://" + _LOCAL["dir"]
@@ -32,11 +35,11 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def discard(df: DataFrame) -> None:
-    """Delete the files behind a table made by materialise()."""
-    jvm = df.sparkSession.sparkContext._jvm
-    conf = df.sparkSession.sparkContext._jsc.hadoopConfiguration()
-    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+def discard(*tables: DataFrame) -> None:
+    """Delete the files behind tables made by materialise() that no later step reads."""
+    spark = tables[0].sparkSession
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for folder in {f.rsplit("/", 1)[0] for df in tables for f in df.inputFiles()}:
         where = jvm.org.apache.hadoop.fs.Path(folder)
         where.getFileSystem(conf).delete(where, True)
 
@@ -57,10 +60,10 @@ def hash_sample(df: DataFrame, key: str, n: int, total: int) -> DataFrame:
 
 
 def utf8_view(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """The bytes of a string column end to end, and the offsets of its rows; nulls are empty."""
+    """The bytes of a string or binary column end to end, and the offsets of its rows; nulls are empty."""
     if column.null_count:
-        column = pc.fill_null(column, "")
-    kind = np.int64 if pa.types.is_large_string(column.type) else np.int32
+        column = pc.fill_null(column, pa.scalar(b"" if pa.types.is_binary(column.type) or pa.types.is_large_binary(column.type) else "", column.type))
+    kind = np.int64 if pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type) else np.int32
     _, at, raw = column.buffers()
     if len(column) == 0:
         return np.empty(0, np.uint8), np.zeros(1, np.int64)
@@ -123,7 +126,6 @@ def edges_to_components(edges: DataFrame, tag: str, max_rounds: int = 60) -> Dat
         small_low = materialise(large.groupBy("u").agg(F.min("v").alias("m")), f"{tag}-slow")
         small = large.join(small_low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small_low.select("u", F.col("m").alias("v")))
         nxt = materialise(small.where("u <> v").distinct(), f"{tag}-edges")
-        for done in (e, low, large, small_low):
-            discard(done)
+        discard(e, low, large, small_low)
         e = nxt
     raise RuntimeError(f"components did not converge in {max_rounds} rounds")

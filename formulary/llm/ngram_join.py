@@ -3,6 +3,8 @@
 1. Live sets. A set with a partner shares all but a few tokens with it. Over a quarter of the token space, every
    task sends its tokens as sorted blocks of short fingerprints and learns how many of each set's tokens any other
    set has; sets with too few can't have a partner. (Equal fingerprints of unlike tokens only let more sets live.)
+   A token that several sets of a chunk have is counted there and sent once, so a token of a third of all rows costs
+   an entry a chunk; the number of buckets follows the number of tokens.
 2. Order. Of the live sets, the same exchange returns each token's document frequency. Tokens have one global
    order, the rarest first, then by hash.
 3. Prefixes. A set's prefix holds so many of its first tokens that two sets similar enough must meet in it. Rare
@@ -11,15 +13,18 @@
    covers nothing. Where a set has too few tokens for that, its frequent tokens are also indexed singly, in a list
    space of their own. A token that no other set has fills its place in the prefix but isn't indexed.
 4. Verification. Sets that meet in a list form candidate groups (by edges to the list's first set, not by pairs).
-   Whole sets go once to their group, in blocks; a block counts all its intersections and gives each set the least
-   set that it is linked to. Groups of several blocks then compare the sets outside the group's largest class with
-   all the others, block against block. Nothing is capped, and no step emits the pairs of a group.
+   Whole sets go once to their group, in small blocks that each have the group's first set as well; a block counts all
+   its intersections and gives each set the least set that it is linked to, so copies of the first set are settled
+   here. Groups of several blocks are then divided by size (sets of unlike sizes can't link) and compare the sets
+   outside the division's largest class with all the others, block against block. Nothing is capped, and no step
+   emits the pairs of a group.
 
 Equal sets are one node. Names of sets are 63-bit hashes of their content.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -28,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slabs, edges_to_components, materialise, mix64, utf8_view
+from .common import byte_slabs, discard, edges_to_components, materialise, mix64, utf8_view
 from .shingles import set_names, shingle_sets
 
 WORDS = 4
@@ -36,11 +41,18 @@ PERCENT = 85
 #: A token is frequent if more live sets than this have it.
 FREQUENT = 64
 CLASSES = 16
+#: Sets of a block with the group's first set, and of a block that is compared with another.
+HEADED = 250
 BLOCK = 1000
 _SLAB = 1 << 20
-#: Tokens of one block of the frequency exchanges.
+#: Tokens that a task sends together in the first exchange, and tokens of a chunk of live sets.
+_SENDING = 1 << 22
 _CHUNK = 1 << 20
+#: Tokens of a bucket: there are up to 4096 buckets of the least size, then they grow to the largest.
+BUCKET = (1 << 19, 1 << 24)
 _QUARTER = np.uint64(3)
+#: Stands for the owner of a token that its chunk has counted already.
+_COUNTED = 0xFFFFFFFF
 #: 64-bit words of the filter (2 MB, whatever the input) that spares most texts without a partner a shuffle.
 FILTER_WORDS = 1 << 18
 _PAIR, _SINGLE = np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3)
@@ -134,11 +146,20 @@ def _described(k: int):
     return run
 
 
-def _blocks(tokens: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """An order of tokens by (bucket, fingerprint), the fingerprints in that order, and the borders of the buckets."""
-    bucket = (tokens >> np.uint64(8)) % np.uint64(buckets)
-    order = np.lexsort((tokens >> np.uint64(32), bucket))
-    return order, (tokens[order] >> np.uint64(32)).astype(np.uint32), np.searchsorted(bucket[order], np.arange(buckets + 1).astype(np.uint64))
+def bucket_count(tokens: int, least: int = BUCKET[0], most: int = BUCKET[1]) -> int:
+    """Buckets for so many tokens: as many as keep a bucket within its bounds."""
+    return max(1, -(-tokens // min(max(tokens // 4096, least), most)))
+
+
+def _blocks(tokens: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """An order of tokens by (bucket, fingerprint), where each distinct one starts in it, the distinct fingerprints, and
+    the borders of the buckets among these."""
+    code = (tokens >> np.uint64(8)) % np.uint64(buckets) << np.uint64(32) | tokens >> np.uint64(32)
+    order = np.argsort(code, kind="stable")
+    code = code[order]
+    first = np.flatnonzero(np.concatenate([[True], code[1:] != code[:-1]])) if len(code) else np.empty(0, np.int64)
+    code = code[first]
+    return order, first, code.astype(np.uint32), np.searchsorted(code >> np.uint64(32), np.arange(buckets + 1).astype(np.uint64))
 
 
 def _chunk_name(names: np.ndarray) -> int:
@@ -153,7 +174,7 @@ _SENT = "bucket int, spread long, chunk long, fp binary, idx binary"
 def _sent(k: int, percent: int, buckets: int):
     """Texts -> blocks of the fingerprints of a quarter of all tokens, and a row of names for each chunk of sets.
 
-    The row of names (bucket -1) has the sets' names as fp and, as idx, how many shared tokens each needs.
+    The row of names (bucket -1) has the sets' names as fp and, as idx, how many tokens shared with other chunks each needs.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -164,9 +185,11 @@ def _sent(k: int, percent: int, buckets: int):
             names, need, size, tokens = (np.concatenate(x) for x in zip(*held))
             held.clear()
             chunk = _chunk_name(names)
-            owner = np.repeat(np.arange(len(size), dtype=np.uint16), size)
-            order, fp, at = _blocks(tokens, buckets)
-            owner = owner[order]
+            order, first, fp, at = _blocks(tokens, buckets)
+            owner = np.repeat(np.arange(len(size), dtype=np.uint32), size)[order]
+            times = np.diff(np.append(first, len(owner)))
+            need = need - np.bincount(owner[np.repeat(times > 1, times)], minlength=len(need))
+            owner = np.where(times > 1, np.uint32(_COUNTED), owner[first])
             used = np.flatnonzero(np.diff(at))
             rows = [(-1, chunk, chunk, names.tobytes(), need.astype(np.int32).tobytes()), *((int(b), 0, chunk, fp[at[b] : at[b + 1]].tobytes(), owner[at[b] : at[b + 1]].tobytes()) for b in used)]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary()))], ["bucket", "spread", "chunk", "fp", "idx"])
@@ -182,7 +205,7 @@ def _sent(k: int, percent: int, buckets: int):
                 inside = inside[at[1:]] - inside[at[:-1]]
                 keep = quarter & np.repeat(fresh, size)
                 held.append((node[fresh], (inside - prefix_size(size, percent) + 1)[fresh], inside[fresh], h[keep]))
-                if sum(len(x[3]) for x in held) >= _CHUNK or sum(len(x[0]) for x in held) > 50_000:
+                if sum(len(x[3]) for x in held) >= _SENDING or sum(len(x[0]) for x in held) > 400_000:
                     yield send()
         if any(len(x[0]) for x in held):
             yield send()
@@ -201,14 +224,15 @@ def _shared_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     def settle(held: list) -> pa.RecordBatch | None:
         fp = np.concatenate([np.frombuffer(x[1], np.uint32) for x in held])
         block = np.repeat(np.arange(len(held)), [len(x[1]) // 4 for x in held])
-        owner = np.concatenate([np.frombuffer(x[2], np.uint16) for x in held]).astype(np.int64)
+        owner = np.concatenate([np.frombuffer(x[2], np.uint32) for x in held]).astype(np.int64)
         order = np.argsort(fp, kind="stable")
         same = fp[order][1:] == fp[order][:-1]
         shared = np.zeros(len(fp), bool)
         shared[order[1:]] |= same
         shared[order[:-1]] |= same
-        code, got = np.unique(block[shared] << 16 | owner[shared], return_counts=True)
-        return out(np.array([x[0] for x in held], np.int64)[code >> 16], code & 0xFFFF, None, None, got) if len(code) else None
+        shared &= owner != _COUNTED
+        code, got = np.unique(block[shared] << 32 | owner[shared], return_counts=True)
+        return out(np.array([x[0] for x in held], np.int64)[code >> 32], code & 0xFFFFFFFF, None, None, got) if len(code) else None
 
     bucket, held = None, []
     for batch in batches:
@@ -280,14 +304,15 @@ def _chunked(k: int):
 
 
 def _asked(buckets: int):
-    """Chunks -> (bucket, chunk, fp): the fingerprints of all their tokens."""
+    """Chunks -> (bucket, chunk, fp, times): the distinct fingerprints of their tokens, and how many sets of the chunk have them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for chunk, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                _, fp, at = _blocks(np.frombuffer(raw, np.uint64), buckets)
+                order, first, fp, at = _blocks(np.frombuffer(raw, np.uint64), buckets)
+                times = np.diff(np.append(first, len(order))).astype(np.uint32)
                 used = np.flatnonzero(np.diff(at))
-                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array([chunk] * len(used), pa.int64()), pa.array([fp[at[b] : at[b + 1]].tobytes() for b in used], pa.binary())], ["bucket", "chunk", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array([chunk] * len(used), pa.int64()), *(pa.array([x[at[b] : at[b + 1]].tobytes() for b in used], pa.binary()) for x in (fp, times))], ["bucket", "chunk", "fp", "times"])
 
     return run
 
@@ -297,19 +322,19 @@ def _answered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def settle(bucket: int, held: list) -> pa.RecordBatch:
         fp = np.concatenate([np.frombuffer(x[1], np.uint32) for x in held])
-        _, back, count = np.unique(fp, return_inverse=True, return_counts=True)
-        code = frequency_code(count)[back]
+        _, back = np.unique(fp, return_inverse=True)
+        code = frequency_code(np.bincount(back, np.concatenate([np.frombuffer(x[2], np.uint32) for x in held])))[back]
         at = np.concatenate([[0], np.cumsum([len(x[1]) // 4 for x in held])])
         return pa.RecordBatch.from_arrays([pa.array([x[0] for x in held], pa.int64()), pa.array([bucket] * len(held), pa.int32()), pa.array([code[a:b].tobytes() for a, b in zip(at, at[1:])], pa.binary())], ["chunk", "bucket", "codes"])
 
     bucket, held = None, []
     for batch in batches:
-        for b, chunk, fp in zip(*(batch.column(i).to_pylist() for i in range(3))):
+        for b, chunk, fp, times in zip(*(batch.column(i).to_pylist() for i in range(4))):
             if b != bucket and held:
                 yield settle(bucket, held)
                 held = []
             bucket = b
-            held.append((chunk, fp))
+            held.append((chunk, fp, times))
     if held:
         yield settle(bucket, held)
 
@@ -321,9 +346,9 @@ def _keyed(percent: int, buckets: int, frequent: int):
         for batch in batches:
             for nodes, sizes, raw, answers in zip(*(batch.column(i).to_pylist() for i in range(4))):
                 tokens, size = np.frombuffer(raw, np.uint64), np.frombuffer(sizes, np.int32).astype(np.int64)
-                order, _, _ = _blocks(tokens, buckets)
+                order, first, _, _ = _blocks(tokens, buckets)
                 code = np.empty(len(tokens), np.uint8)
-                code[order] = np.frombuffer(b"".join(x["codes"] for x in sorted(answers, key=lambda x: x["bucket"])), np.uint8)
+                code[order] = np.repeat(np.frombuffer(b"".join(x["codes"] for x in sorted(answers, key=lambda x: x["bucket"])), np.uint8), np.diff(np.append(first, len(order))))
                 rank = np.lexsort((tokens, code, np.repeat(np.arange(len(size)), size)))
                 tokens, code, at = tokens[rank], code[rank], np.concatenate([[0], np.cumsum(size)])
                 keys = [prefix_keys(tokens[a:b], code[a:b], percent, frequent) for a, b in zip(at, at[1:])]
@@ -385,9 +410,9 @@ def _compare(rows: DataFrame, percent: int, tag: str) -> DataFrame:
     return materialise(dealt.mapInArrow(_linked(percent), "a long, b long"), tag)
 
 
-def _live_chunks(texts: DataFrame, words: int, percent: int) -> DataFrame:
+def _live_chunks(texts: DataFrame, words: int, percent: int, tokens: int) -> DataFrame:
     """Chunks of the sets that may have a partner."""
-    buckets = max(8, int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
+    buckets = bucket_count(tokens // 4)
     sent = texts.mapInArrow(_sent(words, percent, buckets), _SENT).repartition("bucket", "spread").sortWithinPartitions("bucket")
     counted = sent.mapInArrow(_shared_counts, "chunk long, i int, node long, need int, got long")
     sets = counted.groupBy("chunk", "i").agg(F.max("node").alias("node"), F.max("need").alias("need"), F.coalesce(F.sum("got"), F.lit(0)).alias("got"))
@@ -396,39 +421,65 @@ def _live_chunks(texts: DataFrame, words: int, percent: int) -> DataFrame:
     return materialise(held.select("node", "text").mapInArrow(_chunked(words), "chunk long, nodes binary, sizes binary, tokens binary"), "join-chunks")
 
 
-def set_groups(docs: DataFrame, text_col: str, words: int = WORDS, percent: int = PERCENT, block: int = BLOCK, frequent: int = FREQUENT) -> DataFrame:
-    """Rows (node, component) of the sets that are linked with another one; component: the least node reached."""
+def _divided(wide: DataFrame, percent: int) -> DataFrame:
+    """Rows of wide groups with grp renamed to a part of it: sets of neighbouring size bands share one.
+
+    A band spans a little more than the ratio of sizes that linked sets may have, so they are at most one apart; a set
+    is in the parts of its own and the next lower band, within its group's.
+    """
+    size = (F.octet_length("tokens") / 8).cast("double")
+    band = F.floor(F.log(size) / (math.log(100 / percent) * (1 + 1e-9))) if percent < 100 else size
+    wide = wide.withColumn("band", band.cast("long"))
+    ends = materialise(wide.groupBy("grp").agg(F.min("band").alias("lo"), F.max("band").alias("hi")), "join-bands")
+    top = F.greatest(F.col("hi") - 1, F.col("lo"))
+    parts = F.array_distinct(F.array(F.greatest(F.col("band") - 1, F.col("lo")), F.least(F.col("band"), top)))
+    return wide.join(ends, "grp").withColumn("part", F.explode(parts)).withColumn("grp", F.xxhash64("grp", "part")).drop("band", "lo", "hi", "part")
+
+
+def set_groups(docs: DataFrame, text_col: str, words: int = WORDS, percent: int = PERCENT, block: int = BLOCK, headed: int = HEADED, frequent: int = FREQUENT, tokens: int | None = None) -> DataFrame:
+    """Rows (node, component) of the sets that are linked with another one; component: the least node reached.
+
+    Null, empty and wordless texts have no set and no row; equal texts are one set; an empty table gives an empty
+    result. tokens: the number of shingles of all texts, if known; it only sizes the exchanges.
+    """
     texts = docs.select(F.col(text_col).alias("text"))
-    chunks = _live_chunks(texts, words, percent)
-    buckets = max(8, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) // 4)
-    asked = chunks.select("chunk", "tokens").mapInArrow(_asked(buckets), "bucket int, chunk long, fp binary").repartition("bucket").sortWithinPartitions("bucket")
+    if tokens is None:
+        tokens = texts.select(F.lit(0).cast("long").alias("doc_id"), "text").mapInArrow(_described(words), "doc_id long, n_shingles long, node long").agg(F.sum("n_shingles")).first()[0] or 0
+    chunks = _live_chunks(texts, words, percent, tokens)
+    buckets = bucket_count((chunks.agg(F.sum(F.octet_length("tokens"))).first()[0] or 0) // 8)
+    asked = chunks.select("chunk", "tokens").mapInArrow(_asked(buckets), "bucket int, chunk long, fp binary, times binary").repartition("bucket").sortWithinPartitions("bucket")
     answers = asked.mapInArrow(_answered, "chunk long, bucket int, codes binary").groupBy("chunk").agg(F.collect_list(F.struct("bucket", "codes")).alias("answers"))
     keyed = chunks.join(answers, "chunk").select("nodes", "sizes", "tokens", "answers").mapInArrow(_keyed(percent, buckets, frequent), "key long, node long")
     posted = materialise(keyed, "join-posted")
-    lists = posted.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last")).where("head < last").select("key", "head")
-    edges = posted.join(materialise(lists, "join-lists"), "key").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
+    lists = materialise(posted.groupBy("key").agg(F.min("node").alias("head"), F.max("node").alias("last")).where("head < last").select("key", "head"), "join-lists")
+    edges = posted.join(lists, "key").where("node <> head").select(F.col("head").alias("a"), F.col("node").alias("b"))
     groups = edges_to_components(edges, "join-groups").select("node", F.col("component").alias("grp"))
     groups = materialise(groups, "join-groups")
-    sizes = materialise(groups.groupBy("grp").agg(F.ceil(F.count("*") / block).cast("int").alias("blocks")), "join-sizes")
-    groups = groups.join(sizes, "grp").select("node", "grp", "blocks")
+    discard(posted, lists)
+    counts = materialise(groups.groupBy("grp").agg(F.count("*").alias("members")), "join-sizes")
+    groups = groups.join(counts, "grp").select("node", "grp", F.ceil(F.col("members") / headed).cast("int").alias("blocks"))
     sets = chunks.select("nodes", "sizes", "tokens").mapInArrow(_unpacked, "node long, tokens binary")
     sets = materialise(sets.join(groups, "node").select("node", "grp", "blocks", "tokens"), "join-sets")
-    own = F.pmod(F.xxhash64("node", F.lit(3)), F.col("blocks")).cast("int")
-    first = _compare(sets.select("grp", own.alias("b1"), own.alias("b2"), "node", "tokens", F.lit(2).alias("side")), percent, "join-links")
+    discard(chunks)
+    spread = lambda salt, n: F.pmod(F.xxhash64("node", F.lit(salt)), F.col(n)).cast("int")
+    blocks = F.when(F.col("node") == F.col("grp"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(spread(3, "blocks")))
+    first = _compare(sets.select("grp", F.explode(blocks).alias("b1"), "node", "tokens").select("grp", "b1", F.col("b1").alias("b2"), "node", "tokens", F.lit(2).alias("side")), percent, "join-links")
     wide = sets.where("blocks > 1")
     if not wide.limit(1).count():  # a block has reached all that a group of one block can
         return first.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(first.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
     label = edges_to_components(first, "join-first").select(F.col("node").alias("_n"), "component")
-    wide = materialise(wide.join(label, F.col("node") == F.col("_n"), "left").select("node", "grp", "blocks", "tokens", F.coalesce("component", "node").alias("label")), "join-wide")
+    wide = wide.join(label, F.col("node") == F.col("_n"), "left").select("node", "grp", "tokens", F.coalesce("component", "node").alias("label"))
+    wide = materialise(_divided(wide, percent), "join-wide")
     top = wide.groupBy("grp", "label").agg(F.count("*").alias("c")).groupBy("grp").agg(F.max(F.struct("c", "label")).alias("top"), F.sum("c").alias("all"))
-    top = materialise(top.select("grp", F.col("top.label").alias("major"), F.ceil((F.col("all") - F.col("top.c")) / block).cast("int").alias("rest")).where("rest > 0"), "join-top")
-    left = wide.join(top, "grp").withColumn("minor", F.col("label") != F.col("major")).withColumn("b", own).withColumn("c", F.pmod(F.xxhash64("node", F.lit(5)), F.col("rest")).cast("int"))
+    top = top.select("grp", F.col("top.label").alias("major"), F.ceil(F.col("all") / block).cast("int").alias("blocks"), F.ceil((F.col("all") - F.col("top.c")) / block).cast("int").alias("rest")).where("rest > 0")
+    left = wide.join(materialise(top, "join-top"), "grp").withColumn("minor", F.col("label") != F.col("major")).withColumn("b", spread(3, "blocks")).withColumn("c", spread(5, "rest"))
     major = left.where("NOT minor").select("grp", "b", F.explode(F.sequence(F.lit(0), F.col("rest") - 1)).alias("c"), "node", "tokens", F.lit(0).alias("side"))
     minor = left.where("minor").select("grp", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("b"), "c", "node", "tokens", F.lit(1).alias("side"))
     among = left.where("minor").select("grp", "c", F.explode(F.sequence(F.lit(0), F.col("rest") - 1)).alias("o"), "node", "tokens")
     among = among.select("grp", (-1 - F.least("c", "o")).alias("b1"), F.greatest("c", "o").alias("b2"), "node", "tokens", F.when(F.col("c") == F.col("o"), 2).when(F.col("c") < F.col("o"), 0).otherwise(1).alias("side"))
     rows = major.unionByName(minor).select("grp", F.col("b").alias("b1"), F.col("c").alias("b2"), "node", "tokens", "side").unionByName(among)
     second = _compare(rows, percent, "join-more")
+    discard(sets, wide)
     return edges_to_components(first.unionByName(second), "join-final")
 
 
@@ -442,7 +493,7 @@ def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     """
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     rows = materialise(narrow.mapInArrow(_described(words), "doc_id long, n_shingles long, node long"), "join-docs")
-    linked = set_groups(narrow, "text", words, percent, **tuning)
+    linked = set_groups(narrow, "text", words, percent, tokens=rows.agg(F.sum("n_shingles")).first()[0] or 0, **tuning)
     lowest = rows.where("node <> 0").groupBy("node").agg(F.min("doc_id").alias("low"))
     named = materialise(lowest.join(linked, "node", "left").select("node", "low", F.coalesce("component", "node").alias("c")), "join-nodes")
     least = materialise(named.groupBy("c").agg(F.min("low").alias("component_id")), "join-least")

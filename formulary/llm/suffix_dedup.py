@@ -17,6 +17,10 @@ many of them needs few rounds and independent builds can run in parallel:
    windows, counted and joined back. Nothing is capped or dropped.
 
 Intervals of repeated windows then meet their text again, which is cut and hashed.
+
+Two widths. Passages (some fifty words, 240 bytes) can be found beside the windows of `width`: a repeated window of 400
+bytes lies whole in a run that repeated strings of 240 bytes cover. So the passages are found first in all texts, and the
+wider windows only in those runs, each of which is a short text of its own.
 """
 
 from __future__ import annotations
@@ -35,6 +39,8 @@ from .column_bwt import repeated_windows
 from .common import byte_slabs, discard, materialise, mix64, powers, utf8_view
 
 WIDTH = 400
+#: A passage of some fifty words.
+PASSAGE = 240
 GRAM = 32
 CELL = 64
 #: Strings of one build, and the most different flanks of a core that go into one build.
@@ -98,7 +104,7 @@ def _core(anchor: int, j: int, width: int, cell: int) -> tuple[int, int]:
     return last, first + width
 
 
-def _digest(text: str):
+def _digest(text):
     return hashlib.blake2b(text, digest_size=16).digest()
 
 
@@ -135,7 +141,7 @@ def _anchored(width: int):
 
 
 def _with_name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (digest, text), a text once a task."""
+    """Rows (digest, text as bytes), a text once a task."""
     seen: set[bytes] = set()
     for batch in batches:
         names = [_digest(t) for t in _texts(batch, 0)]
@@ -179,7 +185,7 @@ def _flanked(width: int, cell: int, flanks: int):
         for f in frames:
             rows = []
             for name, text, wanted in zip(f["digest"], f["text"], f["wanted"]):
-                raw = text.encode("utf-8", "surrogatepass")
+                raw = bytes(text)
                 for c in wanted:
                     s, n, last = c["first"], c["windows"], c["last_of_cell"]
                     if c["variants"] <= flanks:
@@ -229,7 +235,7 @@ def _built(cell: int, build: int):
 def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, cell: int = CELL, build: int = BUILD, flanks: int = FLANKS) -> DataFrame:
     """Rows (digest, spans): byte ranges of each text that repeated windows cover, unordered, for texts that have any.
 
-    texts: one column text; named: (digest, n) with the number of rows of each text.
+    texts: one column text (binary); named: (digest, n) with the number of rows of each text.
     """
     found = materialise(texts.mapInArrow(_anchored(width), "anchor long, digest binary, place int"), "suffix-anchors")
     again = found.groupBy("anchor").agg(F.min(F.struct("digest", "place")).alias("a"), F.max(F.struct("digest", "place")).alias("b"))
@@ -237,7 +243,7 @@ def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, c
     live = found.join(again, "anchor").groupBy("digest").agg(F.collect_set("place").alias("places"))
     live = materialise(live.join(named, "digest").select("digest", "n", "places"), "suffix-live")
     discard(found)
-    holders = texts.mapInArrow(_with_name, "digest binary, text string")
+    holders = texts.mapInArrow(_with_name, _HOLDERS)
     rows = holders.join(live, "digest").select("digest", "n", "text", "places").mapInArrow(_celled(width, cell), "core long, flanks long, n long, digest binary, first int, windows int, last_of_cell int")
     rows = materialise(rows, "suffix-cells")
     kinds = rows.groupBy("core", "flanks").agg(F.sum("n").alias("n"), F.min(F.struct("digest", "first", "windows", "last_of_cell")).alias("r"))
@@ -259,7 +265,40 @@ def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, c
     alone = single.join(twice, "window").select("digest", "first", F.col("first").alias("last"))
     spans = whole.unionByName(built).unionByName(alone)
     spans = spans.groupBy("digest").agg(F.collect_set(F.struct("first", (F.col("last") + width).alias("end"))).alias("spans"))
-    return materialise(spans, "suffix-spans")
+    spans = materialise(spans, "suffix-spans")
+    discard(again, live, rows, kinds, whole, mixed, wanted, strings, twice)
+    return spans
+
+
+_HOLDERS = "digest binary, text binary"
+
+
+def _pieces(width: int):
+    """(digest, n, text, spans) -> the runs of at least width bytes: digest, n, at (place in the text), piece (digest of the run), text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for name, n, text, spans in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), _texts(batch, 2), batch.column(3).to_pylist()):
+                runs = [(a, bytes(text[a:b])) for a, b in merged(spans, False, len(text), width) if b - a >= width]
+                if runs:
+                    yield pa.RecordBatch.from_arrays([pa.array([name] * len(runs), pa.binary()), pa.array([n] * len(runs), pa.int64()), pa.array([a for a, _ in runs], pa.int64()), pa.array([_digest(r) for _, r in runs], pa.binary()), pa.array([r for _, r in runs], pa.binary())], ["digest", "n", "at", "piece", "text"])
+
+    return run
+
+
+def intervals_within(texts: DataFrame, named: DataFrame, passages: DataFrame, width: int, **tuning) -> DataFrame:
+    """repeated_intervals for a width above that of the given passages: only the runs that these cover are searched."""
+    held = texts.mapInArrow(_with_name, _HOLDERS).dropDuplicates(["digest"]).join(passages, "digest").join(named, "digest")
+    pieces = materialise(held.select("digest", "n", "text", "spans").mapInArrow(_pieces(width), "digest binary, n long, at long, piece binary, text binary"), "suffix-pieces")
+    counts = materialise(pieces.groupBy("piece").agg(F.sum("n").alias("n"), F.first(F.octet_length("text")).alias("size")), "suffix-counts")
+    found = repeated_intervals(pieces.select("text"), counts.select(F.col("piece").alias("digest"), "n"), width, **tuning)
+    whole = F.array(F.struct(F.lit(0).alias("first"), F.col("size").alias("end")))
+    own = counts.join(found.withColumnRenamed("digest", "piece"), "piece", "left").select("piece", F.when(F.col("n") > 1, whole).otherwise(F.col("spans")).alias("spans")).where("spans IS NOT NULL")
+    placed = pieces.select("digest", "at", "piece").join(own, "piece").select("digest", F.explode("spans").alias("s"), "at")
+    placed = placed.groupBy("digest").agg(F.collect_set(F.struct((F.col("s.first") + F.col("at")).cast("int").alias("first"), (F.col("s.end") + F.col("at")).cast("int").alias("end"))).alias("spans"))
+    placed = materialise(placed, "suffix-spans")
+    discard(pieces, counts)
+    return placed
 
 
 def merged(spans: list, repeated: bool, n: int, width: int) -> list[tuple[int, int]]:
@@ -289,27 +328,36 @@ def _named_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([_digest(t) for t in _texts(batch, batch.num_columns - 1)], pa.binary())], [*batch.schema.names, "_digest"])
 
 
-def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH, whole_characters: bool = False, **tuning) -> DataFrame:
+def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH, whole_characters: bool = False, passage: int | None = None, **tuning) -> DataFrame:
     """docs with columns _kept (the text without its repeated bytes, binary), _removed (runs of bytes) and _n_bytes.
 
     Every byte that a string of `width` bytes covers which also starts elsewhere (same text included, overlaps
     too) goes; strings are judged on the input. Null and empty texts stay empty; repeated rows are repeats of each
     other. whole_characters: leave the bytes of a character that a run would cut, so that what stays is UTF-8.
-    Columns keep their names and values, whatever they are called (names starting with _ are reserved).
+    passage: a shorter width whose runs are reported as _passages, and not removed. An empty table gives an empty
+    result. Columns keep their names and values, whatever they are called (names starting with _ are reserved).
     """
-    text = F.col(text_col).alias("text")
+    if passage is not None and passage >= width:
+        raise ValueError("passages are shorter than the width that is removed")
+    text = F.col(text_col).cast("string").cast("binary").alias("text")
+    texts = docs.select(text)
     named = materialise(docs.select(F.lit(0).cast("long").alias("doc_id"), text).mapInArrow(_named, "doc_id long, n_bytes long, digest binary").groupBy("digest").agg(F.count("*").alias("n")), "suffix-names")
-    spans = repeated_intervals(docs.select(text), named, width, **tuning)
-    marks = materialise(named.where("n > 1").join(spans, "digest", "full").select(F.col("digest").alias("_mark"), F.coalesce("n", F.lit(1)).alias("_n"), F.col("spans").alias("_spans")), "suffix-marks")
-    schema = docs.withColumn("_text", text.cast("string")).schema
-    rows = docs.withColumn("_text", text.cast("string")).mapInArrow(_named_rows, _ddl(schema, "_digest binary"))
+    short = repeated_intervals(texts, named, passage or width, **tuning)
+    spans = intervals_within(texts, named, short, width, **tuning) if passage else short
+    marks = named.where("n > 1").join(spans, "digest", "full").select("digest", F.coalesce("n", F.lit(1)).alias("_n"), F.col("spans").alias("_spans"))
+    short = short.select("digest", F.col("spans").alias("_short")) if passage else short.select("digest", F.lit(None).cast("array<struct<first: int, end: int>>").alias("_short")).limit(0)
+    marks = materialise(marks.join(short, "digest", "full").select(F.col("digest").alias("_mark"), F.coalesce("_n", F.lit(1)).alias("_n"), "_spans", "_short"), "suffix-marks")
+    rows = docs.withColumn("_text", text)
+    rows = rows.mapInArrow(_named_rows, _ddl(rows.schema, "_digest binary"))
     rows = rows.join(marks, F.col("_digest") == F.col("_mark"), "left").drop("_mark", "_digest")
+    added = ("_text", "_n", "_spans", "_short")
+    run_type = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = {name: i for i, name in enumerate(batch.schema.names)}
-            kept, removed, sizes = [], [], []
-            for t, n, spans in zip(_texts(batch, at["_text"]), batch.column(at["_n"]).to_pylist(), batch.column(at["_spans"]).to_pylist()):
+            kept, removed, passages, sizes = [], [], [], []
+            for t, n, spans, short in zip(_texts(batch, at["_text"]), *(batch.column(at[c]).to_pylist() for c in added[1:])):
                 runs, parts, done = merged(spans, (n or 1) > 1, len(t), width), [], 0
                 if whole_characters:
                     runs = [_inside(t, a, b) for a, b in runs]
@@ -318,25 +366,30 @@ def remove_repeats(docs: DataFrame, text_col: str = "text", width: int = WIDTH,
                     done = b
                 kept.append(b"".join([*parts, bytes(t[done:])]))
                 removed.append([{"first": a, "end": b} for a, b in runs])
+                passages.append([{"first": a, "end": b} for a, b in merged(short, (n or 1) > 1, len(t), passage)] if passage else None)
                 sizes.append(len(t))
-            own = [batch.column(i) for name, i in at.items() if name not in ("_text", "_n", "_spans")]
-            yield pa.RecordBatch.from_arrays([*own, pa.array(kept, pa.binary()), pa.array(removed, pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))), pa.array(sizes, pa.int64())], [*(n for n in at if n not in ("_text", "_n", "_spans")), "_kept", "_removed", "_n_bytes"])
+            own = [batch.column(i) for name, i in at.items() if name not in added]
+            yield pa.RecordBatch.from_arrays([*own, pa.array(kept, pa.binary()), pa.array(removed, run_type), pa.array(sizes, pa.int64()), pa.array(passages, run_type)], [*(n for n in at if n not in added), "_kept", "_removed", "_n_bytes", "_passages"])
 
-    return rows.mapInArrow(cut, _ddl(docs.schema, "_kept binary", "_removed array<struct<first: long, end: long>>", "_n_bytes long"))
+    out = rows.mapInArrow(cut, _ddl(docs.schema, "_kept binary", "_removed array<struct<first: long, end: long>>", "_n_bytes long", "_passages array<struct<first: long, end: long>>"))
+    return out if passage else out.drop("_passages")
 
 
 def _ddl(schema, *more: str) -> str:
     return ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in schema), *more])
 
 
-def repeat_digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, **tuning) -> DataFrame:
-    """One row per input row: doc_id, n_bytes, n_removed, n_spans, kept_sha256.
+def repeat_digest(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH, passage: int | None = PASSAGE, **tuning) -> DataFrame:
+    """One row per input row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, with passage, n_passages and
+    passage_bytes: the maximal runs that repeated strings of so many bytes cover, and their bytes.
 
     Null and empty texts: 0 bytes, nothing removed; a null id keeps its row; extra columns are ignored; an empty
     table gives an empty result.
     """
-    out = remove_repeats(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), "text", width, **tuning)
-    return out.select("doc_id", F.col("_n_bytes").alias("n_bytes"), (F.col("_n_bytes") - F.octet_length("_kept")).alias("n_removed"), F.size("_removed").cast("long").alias("n_spans"), F.sha2("_kept", 256).alias("kept_sha256"))
+    out = remove_repeats(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")), "text", width, passage=passage, **tuning)
+    covered = F.aggregate("_passages", F.lit(0).cast("long"), lambda s, r: s + r["end"] - r["first"])
+    more = [F.size("_passages").cast("long").alias("n_passages"), covered.alias("passage_bytes")] if passage else []
+    return out.select("doc_id", F.col("_n_bytes").alias("n_bytes"), (F.col("_n_bytes") - F.octet_length("_kept")).alias("n_removed"), F.size("_removed").cast("long").alias("n_spans"), F.sha2("_kept", 256).alias("kept_sha256"), *more)
 
 
 def op3_query(spark, sf_dir: str) -> DataFrame:

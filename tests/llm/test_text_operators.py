@@ -160,13 +160,19 @@ def test_repeats_match_brute_force(spark, tuning):
     got = suffix_dedup.repeat_digest(documents(spark, rows), **tuning).collect()
     want = naive_repeats([t for _, t in rows], 400)
     assert sorted((r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == sorted(want)
+    assert sorted((r.n_bytes, r.passage_bytes, r.n_passages) for r in got) == sorted(x[:3] for x in naive_repeats([t for _, t in rows], 240))
+    alone = suffix_dedup.repeat_digest(documents(spark, rows), passage=None, **tuning).collect()
+    assert sorted((r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in alone) == sorted(want)
 
 
 def test_repeats_on_given_documents(spark, data):
     docs = table(spark, data, "documents")
     rows = docs.select("doc_id", "text").collect()
-    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.repeat_digest(docs).collect()}
+    found = suffix_dedup.repeat_digest(docs).collect()
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in found}
     assert got == dict(zip((r.doc_id for r in rows), naive_repeats([r.text for r in rows], 400)))
+    passages = naive_repeats([r.text for r in rows], 240)
+    assert {r.doc_id: (r.passage_bytes, r.n_passages) for r in found} == {r.doc_id: x[1:3] for r, x in zip(rows, passages)}
 
 
 def test_repeats_of_odd_and_no_rows(spark, odd):
@@ -202,7 +208,7 @@ def naive_groups(rows, k, percent):
     return {i: (len(s), find(i)) for i, s in sets.items()}
 
 
-@pytest.mark.parametrize("tuning", [{}, {"block": 20, "frequent": 6}, {"words": 5, "percent": 60, "block": 7, "frequent": 3}])
+@pytest.mark.parametrize("tuning", [{}, {"block": 20, "headed": 11, "frequent": 6}, {"words": 5, "percent": 60, "block": 7, "headed": 4, "frequent": 3}])
 def test_join_matches_brute_force(spark, tuning):
     rng = np.random.default_rng(3)
     base = [f"w{i}" for i in range(120)]
@@ -213,6 +219,7 @@ def test_join_matches_brute_force(spark, tuning):
             w[j] = f"x{i}_{j}"
         rows.append((i, " ".join(w)))
     rows += [(400 + i, " ".join(f"q{i}_{j}" for j in range(30)) + " " + " ".join(base[:8])) for i in range(40)]
+    rows += [(450 + i, " ".join(base[: 20 + 3 * i])) for i in range(33)]  # prefixes of one text: many sizes in one group
     rows += [(600, None), (601, ""), (602, "a b"), (603, "A  B"), (604, "a b c d"), (605, " \n"), (606, "a b"), (607, "É"), (608, "é")]
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.jaccard_groups(documents(spark, rows), **tuning).collect()}
     assert got == naive_groups(rows, tuning.get("words", 4), tuning.get("percent", 85))
@@ -225,6 +232,17 @@ def test_join_of_the_same_copies_stored_in_other_orders(spark):
     assert {r.component_id for r in ngram_join.jaccard_groups(docs).collect()} == {0}
 
 
+def test_buckets_follow_the_tokens():
+    size = [n / ngram_join.bucket_count(n) for n in (10**5, 10**7, 10**9, 10**12)]
+    assert ngram_join.bucket_count(0) == 1 and size[1] <= 1 << 19 and max(size) <= 1 << 24
+
+
+def test_a_token_is_sent_once_a_chunk():
+    tokens = np.random.default_rng(1).integers(1, 1 << 63, 500).astype(np.uint64)
+    order, first, fp, at = ngram_join._blocks(np.concatenate([tokens, tokens[:100], tokens[:100]]), 7)
+    assert len(fp) == 500 == at[-1] and sorted(np.diff(np.append(first, len(order))).tolist()) == [1] * 400 + [3] * 100
+
+
 def test_prefix_keys_of_similar_sets_meet():
     rng = np.random.default_rng(0)
     for _ in range(200):

@@ -37,6 +37,8 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
 
 def discard(*tables: DataFrame) -> None:
     """Delete the files behind tables made by materialise() that no later step reads."""
+    if not tables:
+        return
     spark = tables[0].sparkSession
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for folder in {f.rsplit("/", 1)[0] for df in tables for f in df.inputFiles()}:

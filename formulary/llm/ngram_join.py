@@ -501,6 +501,38 @@ def jaccard_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return rows.join(final, "node", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
+def _noded(k: int):
+    """(id, key, text) -> (id, key, node)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = utf8_view(batch.column(2))
+            names = [set_names(*shingle_sets(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], k)) for a, b in byte_slabs(offsets, _SLAB)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.concatenate(names) if names else np.empty(0, np.int64))], ["id", "key", "node"])
+
+    return run
+
+
+def first_of_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, percent: int = PERCENT, **tuning) -> DataFrame:
+    """The rows of docs that a removal of near copies leaves: of each group the one with the least id.
+
+    Ties of ids (repeated ids, or groups whose rows have none) are broken by a hash of the whole row; rows that are
+    equal in all columns are one. A null id comes last in its group. Texts without words belong to no group and stay.
+    Columns keep their names and values (names starting with _ are reserved); an empty table gives an empty result.
+    """
+    row = F.xxhash64(*(F.col(f"`{c}`") for c in docs.columns))
+    keyed = docs.select(F.col(id_col).cast("long").alias("id"), row.alias("key"), F.col(text_col).cast("string").alias("text"))
+    rows = materialise(keyed.mapInArrow(_noded(words), "id long, key long, node long").where("node <> 0"), "join-rows")
+    linked = set_groups(docs, text_col, words, percent, **tuning)
+    first = rows.groupBy("node").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "key")).alias("r"))
+    first = first.join(linked, "node", "left").groupBy(F.coalesce("component", "node")).agg(F.min("r").alias("r"))
+    first = materialise(first.select(F.col("r.key").alias("_first")), "join-kept")
+    discard(rows)
+    wordless = ~F.coalesce(F.col(text_col).cast("string"), F.lit("")).rlike(r"[^\x20\x09-\x0D]")
+    kept = docs.where(~wordless).withColumn("_key", row).join(first, F.col("_key") == F.col("_first"), "left_semi")
+    return kept.dropDuplicates(["_key", id_col]).drop("_key").unionByName(docs.where(wordless))
+
+
 def op5_query(spark, sf_dir: str) -> DataFrame:
     from .common import table
 

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from formulary.llm import byte_gru, mixing, ngram_join, packing, suffix_dedup
-from formulary.llm.common import materialise, table
+from formulary.llm.common import discard, materialise, table
 
 #: A document whose language is less probable than this is rejected; so is one without a letter.
 LANGUAGE_LEAST = 0.4
@@ -19,22 +19,28 @@ VOCABULARY = "byte_bpe_50k.json"
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep documents whose language is found; a null lang is filled with it."""
+    """Keep documents whose language is found; a null lang is filled with it.
+
+    Null, empty and letterless texts go (`und`); rows without an id and repeated rows are judged as any other. Where no
+    document has a lang there is nothing to learn from, and every document goes; an empty table stays empty.
+    """
     found = byte_gru.with_language(docs, byte_gru.train(docs))
     kept = found.where((F.col("_lang") != byte_gru.UNKNOWN) & (F.col("_lang_score") >= LANGUAGE_LEAST))
     return kept.withColumn("lang", F.coalesce("lang", "_lang")).drop("_lang", "_lang_score")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document with the least id of each group; equal rows of that id once. Rows without an id stay."""
-    groups = ngram_join.jaccard_groups(docs, words=WORDS, percent=PERCENT)
-    first = materialise(groups.where("doc_id = component_id").select(F.col("doc_id").alias("_kept")).distinct(), "pipeline-kept")
-    named = docs.where("doc_id IS NOT NULL").join(first, F.col("doc_id").cast("long") == F.col("_kept"), "left_semi")
-    return named.dropDuplicates(["doc_id", "text"]).unionByName(docs.where("doc_id IS NULL"))
+    """Keep of each group of near copies the document with the least id (rows without an id come last, ties by a hash of
+    the row). Texts without words are in no group and stay; an empty table stays empty."""
+    return ngram_join.first_of_groups(docs, words=WORDS, percent=PERCENT)
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Cut passages that also start elsewhere out of the texts; documents of which nothing is left go."""
+    """Cut passages that also start elsewhere out of the texts; documents of which nothing is left go.
+
+    Null and empty texts stay as they are; texts that occur in several rows, long enough, are wholly repeats. n_chars
+    follows the text where it was cut. An empty table stays empty.
+    """
     cut = suffix_dedup.remove_repeats(docs, "text", REPEAT_BYTES, whole_characters=True)
     cut = cut.where((F.octet_length("_kept") > 0) | (F.col("_n_bytes") == 0))
     cut = cut.withColumn("text", F.when(F.size("_removed") > 0, F.decode("_kept", "UTF-8")).otherwise(F.col("text")))
@@ -42,12 +48,17 @@ def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sample the domains to their target shares of the tokens, with the clean domain's tokens as they are."""
+    """Sample the domains to their target shares of the tokens, with the clean domain's tokens as they are.
+
+    Null and empty texts have no tokens and the posteriors of an empty text; equal ids draw alike, rows without an id
+    share one draw. Without labels all domains are alike likely. An empty table stays empty.
+    """
     return mixing.resample(docs, table(spark, sf_dir, "labels"), mixing.TARGETS, keep="clean")
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pack what is left into sequences: one row per piece."""
+    """Pack what is left into sequences: one row per piece. A null or empty text is a piece of one token; rows without an
+    id and repeated rows are packed each; an empty table gives none."""
     return packing.pack_documents(docs, public_tokenizers.path(VOCABULARY))
 
 
@@ -58,7 +69,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """One row per packed piece of what the stages keep; each stage's table is written and read by the next."""
+    docs, before = table(spark, sf_dir, "documents"), []
     for name, stage in STAGES[:-1]:
         docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        discard(*before)
+        before = [docs]
     return STAGES[-1][1](spark, docs, sf_dir)

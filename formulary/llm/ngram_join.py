@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import byte_slabs, discard, edges_to_components, materialise, mix64, utf8_view
+from .common import byte_slabs, discard, edges_to_components, materialise, membership_bits, mix64, utf8_view
 from .shingles import set_names, shingle_sets
 
 WORDS = 4
@@ -48,13 +48,11 @@ _SLAB = 1 << 20
 #: Tokens that a task sends together in the first exchange, and tokens of a chunk of live sets.
 _SENDING = 1 << 22
 _CHUNK = 1 << 20
-#: Tokens of a bucket: there are up to 4096 buckets of the least size, then they grow to the largest.
-BUCKET = (1 << 19, 1 << 24)
+#: Least number of buckets, and most tokens that a bucket should have.
+BUCKETS, BUCKET = 64, 1 << 24
 _QUARTER = np.uint64(3)
 #: Stands for the owner of a token that its chunk has counted already.
 _COUNTED = 0xFFFFFFFF
-#: 64-bit words of the filter (2 MB, whatever the input) that spares most texts without a partner a shuffle.
-FILTER_WORDS = 1 << 18
 _PAIR, _SINGLE = np.uint64(0x8EBC6AF09C88C6E3), np.uint64(0x589965CC75374CC3)
 
 
@@ -146,9 +144,9 @@ def _described(k: int):
     return run
 
 
-def bucket_count(tokens: int, least: int = BUCKET[0], most: int = BUCKET[1]) -> int:
-    """Buckets for so many tokens: as many as keep a bucket within its bounds."""
-    return max(1, -(-tokens // min(max(tokens // 4096, least), most)))
+def bucket_count(tokens: int, least: int = BUCKETS, most: int = BUCKET) -> int:
+    """Buckets for so many tokens: enough to work side by side and to bound a bucket."""
+    return max(least, -(-tokens // most))
 
 
 def _blocks(tokens: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -213,15 +211,17 @@ def _sent(k: int, percent: int, buckets: int):
     return run
 
 
+_SHARED = "chunk long, names binary, need binary, idx binary, got binary"
+
+
 def _shared_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Blocks in runs of one bucket -> (chunk, i, node, need, got): names as they come, and how many tokens of a set others have too."""
+    """Blocks in runs of one bucket -> a row for each block: which sets of its chunk have tokens that other blocks have
+    too, and how many. The rows of names go through."""
 
-    def out(chunk, i, node, need, got) -> pa.RecordBatch:
-        n = len(i)
-        cols = [pa.array(np.broadcast_to(chunk, n).astype(np.int64)), pa.array(i.astype(np.int32)), pa.array(node, pa.int64()) if node is not None else pa.nulls(n, pa.int64()), pa.array(need, pa.int32()) if need is not None else pa.nulls(n, pa.int32()), pa.array(got, pa.int64()) if got is not None else pa.nulls(n, pa.int64())]
-        return pa.RecordBatch.from_arrays(cols, ["chunk", "i", "node", "need", "got"])
+    def rows(found: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*found), (pa.int64(), *[pa.binary()] * 4))], ["chunk", "names", "need", "idx", "got"])
 
-    def settle(held: list) -> pa.RecordBatch | None:
+    def settle(held: list) -> list[tuple]:
         fp = np.concatenate([np.frombuffer(x[1], np.uint32) for x in held])
         block = np.repeat(np.arange(len(held)), [len(x[1]) // 4 for x in held])
         owner = np.concatenate([np.frombuffer(x[2], np.uint32) for x in held]).astype(np.int64)
@@ -232,30 +232,43 @@ def _shared_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
         shared[order[:-1]] |= same
         shared &= owner != _COUNTED
         code, got = np.unique(block[shared] << 32 | owner[shared], return_counts=True)
-        return out(np.array([x[0] for x in held], np.int64)[code >> 32], code & 0xFFFFFFFF, None, None, got) if len(code) else None
+        idx, at = (code & 0xFFFFFFFF).astype(np.uint32), np.searchsorted(code >> 32, np.arange(len(held) + 1))
+        return [(held[k][0], None, None, idx[a:b].tobytes(), got[a:b].astype(np.uint32).tobytes()) for k, (a, b) in enumerate(zip(at, at[1:])) if b > a]
 
     bucket, held = None, []
     for batch in batches:
         for b, chunk, fp, idx in zip(*(batch.column(i).to_pylist() for i in (0, 2, 3, 4))):
             if b < 0:
-                yield out(chunk, np.arange(len(fp) // 8), np.frombuffer(fp, np.int64), np.frombuffer(idx, np.int32), None)
+                yield rows([(chunk, fp, idx, None, None)])
                 continue
             if b != bucket and held:
-                if (found := settle(held)) is not None:
-                    yield found
+                if found := settle(held):
+                    yield rows(found)
                 held = []
             bucket = b
             held.append((chunk, fp, idx))
-    if held and (found := settle(held)) is not None:
-        yield found
+    if held and (found := settle(held)):
+        yield rows(found)
 
 
-def membership_bits(nodes: DataFrame, words: int = FILTER_WORDS) -> np.ndarray:
-    """A bit set of fixed size with the bit of every node set: a filter that lets all nodes through, and some others."""
-    got = nodes.select((F.shiftright("node", 6) % words).alias("w"), F.expr("shiftleft(1L, int(node % 64))").alias("b")).groupBy("w").agg(F.bit_or("b").alias("b")).toArrow()
-    out = np.zeros(words, np.uint64)
-    out[got.column("w").to_numpy()] = got.column("b").to_numpy().view(np.uint64)
-    return out
+def _live(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of _shared_counts in runs of one chunk, its names first -> node: the sets that have as many shared tokens as they need."""
+
+    def settle(names: np.ndarray, left: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(names[left <= 0])], ["node"])
+
+    chunk, names, left = None, None, None
+    for batch in batches:
+        for c, name, need, idx, got in zip(*(batch.column(i).to_pylist() for i in range(5))):
+            if name is not None:  # equal chunks of two tasks send equal names
+                if c != chunk:
+                    if names is not None:
+                        yield settle(names, left)
+                    chunk, names, left = c, np.frombuffer(name, np.int64), np.frombuffer(need, np.int32).astype(np.int64)
+            else:
+                left[np.frombuffer(idx, np.uint32)] -= np.frombuffer(got, np.uint32)
+    if names is not None:
+        yield settle(names, left)
 
 
 def _named_texts(k: int, bits: np.ndarray):
@@ -414,9 +427,9 @@ def _live_chunks(texts: DataFrame, words: int, percent: int, tokens: int) -> Dat
     """Chunks of the sets that may have a partner."""
     buckets = bucket_count(tokens // 4)
     sent = texts.mapInArrow(_sent(words, percent, buckets), _SENT).repartition("bucket", "spread").sortWithinPartitions("bucket")
-    counted = sent.mapInArrow(_shared_counts, "chunk long, i int, node long, need int, got long")
-    sets = counted.groupBy("chunk", "i").agg(F.max("node").alias("node"), F.max("need").alias("need"), F.coalesce(F.sum("got"), F.lit(0)).alias("got"))
-    live = materialise(sets.where("got >= need").select("node").distinct(), "join-live")
+    counted = sent.mapInArrow(_shared_counts, _SHARED).withColumn("later", F.col("names").isNull())
+    counted = counted.repartition("chunk").sortWithinPartitions("chunk", "later").drop("later")
+    live = materialise(counted.mapInArrow(_live, "node long").distinct(), "join-live")
     held = texts.mapInArrow(_named_texts(words, membership_bits(live)), "node long, text string").join(live, "node").dropDuplicates(["node"])
     return materialise(held.select("node", "text").mapInArrow(_chunked(words), "chunk long, nodes binary, sizes binary, tokens binary"), "join-chunks")
 

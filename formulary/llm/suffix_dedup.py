@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .column_bwt import repeated_windows
-from .common import byte_slabs, discard, materialise, mix64, powers, utf8_view
+from .common import byte_slabs, discard, materialise, membership_bits, mix64, powers, utf8_view
 
 WIDTH = 400
 #: A passage of some fifty words.
@@ -140,13 +140,25 @@ def _anchored(width: int):
     return run
 
 
-def _with_name(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (digest, text as bytes), a text once a task."""
-    seen: set[bytes] = set()
-    for batch in batches:
-        names = [_digest(t) for t in _texts(batch, 0)]
-        fresh = [i for i, x in enumerate(names) if not (x in seen or seen.add(x))]
-        yield pa.RecordBatch.from_arrays([pa.array([names[i] for i in fresh], pa.binary()), batch.column(0).take(pa.array(fresh, pa.int64()))], ["digest", "text"])
+def _bits(rows: DataFrame) -> np.ndarray:
+    """A bit set of fixed size (2 MB) with a bit of every digest of rows: it spares most other texts a shuffle."""
+    start = F.conv(F.hex(F.substring("digest", 1, 4)), 16, 10).cast("long")
+    return membership_bits(rows.select(start.alias("node")))
+
+
+def _with_name(bits: np.ndarray):
+    """Rows (digest, text as bytes) of the texts that the bit set lets through, a text once a task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[bytes] = set()
+        for batch in batches:
+            names = [_digest(t) for t in _texts(batch, 0)]
+            start = np.frombuffer(b"".join(n[:4] for n in names), ">u4").astype(np.int64)
+            let = (bits[(start >> 6) % len(bits)] >> (start % 64).astype(np.uint64)) & np.uint64(1) > 0
+            fresh = [i for i in np.flatnonzero(let).tolist() if not (names[i] in seen or seen.add(names[i]))]
+            yield pa.RecordBatch.from_arrays([pa.array([names[i] for i in fresh], pa.binary()), batch.column(0).take(pa.array(fresh, pa.int64()))], ["digest", "text"])
+
+    return run
 
 
 def _celled(width: int, cell: int):
@@ -243,8 +255,7 @@ def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, c
     live = found.join(again, "anchor").groupBy("digest").agg(F.collect_set("place").alias("places"))
     live = materialise(live.join(named, "digest").select("digest", "n", "places"), "suffix-live")
     discard(found)
-    holders = texts.mapInArrow(_with_name, _HOLDERS)
-    rows = holders.join(live, "digest").select("digest", "n", "text", "places").mapInArrow(_celled(width, cell), "core long, flanks long, n long, digest binary, first int, windows int, last_of_cell int")
+    rows = texts.mapInArrow(_with_name(_bits(live)), _HOLDERS).join(live, "digest").select("digest", "n", "text", "places").mapInArrow(_celled(width, cell), "core long, flanks long, n long, digest binary, first int, windows int, last_of_cell int")
     rows = materialise(rows, "suffix-cells")
     kinds = rows.groupBy("core", "flanks").agg(F.sum("n").alias("n"), F.min(F.struct("digest", "first", "windows", "last_of_cell")).alias("r"))
     kinds = materialise(kinds.select("core", "flanks", (F.col("n") > 1).alias("whole"), "r"), "suffix-kinds")
@@ -253,7 +264,7 @@ def repeated_intervals(texts: DataFrame, named: DataFrame, width: int = WIDTH, c
     mixed = materialise(kinds.groupBy("core").agg(F.count("*").alias("variants")).where("variants > 1"), "suffix-mixed")
     wanted = kinds.join(mixed, "core").select("r.digest", F.struct("core", "variants", "r.first", "r.windows", "r.last_of_cell").alias("c")).groupBy("digest").agg(F.collect_list("c").alias("wanted"))
     wanted = materialise(wanted, "suffix-wanted")
-    strings = holders.join(wanted, "digest").select("digest", "text", "wanted").mapInPandas(_flanked(width, cell, flanks), "core long, digest binary, first int, windows int, before int, bytes binary, window binary")
+    strings = texts.mapInArrow(_with_name(_bits(wanted)), _HOLDERS).join(wanted, "digest").select("digest", "text", "wanted").mapInPandas(_flanked(width, cell, flanks), "core long, digest binary, first int, windows int, before int, bytes binary, window binary")
     strings = materialise(strings, "suffix-strings")
     flanked = strings.where("bytes IS NOT NULL").drop("window")
     tasks = max(1, -(-flanked.count() // (2 * build)))  # a build costs seconds, not bytes: no coalescing by size
@@ -288,8 +299,9 @@ def _pieces(width: int):
 
 def intervals_within(texts: DataFrame, named: DataFrame, passages: DataFrame, width: int, **tuning) -> DataFrame:
     """repeated_intervals for a width above that of the given passages: only the runs that these cover are searched."""
-    held = texts.mapInArrow(_with_name, _HOLDERS).dropDuplicates(["digest"]).join(passages, "digest").join(named, "digest")
-    pieces = materialise(held.select("digest", "n", "text", "spans").mapInArrow(_pieces(width), "digest binary, n long, at long, piece binary, text binary"), "suffix-pieces")
+    held = texts.mapInArrow(_with_name(_bits(passages)), _HOLDERS).join(passages.join(named, "digest"), "digest")
+    pieces = held.select("digest", "n", "text", "spans").mapInArrow(_pieces(width), "digest binary, n long, at long, piece binary, text binary")
+    pieces = materialise(pieces.dropDuplicates(["digest", "at"]), "suffix-pieces")
     counts = materialise(pieces.groupBy("piece").agg(F.sum("n").alias("n"), F.first(F.octet_length("text")).alias("size")), "suffix-counts")
     found = repeated_intervals(pieces.select("text"), counts.select(F.col("piece").alias("digest"), "n"), width, **tuning)
     whole = F.array(F.struct(F.lit(0).alias("first"), F.col("size").alias("end")))

@@ -87,23 +87,6 @@ def _sliding_least(x: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(behind[: n - w + 1], ahead[w - 1 : n])
 
 
-def cells(anchor: int, first: int, last: int, width: int = WIDTH, cell: int = CELL) -> list[tuple[int, int, int]]:
-    """(cell, first window, last window) of the windows first..last of an anchor, by their distance to it."""
-    out, s = [], first
-    while s <= last:
-        j = (anchor - s) // cell
-        e = min(last, anchor - j * cell)
-        out.append((j, s, e))
-        s = e + 1
-    return out
-
-
-def _core(anchor: int, j: int, width: int, cell: int) -> tuple[int, int]:
-    """Byte range that all windows of a cell share."""
-    first, last = anchor - j * cell - cell + 1, anchor - j * cell
-    return last, first + width
-
-
 def _digest(text):
     return hashlib.blake2b(text, digest_size=16).digest()
 
@@ -165,31 +148,35 @@ def _celled(width: int, cell: int):
     """(digest, n, text, places of repeated anchors) -> rows of cells as hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        h64 = xxhash.xxh3_64_intdigest
+        h64, mask = xxhash.xxh3_64_intdigest, (1 << 64) - 1
         for batch in batches:
-            names, counts, texts, places = batch.column(0).to_pylist(), batch.column(1).to_pylist(), _texts(batch, 2), batch.column(3).to_pylist()
+            names, counts, texts, places = batch.column(0).to_pylist(), batch.column(1).to_numpy(), _texts(batch, 2), batch.column(3).to_pylist()
             data, offsets = utf8_view(batch.column(2))
             for a, b in byte_slabs(offsets, _SLAB):
                 own, h, at, first, last = anchors(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)
                 wanted = [set(places[i]) for i in range(a, b)]
-                rows: list[list] = [[], [], [], [], [], [], []]
-                for i, hv, p, f, l in zip(own.tolist(), h.tolist(), at.tolist(), first.tolist(), last.tolist()):
-                    if p in wanted[i]:
-                        t, name, n = texts[a + i], names[a + i], counts[a + i]
-                        for j, s, e in cells(p, f, l, width, cell):
-                            x, y = _core(p, j, width, cell)
-                            for old, new in zip(rows, (_signed(h64(t[x:y], seed=(hv + j) % (1 << 64))), _signed(h64(t[s : e + width], seed=p - s)), n, name, s, e - s + 1, p - j * cell)):
-                                old.append(new)
-                if rows[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(rows[0], pa.int64()), pa.array(rows[1], pa.int64()), pa.array(rows[2], pa.int64()), pa.array(rows[3], pa.binary()), *(pa.array(r, pa.int32()) for r in rows[4:])], ["core", "flanks", "n", "digest", "first", "windows", "last_of_cell"])
+                keep = np.fromiter((p in wanted[i] for i, p in zip(own.tolist(), at.tolist())), bool, len(own))
+                own, h, at, first, last = own[keep], h[keep], at[keep], first[keep], last[keep]
+                # a row for each cell of each run of windows: its number, its first window and the last one that it can have
+                low, high = (at - last) // cell, (at - first) // cell
+                times = high - low + 1
+                run_of = np.repeat(np.arange(len(own)), times)
+                j = high[run_of] - (np.arange(len(run_of)) - np.repeat(np.cumsum(times) - times, times))
+                end = at[run_of] - j * cell
+                s, e = np.maximum(first[run_of], end - cell + 1), np.minimum(last[run_of], end)
+                x = end - cell + 1
+                owner = (own + a)[run_of]
+                cores, flanks = np.empty(len(s), np.uint64), np.empty(len(s), np.uint64)
+                for k, (i, hv, jv, xv, sv, ev, d) in enumerate(zip(owner.tolist(), h[run_of].tolist(), j.tolist(), x.tolist(), s.tolist(), (e + width).tolist(), (at[run_of] - s).tolist())):
+                    t = texts[i]
+                    cores[k] = h64(t[xv + cell - 1 : xv + width], hv + jv & mask)
+                    flanks[k] = h64(t[sv:ev], d)
+                if len(s):
+                    yield pa.RecordBatch.from_arrays([pa.array(cores.view(np.int64)), pa.array(flanks.view(np.int64)), pa.array(counts[owner]), pa.array([names[i] for i in owner.tolist()], pa.binary()), *(pa.array(c.astype(np.int32)) for c in (s, e - s + 1, end))], ["core", "flanks", "n", "digest", "first", "windows", "last_of_cell"])
 
     return run
 
 
-def _signed(x: int) -> int:
-    return x - (1 << 64) if x >> 63 else x
-
-
 def _flanked(width: int, cell: int, flanks: int):
     """(digest, text, cells) -> strings of cells for the builds, or hashes of windows where a core has too many flanks."""
 

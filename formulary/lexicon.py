@@ -14,9 +14,9 @@ CLUSTERS, MEMBERS, VOTES = 128, 5, 16
 
 COMMANDS = tuple(
     "frac sqrt sum int prod lim infty alpha beta gamma delta epsilon varepsilon theta lambda mu nu pi rho sigma tau phi varphi psi omega eta zeta xi chi kappa "
-    "Gamma Delta Theta Lambda Sigma Phi Psi Omega Pi partial nabla cdot cdots ldots dots times div pm mp leq le geq ge neq ne approx equiv sim simeq cong propto "
-    "in notin subset subseteq cup cap setminus emptyset forall exists neg wedge vee to rightarrow leftarrow Rightarrow Leftrightarrow iff implies mapsto mathbb "
-    "mathbf mathcal mathrm mathfrak text left right begin end overline underline".split()
+    "Gamma Delta Theta Lambda Sigma Phi Psi Omega Pi partial nabla cdot cdots ldots dots times div pm mp leq le geq ge neq ne approx equiv sim "
+    "in notin subset subseteq cup cap setminus emptyset forall exists to rightarrow leftarrow Rightarrow Leftrightarrow implies mathbb "
+    "mathbf mathcal mathrm text left right begin end overline sin cos tan log ln exp max min sup hat bar vec tilde dot binom quad".split()
 )
 COMMAND_PATTERN = r"\\[A-Za-z]+"
 
@@ -50,7 +50,7 @@ ENCODINGS = {
     "plugin_code": (r"\$latex ([^$]+)\$", 1),
     "mathml": (r"(?s)(<math>.*?</math>)", 1),
 }
-INLINE_PATTERN = r"\$([^$\n]{1,200})\$"
+INLINE_PATTERN = r"\$([^$\n]+)\$"
 DISPLAY_STRIP = r"(?s)\$\$[^$]+\$\$"
 
 

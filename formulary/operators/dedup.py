@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import math
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -136,7 +137,7 @@ def _cells(fps: DataFrame, bits: int, key: str, limit: int, out, schema: str, bl
         left, right, found = np.flatnonzero(side == i), np.flatnonzero(side == j), []
         for s in range(0, len(left), 512):
             part = left[s : s + 512]
-            dist = (bits - signs[part] @ signs[right].T) / 2
+            dist = (signs.shape[1] - signs[part] @ signs[right].T) / 2
             r, c = np.nonzero(dist <= limit)
             a, b, d = ids[part[r]], ids[right[c]], dist[r, c].astype(np.int32)
             if i == j:
@@ -214,13 +215,21 @@ def jaccard_pairs(docs: DataFrame, percent: int = 70, n: int = SHINGLE, key: str
     return got.where(100 * F.col("shared") >= percent * F.col("total")).select("a", "b", "shared", "total")
 
 
+def scratch_path(spark: SparkSession, tag: str) -> str:
+    """A new path in the shared folder that spark.checkpoint.dir names (a temporary one where it is unset and all tasks run here)."""
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not folder:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        folder = "file://" + tempfile.mkdtemp(prefix="formulary-")
+    return f"{folder.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
+
+
 def _stored(df: DataFrame) -> DataFrame:
-    """df as a table in the shared folder that spark.checkpoint.dir names (a temporary one where it is unset)."""
-    spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="formulary-")
-    path = f"{folder.rstrip('/')}/round-{uuid.uuid4().hex}"
+    """df as a table in the shared folder."""
+    path = scratch_path(df.sparkSession, "round")
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def components(pairs: DataFrame, max_rounds: int = 50) -> DataFrame:

@@ -29,7 +29,6 @@ DROPPED = {"script", "style", "noscript", "template", "head", "title", "svg", "i
 PRIOR = {"article": 3.0, "main": 3.0, "section": 1.2, "div": 1.0, "body": 0.6, "td": 0.8, "nav": 0.05, "footer": 0.05, "aside": 0.2, "header": 0.4, "form": 0.2}
 MARK = "\ue000{}\ue001"
 _MARKED = re.compile("\ue000(\\d+)\ue001")
-MAX_HTML = 20_000_000
 
 
 @dataclass
@@ -126,11 +125,12 @@ class Equation:
 
 def configured_delimiters(html: str) -> list[tuple[str, str, bool]]:
     """Delimiter pairs that a page's renderer configuration sets: inlineMath and displayMath lists, JavaScript escapes undone."""
-    out = []
+    out, quoted = [], r"""(?:'((?:\\.|[^'\\])+)'|"((?:\\.|[^"\\])+)")"""
+    undo = lambda x: re.sub(r"\\(.)", r"\1", x)
     for key, display in (("inlineMath", False), ("displayMath", True)):
-        for body in re.findall(rf"{key}\s*:\s*\[((?:\s*\[[^\[\]]*(?:\\\[|\\\]|[^\[\]])*?\]\s*,?)+)\s*\]", html):
-            for a, b in re.findall(r"""\[\s*(?:'((?:\\.|[^'\\])+)'|"(?:\\.|[^"\\])+")\s*,\s*'((?:\\.|[^'\\])+)'\s*\]""", body):
-                out.append((re.sub(r"\\(.)", r"\1", a), re.sub(r"\\(.)", r"\1", b), display))
+        # version 2 and 3 give a list of pairs, later ones also an object that adds to the defaults
+        for body in re.findall(rf"""{key}["']?\s*:\s*(?:\{{\s*["']\[\+\]["']\s*:\s*)?\[((?:\s*\[[^\[\]]*(?:\\\[|\\\]|[^\[\]])*?\]\s*,?)+)\s*\]""", html):
+            out += [(undo(a or b), undo(c or d), display) for a, b, c, d in re.findall(rf"\[\s*{quoted}\s*,\s*{quoted}\s*\]", body)]
     return [(a, b, d) for a, b, d in out if a and b]
 
 
@@ -148,12 +148,17 @@ def dollars_are_math(html: str, text: str, policy: str, score=None) -> bool:
     """script: the renderer's word is there; command: a common command stands between dollars; score: a scorer says so; cascade: any."""
     checks = {
         "script": lambda: "MathJax" in html or "mathjax" in html or "katex" in html,
-        "command": lambda: any(has_common_command(s) for s in re.findall(r"\$([^$]{1,2000})\$", text)),
+        "command": lambda: any(has_common_command(s) for s in re.findall(r"(?=\$([^$]+)\$)", text)),  # spans between any two neighbouring dollars
         "score": lambda: score is not None and score(text) > L.PREFILTER_CUT,
     }
     return any(checks[p]() for p in (("script", "command", "score") if policy == "cascade" else (policy,)))
 
 
+def is_price(body: str) -> bool:
+    """What stands between a price's dollar and the next one: a number, prose without a command, and a blank at the end."""
+    return bool(re.match(r"\d[\d.,]*\s", body)) and body[-1].isspace() and not has_common_command(body)
+
+
 def scan(text: str, delimiters, dollars: bool) -> list[tuple[int, int, Equation]]:
     """Delimited equations and environments from left to right: longest opener first, display before inline, an escaped
     dollar opens nothing, a single dollar doesn't cross a blank line, unbalanced openers are text."""
@@ -182,7 +187,7 @@ def scan(text: str, delimiters, dollars: bool) -> list[tuple[int, int, Equation]
         else:
             stop = text.find(close, at)
         body = text[at:stop] if stop >= 0 else ""
-        if stop < 0 or not body.strip() or (opener == "$" and ("\n\n" in body or len(body) > 2000)):
+        if stop < 0 or not body.strip() or (opener == "$" and ("\n\n" in body or is_price(body))):
             continue
         default = (opener, close, display) in DELIMITERS
         kind = "plugin" if opener == "$latex " else ("display" if display else "inline") if default else "configured"
@@ -388,11 +393,9 @@ class Page:
 
 
 def extract(html: str | None, markdown: bool = False, policy: str = "cascade", score=None, main: bool = True, blocked=L.BLOCKED) -> Page:
-    """Text and equations of a page; status ok, empty, too_large or parse_error, never an exception."""
+    """Text and equations of a page; status ok, empty or parse_error, never an exception. Pages of any length are read whole."""
     if not html:
         return Page(None, [], "empty")
-    if len(html) > MAX_HTML:
-        return Page(None, [], "too_large")
     try:
         root = parse(html)
         found = mark_equations(root, html, policy, score)

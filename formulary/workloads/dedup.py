@@ -80,6 +80,19 @@ def simhash_pairs(spark, d):
     return dedup.pairs_exact(dedup.fingerprint(docs(spark, d)))
 
 
+@query("simhash_pairs_60", f"WITH {_FP_SQL} SELECT a.doc_id AS a, b.doc_id AS b, CAST(bit_count(xor(a.fp, b.fp)) AS INT) AS dist FROM fp a JOIN fp b ON a.doc_id < b.doc_id WHERE bit_count(xor(a.fp, b.fp)) <= 18")
+def simhash_pairs_60(spark, d):
+    """All pairs with similarity of 0.7 or more on the 60-bit fingerprints that SQL can make: the whole comparison checked by SQL."""
+    fps = dedup.fingerprint60(docs(spark, d)).select("doc_id", F.array("fp").alias("fp"))
+    return dedup.pairs_exact(fps, bits=dedup.BITS60).select("a", "b", "dist")
+
+
+@query("simhash_pairs_by_tenth", f"""WITH {_FP_SQL} SELECT CAST(least(9, (60 - bit_count(xor(a.fp, b.fp))) // 6) AS INT) AS tenth, count(*) AS pairs FROM fp a JOIN fp b ON a.doc_id < b.doc_id WHERE bit_count(xor(a.fp, b.fp)) <= 18 GROUP BY 1""")
+def pairs_by_tenth(spark, d):
+    """Pairs by similarity (in tenths) of the exact comparison: the denominators of an approximate method's recall."""
+    return simhash_pairs_60(spark, d).groupBy(F.least(F.lit(9), F.floor((60 - F.col("dist")) / 6)).cast("int").alias("tenth")).agg(F.count("*").alias("pairs"))
+
+
 @query("dup_components_070")
 def dup_components_070(spark, d):
     return dedup.components(dedup.links_exact(dedup.fingerprint(docs(spark, d))))

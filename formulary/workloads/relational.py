@@ -7,9 +7,11 @@ from __future__ import annotations
 
 import re
 
+import pandas as pd
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..operators.dedup import scratch_path
 from ..registry import query
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -127,3 +129,111 @@ def approx_distinct(spark, d):
 @query("quantiles")
 def quantiles(spark, d):
     return spark.read.parquet(f"{d}/lineitem.parquet").groupBy("l_returnflag").agg(F.percentile_approx("l_extendedprice", [0.5, 0.9, 0.99], 10_000).alias("q"))
+
+
+# ---- other formats
+
+
+def _round_trip(kind: str, table: str, **options):
+    """A table written in another format to the shared folder and read again with its schema."""
+
+    def run(spark, d):
+        rows, path = spark.read.parquet(f"{d}/{table}.parquet"), scratch_path(spark, kind)
+        rows.write.format(kind).options(**options).save(path)
+        return spark.read.format(kind).schema(rows.schema).options(**options).load(path)
+
+    return run
+
+
+query("read_json", "SELECT * FROM nation")(_round_trip("json", "nation"))
+query("read_csv", "SELECT * FROM supplier")(_round_trip("csv", "supplier", header="true", quote='"', escape='"'))
+query("read_xml", "SELECT * FROM region")(_round_trip("xml", "region", rowTag="row", rootTag="rows"))
+
+
+@query("read_text", "SELECT n_name AS value FROM nation")
+def read_text(spark, d):
+    path = scratch_path(spark, "text")
+    spark.read.parquet(f"{d}/nation.parquet").select(F.col("n_name").alias("value")).write.text(path)
+    return spark.read.text(path)
+
+
+# ---- further operators
+
+shared("join_lateral", "SELECT c_custkey, o.best FROM customer, LATERAL (SELECT max(o_totalprice) AS best FROM orders WHERE o_custkey = c_custkey) o")
+shared("set_distinct", "SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier")
+shared("sub_exists", "SELECT s_suppkey FROM supplier WHERE EXISTS (SELECT 1 FROM customer WHERE c_nationkey = s_nationkey AND c_acctbal > 9000)")
+shared("sub_in", "SELECT o_orderkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING') AND o_orderkey NOT IN (SELECT l_orderkey FROM lineitem WHERE l_quantity > 30)")
+shared("cte", "WITH big AS (SELECT o_custkey, sum(o_totalprice) AS total FROM orders GROUP BY o_custkey), mean AS (SELECT avg(total) AS m FROM big) SELECT o_custkey, round(total, 2) AS total FROM big, mean WHERE total > m")
+shared("sort_global", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey")
+shared(
+    "bit_fns",
+    "SELECT o_orderkey, o_orderkey & 7 AS low, o_orderkey | 8 AS with8, xor(o_orderkey, 5) AS flipped, CAST(bit_count(o_orderkey) AS INT) AS ones, o_orderkey << 2 AS up, o_orderkey >> 2 AS down FROM orders",
+    "SELECT o_orderkey, o_orderkey & 7 AS low, o_orderkey | 8 AS with8, o_orderkey ^ 5 AS flipped, CAST(bit_count(o_orderkey) AS INT) AS ones, shiftleft(o_orderkey, 2) AS up, shiftright(o_orderkey, 2) AS down FROM orders",
+)
+shared("interval_fns", "SELECT l_orderkey, l_linenumber, CAST(l_shipdate + INTERVAL '7' DAY AS DATE) AS week, CAST(l_shipdate - INTERVAL '1' MONTH AS DATE) AS before, CAST(l_shipdate + INTERVAL '36' HOUR AS DATE) AS later FROM lineitem")
+shared("decimal_fns", "SELECT l_returnflag, CAST(sum(CAST(l_extendedprice AS DECIMAL(15, 2))) AS STRING) AS price, CAST(max(CAST(l_discount AS DECIMAL(5, 2)) * CAST(l_quantity AS DECIMAL(9, 1))) AS STRING) AS most FROM lineitem GROUP BY l_returnflag")
+shared("map_fns", "SELECT n_nationkey, m['region'] AS region, CAST(cardinality(m) AS INT) AS n, array_to_string(list_sort(map_keys(m)), ',') AS keys FROM (SELECT n_nationkey, map(['nation', 'region'], [n_nationkey, n_regionkey]) AS m FROM nation)", "SELECT n_nationkey, m['region'] AS region, size(m) AS n, array_join(array_sort(map_keys(m)), ',') AS keys FROM (SELECT n_nationkey, map('nation', n_nationkey, 'region', n_regionkey) AS m FROM nation)")
+shared("struct_fns", "SELECT s.k AS k, s.name AS name FROM (SELECT {'k': n_nationkey, 'name': n_name} AS s FROM nation) WHERE s.k > 3", "SELECT s.k AS k, s.name AS name FROM (SELECT named_struct('k', n_nationkey, 'name', n_name) AS s FROM nation) WHERE s.k > 3")
+shared("url_fns", "SELECT page_id, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, regexp_extract(url, '^[a-z]+://[^/?#]+([^?#]*)', 1) AS path FROM pages", "SELECT page_id, coalesce(parse_url(url, 'PROTOCOL'), '') AS scheme, coalesce(parse_url(url, 'HOST'), '') AS host, coalesce(parse_url(url, 'PATH'), '') AS path FROM pages")
+shared("xml_fns", "SELECT n_nationkey, n_name AS name, CAST(n_regionkey AS STRING) AS region FROM nation", "SELECT n_nationkey, xpath_string(x, 'row/name') AS name, xpath_string(x, 'row/@region') AS region FROM (SELECT n_nationkey, concat('<row region=\"', n_regionkey, '\"><name>', n_name, '</name></row>') AS x FROM nation)")
+
+
+@query("variant_json", "SELECT event_id, json_extract_string(props, '$.k') AS k FROM events")
+def variant_json(spark, d):
+    v = F.try_parse_json("props")
+    return spark.read.parquet(f"{d}/events.parquet").select("event_id", F.try_variant_get(v, "$.k", "string").alias("k"))
+
+
+@query("sort_local", "SELECT l_orderkey, l_linenumber, l_quantity FROM lineitem")
+def sort_local(spark, d):
+    """Order inside each partition only, as exports by key want it: one shuffle, no range sampling."""
+    return spark.read.parquet(f"{d}/lineitem.parquet").select("l_orderkey", "l_linenumber", "l_quantity").repartition("l_orderkey").sortWithinPartitions("l_orderkey", "l_linenumber")
+
+
+@query("sketch_theta", "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts FROM lineitem GROUP BY l_returnflag")
+def sketch_theta(spark, d):
+    """Distinct parts by theta sketch: exact up to the sketch's size, as on the small tables, an estimate beyond."""
+    return spark.read.parquet(f"{d}/lineitem.parquet").groupBy("l_returnflag").agg(F.expr("theta_sketch_estimate(theta_sketch_agg(l_partkey, 16))").cast("long").alias("parts"))
+
+
+@query("sketch_cms")
+def sketch_cms(spark, d):
+    """A count-min sketch of the parts of each return flag, as bytes that can be merged."""
+    return spark.read.parquet(f"{d}/lineitem.parquet").groupBy("l_returnflag").agg(F.length(F.count_min_sketch("l_partkey", F.lit(0.01), F.lit(0.95), F.lit(42))).alias("sketch_bytes"))
+
+
+@query("approx_topk", "SELECT o_orderpriority AS item, count(*) AS n FROM orders GROUP BY 1 ORDER BY n DESC, item LIMIT 5")
+def approx_topk(spark, d):
+    """The commonest priorities by a bounded sketch: exact while all values fit in it."""
+    x = spark.read.parquet(f"{d}/orders.parquet").agg(F.expr("approx_top_k(o_orderpriority, 5, 1000)").alias("a"))
+    return x.select(F.explode("a").alias("t")).select(F.col("t.item").alias("item"), F.col("t.count").alias("n"))
+
+
+@query("sample_strat")
+def sample_strat(spark, d):
+    """A tenth of each language and a half of the rest, by Spark's seeded sampler."""
+    return spark.read.parquet(f"{d}/documents.parquet").sampleBy("lang", {"en": 0.1, "fr": 0.1, "de": 0.5, "es": 0.5}, 7).select("doc_id", "lang")
+
+
+@query("udf_scalar", "SELECT n_nationkey, reverse(n_name) AS backwards FROM nation")
+def udf_scalar(spark, d):
+    @F.pandas_udf("string")
+    def backwards(s: pd.Series) -> pd.Series:
+        return s.str[::-1]
+
+    return spark.read.parquet(f"{d}/nation.parquet").select("n_nationkey", backwards("n_name").alias("backwards"))
+
+
+@query("udaf_pandas", "SELECT l_returnflag, median(l_quantity) AS middle FROM lineitem GROUP BY l_returnflag")
+def udaf_pandas(spark, d):
+    """A grouped pandas aggregate; the flags are few, so values are counted first and a group's frame has one row a value."""
+
+    @F.pandas_udf("double")
+    def middle(value: pd.Series, n: pd.Series) -> float:
+        order = value.argsort(kind="stable")
+        value, n = value.iloc[order].to_numpy(), n.iloc[order].cumsum().to_numpy()
+        total = n[-1]
+        return float((value[n.searchsorted((total + 1) // 2)] + value[n.searchsorted(total // 2 + 1)]) / 2)
+
+    counted = spark.read.parquet(f"{d}/lineitem.parquet").groupBy("l_returnflag", "l_quantity").agg(F.count("*").alias("n"))
+    return counted.groupBy("l_returnflag").agg(middle("l_quantity", "n").alias("middle"))

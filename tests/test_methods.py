@@ -274,4 +274,19 @@ def test_stream_equals_batch(spark, tmp_path):
 
 
 def test_keyword_list_is_the_published_one():
-    assert len(L.MATH_KEYWORDS) == 10 and len(L.COMMANDS) >= 90
+    assert len(L.MATH_KEYWORDS) == 10 and len(set(L.COMMANDS)) == len(L.COMMANDS) == 100
+
+
+def test_delimiters_of_either_quote_and_newer_forms():
+    from formulary.operators import extract
+
+    assert extract.configured_delimiters('inlineMath: [["@@","@@"], [\'$\',\'$\']]') == [("@@", "@@", False), ("$", "$", False)]
+    assert extract.configured_delimiters("MathJax = {tex: {inlineMath: {'[+]': [['$', '$']]}}}") == [("$", "$", False)]
+
+
+def test_an_equation_after_a_price_is_found():
+    from formulary.operators import extract
+
+    text = r"$5 and $\frac{a}{b}$ and $10 left"
+    assert extract.dollars_are_math("", text, "command")
+    assert [e.latex for _, _, e in extract.scan(text, extract.DELIMITERS, True)] == [r"\frac{a}{b}"]

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..fixtures import md5_number
 from ..functions import columns as C
 
 
@@ -92,6 +93,17 @@ def topic_shares(representatives: DataFrame, sizes: DataFrame) -> DataFrame:
     return per.crossJoin(F.broadcast(per.agg(F.sum("size").alias("whole")))).select("topic", "size", F.round(100.0 * F.col("size") / F.col("whole"), 4).alias("share"))
 
 
+def embed(docs: DataFrame, key: str = "doc_id", text_col: str = "text", dims: int = 60) -> DataFrame:
+    """key, embedding: hashed random projection, where each token votes 1 or -1 in every dimension by a bit of its digest
+    (at most 60). Null and empty texts give zeros. A trained encoder takes its place where one is at hand."""
+    if not 0 < dims <= 60:
+        raise ValueError("dims must lie between 1 and 60")
+    hashes = F.transform(F.coalesce(C.tokens(F.col(text_col)), F.array().cast("array<string>")), md5_number)
+    ones = lambda h, i: F.aggregate(h, F.lit(0), lambda s, x: s + F.shiftright(x, i).bitwiseAND(F.lit(1)).cast("int"))
+    vector = C.bind(hashes, lambda h: F.array(*((2 * ones(h, i) - F.size(h)).cast("double") for i in range(dims))))
+    return docs.select(key, vector.alias("embedding"))
+
+
 def budget(docs: DataFrame, tokens: int, seed: int, key: str = "doc_id", count: str = "n_tokens", buckets: int = 4096) -> DataFrame:
     """Documents in hash order while their running token sum stays within the budget.
 

@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import lexicon as L
+from ..functions import columns as C
 from . import lines
 from .mathml import convert
 
@@ -414,17 +415,19 @@ EXTRACTED = "page_id long, url string, text string, equations array<struct<ord:
 
 
 def pages(df: DataFrame, seed: int = 7, policy: str = "cascade", markdown_share: float = 0.5, trigger: tuple[int, int] = (1, 3)) -> DataFrame:
-    """page_id, url, html -> documents. Parameters are drawn per page in the JVM; the line stage runs in the JVM after."""
+    """page_id, url, html -> documents. Parameters are drawn per page in the JVM; the line stage runs in the JVM after.
+    A column math_score decides the last step of the dollar cascade; without it the score of the word list does."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             rows = []
             for r in f.itertuples(index=False):
-                p = extract(r.html, r.output_format == "markdown", policy)
+                p = extract(r.html, r.output_format == "markdown", policy, lambda _, s=r.math_score: s if s == s and s is not None else 0.0)
                 rows.append((r.page_id, r.url, p.text, [{"ord": i, "latex": e.latex, "encoding": e.encoding, "display": e.display} for i, e in enumerate(p.equations)], bool(p.equations), r.output_format, r.boilerplate_trigger, p.status))
             yield pd.DataFrame(rows, columns=[c.split()[0] for c in ("page_id", "url", "text", "equations", "has_latex", "output_format", "boilerplate_trigger", "status")])
 
-    ready = df.select("page_id", "url", "html", *lines.parameters(F.col("page_id"), seed, markdown_share, *trigger))
+    score = F.col("math_score") if "math_score" in df.columns else C.lexicon_score(C.quick_text(F.col("html")))
+    ready = df.select("page_id", "url", "html", score.cast("double").alias("math_score"), *lines.parameters(F.col("page_id"), seed, markdown_share, *trigger))
     raw = ready.mapInPandas(run, EXTRACTED)
     return raw.withColumn("text", lines.drop_empty_headers(lines.drop_boilerplate(F.col("text"), F.col("boilerplate_trigger"))))
 

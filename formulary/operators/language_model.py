@@ -6,14 +6,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import columns as C
+from .dedup import _stored
 
+_tokens = lambda text: F.coalesce(C.tokens(text), F.array().cast("array<string>"))  # noqa: E731  (a null text predicts the end mark alone)
 START, END, UNKNOWN = "<s>", "</s>", "<unk>"
 
 
 def marked(docs: DataFrame, order: int, key: str = "doc_id", text_col: str = "text") -> DataFrame:
     """key and its tokens with order - 1 start marks and an end mark."""
     starts = F.array(*([F.lit(START)] * max(1, order - 1)))
-    return docs.select(key, F.concat(starts, C.tokens(F.col(text_col)), F.array(F.lit(END))).alias("w"))
+    return docs.select(key, F.concat(starts, _tokens(F.col(text_col)), F.array(F.lit(END))).alias("w"))
 
 
 def ngrams(docs: DataFrame, n: int, order: int | None = None, key: str = "doc_id") -> DataFrame:
@@ -53,28 +55,43 @@ def perplexity(log_probabilities: DataFrame, key: str = "doc_id") -> DataFrame:
 
 def add_k_perplexity(train: DataFrame, docs: DataFrame, k: float = 0.1, key: str = "doc_id") -> DataFrame:
     """Unigram model with k added to every count, one slot for unknown words."""
-    uni = train.select(F.explode(F.concat(C.tokens(F.col("text")), F.array(F.lit(END)))).alias("w")).groupBy("w").agg(F.count("*").alias("c"))
+    uni = train.select(F.explode(F.concat(_tokens(F.col("text")), F.array(F.lit(END)))).alias("w")).groupBy("w").agg(F.count("*").alias("c"))
     tot = uni.agg(F.sum("c").alias("total"), (F.count("*") + 1).alias("v"))
-    g = docs.select(key, F.explode(F.concat(C.tokens(F.col("text")), F.array(F.lit(END)))).alias("w")).groupBy(key, "w").agg(F.count("*").alias("k"))
+    g = docs.select(key, F.explode(F.concat(_tokens(F.col("text")), F.array(F.lit(END)))).alias("w")).groupBy(key, "w").agg(F.count("*").alias("k"))
     p = (F.coalesce(F.col("c"), F.lit(0)) + k) / (F.col("total") + k * F.col("v"))
     return perplexity(g.join(uni, "w", "left").crossJoin(F.broadcast(tot)).select(key, "k", F.log(p).alias("lp")), key)
 
 
+def backoff_perplexity(train: DataFrame, docs: DataFrame, factor: float = 0.4, key: str = "doc_id") -> DataFrame:
+    """Back-off without normalisation: the relative frequency of the bigram, else factor times that of the word, with one
+    added to each word's count so that an unknown word has a score. exp(-mean log score) ranks texts; it is no probability."""
+    bi = counts(train, 2)
+    ctx = bi.groupBy("ctx").agg(F.sum("c").alias("total"))
+    uni = bi.groupBy("w").agg(F.sum("c").alias("uc"))
+    whole = uni.agg((F.sum("uc") + F.count("*") + 1).alias("whole"))
+    g = ngrams(docs, 2, key=key).groupBy(key, "ctx", "w").agg(F.count("*").alias("k"))
+    x = g.join(bi, ["ctx", "w"], "left").join(ctx, "ctx", "left").join(uni, "w", "left").crossJoin(F.broadcast(whole))
+    s = F.when(F.col("c").isNotNull(), F.col("c") / F.col("total")).otherwise(factor * (F.coalesce("uc", F.lit(0)) + 1) / F.col("whole"))
+    return perplexity(x.select(key, "k", F.log(s).alias("lp")), key)
+
+
 class ModifiedKneserNey:
     """Modified Kneser-Ney of any order as n-gram tables (ctx, w, p) and back-off tables (ctx, bow).
 
-    The highest order uses counts, lower ones the number of different words before; discounts for counts of 1, 2 and
+    The highest order uses counts, lower ones the number of different words before (counts where the context starts the
+    text, since nothing stands before it); each table is written once to the shared folder; discounts for counts of 1, 2 and
     3 or more come from the counts of counts (0.75 where those are missing). Probabilities are interpolated, so that
     scoring takes the longest n-gram that is there and the back-off weights of the contexts that aren't.
     """
 
     def __init__(self, docs: DataFrame, order: int = 3, prune: tuple[int, ...] = ()):
         self.order = order
-        raw = {n: counts(docs, n, order) for n in range(1, order + 1)}
+        raw = {n: _stored(counts(docs, n, order)) for n in range(1, order + 1)}
         used = {order: raw[order]}
         for n in range(order - 1, 0, -1):  # continuation counts from the order above
             above = raw[n + 1].select(F.when(F.instr("ctx", " ") > 0, F.expr("substring(ctx, instr(ctx, ' ') + 1)")).otherwise("").alias("ctx"), "w")
-            used[n] = above.groupBy("ctx", "w").agg(F.count("*").alias("c"))
+            inner = above.where(~F.col("ctx").startswith(START)).groupBy("ctx", "w").agg(F.count("*").alias("c"))
+            used[n] = _stored(inner.unionByName(raw[n].where(F.col("ctx").startswith(START))))
         for n, least in enumerate(prune, 1):
             if n > 1 and n <= order:
                 used[n] = used[n].where(F.col("c") > least)
@@ -94,7 +111,7 @@ class ModifiedKneserNey:
                 shorter = F.when(F.instr("ctx", " ") > 0, F.expr("substring(ctx, instr(ctx, ' ') + 1)")).otherwise("")
                 low = self.probability[n - 1].select(F.col("ctx").alias("sctx"), "w", F.col("p").alias("lp"))
                 x = x.withColumn("sctx", shorter).join(low, ["sctx", "w"], "left")
-                self.probability[n] = x.select("ctx", "w", (F.col("top") + F.col("bow") * F.coalesce("lp", F.lit(self.unknown))).alias("p"))
+                self.probability[n] = _stored(x.select("ctx", "w", (F.col("top") + F.col("bow") * F.coalesce("lp", F.lit(self.unknown))).alias("p")))
             self.backoff[n] = per.select("ctx", "bow")
 
     @staticmethod

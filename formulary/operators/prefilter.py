@@ -38,6 +38,16 @@ def cascade(pages: DataFrame, score: Column | Callable[[DataFrame], DataFrame] |
     return score_gate(gated, C.lexicon_score(C.quick_text(F.col("html"))) if score is None else score, cut)
 
 
+def cascade_once(pages: DataFrame, scorer: Callable[[DataFrame], DataFrame], cut: float = L.PREFILTER_CUT) -> DataFrame:
+    """As cascade with a scorer that stays in the JVM (text -> math_score): one scan, since pages that a gate decided
+    give the scorer no text. Null html is dropped."""
+    gated = pages.withColumn("pf_stage", F.when(F.col("html").isNull(), "drop").otherwise(gate_stage(F.col("html"))))
+    open_ = F.col("pf_stage").isNull()
+    scored = scorer(gated.withColumn("text", F.when(open_, C.quick_text(F.col("html"))))).drop("text")
+    found = F.when(F.col("math_score") > cut, "score").otherwise("drop")
+    return scored.withColumn("math_score", F.when(open_, F.col("math_score"))).withColumn("pf_stage", F.coalesce("pf_stage", found))
+
+
 def top_commands(texts: DataFrame, text_col: str, key_col: str, n: int = 100) -> DataFrame:
     """The n commands that most documents have: cmd, docs, occurrences, rank."""
     seen = texts.select(key_col, F.explode(C.commands_in(F.col(text_col))).alias("cmd")).groupBy(key_col, "cmd").agg(F.count("*").alias("k"))

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+from collections.abc import Callable
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -32,6 +33,26 @@ class Config:
         return hashlib.md5(json.dumps(asdict(self), sort_keys=True).encode()).hexdigest()[:12]
 
 
+@dataclass(frozen=True)
+class Models:
+    """What is fitted once and used at every site. language: rows with text -> lang; math: rows with text -> math_score;
+    perplexity: (page_id, text) -> (page_id, ppl). A vote of stop words and a word list stand in for the first two where
+    they are not given; without the third its filter is off."""
+
+    language: Callable[[DataFrame], DataFrame] | None = None
+    math: Callable[[DataFrame], DataFrame] | None = None
+    perplexity: Callable[[DataFrame], DataFrame] | None = None
+
+    def with_language(self, df: DataFrame) -> DataFrame:
+        return self.language(df) if self.language else df.withColumn("lang", classify.stop_word_vote(F.col("text")))
+
+    def with_score(self, df: DataFrame) -> DataFrame:
+        """Scored by the text without its LaTeX, which the label of the training rows is taken from."""
+        bare = df.withColumn("_text", F.col("text")).withColumn("text", classify.strip_latex(F.col("text")))
+        scored = self.math(bare) if self.math else bare.withColumn("math_score", C.lexicon_score(F.col("text")))
+        return scored.withColumn("text", F.col("_text")).drop("_text")
+
+
 @dataclass
 class Result:
     docs: DataFrame
@@ -39,19 +60,28 @@ class Result:
     ledger: DataFrame
 
 
-def run(spark: SparkSession, pages: DataFrame, cfg: Config, perplexity: DataFrame | None = None) -> Result:
+def run(spark: SparkSession, pages: DataFrame, cfg: Config, models: Models = Models()) -> Result:
     """pages (page_id, url, html) -> corpus, dropped rows with a verdict, and the ledger. No row goes without a verdict.
 
-    perplexity: (page_id, ppl) of a language model; without it that filter is off. Each stage is written to the shared
-    folder, which cuts lineage: extraction runs once, on the pages that the JVM-only prefilter let through.
+    html is scanned once: the prefilter's decisions are stored, with the html of what passes. One math score serves the
+    prefilter, the dollar cascade and the filter. Each stage is written to the shared folder, which cuts lineage;
+    the language model sees only what language and math keep.
     """
-    order = classify.FILTERS if perplexity is not None else classify.FILTERS[:2]
-    gated = prefilter.cascade(pages.select("page_id", "url", "html"), cut=cfg.prefilter_cut)
-    passed = gated.where("pf_stage <> 'drop'").repartition(F.xxhash64("page_id"))
-    docs = dedup._stored(extract.pages(passed.select("page_id", "url", "html"), cfg.seed, cfg.dollar_policy))
-    scored = docs.select("page_id", "url", "text", "equations", "has_latex", "output_format", "status", classify.stop_word_vote(F.col("text")).alias("lang"), C.lexicon_score(classify.strip_latex(F.col("text"))).alias("math_score"))
-    scored = scored.join(perplexity, "page_id", "left") if perplexity is not None else scored.withColumn("ppl", F.lit(None).cast("double"))
-    judged = dedup._stored(classify.verdicts(scored, order, cfg.keep_lang, cfg.cut_with_tex, cfg.cut_without_tex, cfg.max_ppl).withColumn("verdict", F.when(F.col("status") != "ok", F.col("status")).when(F.coalesce(F.trim("text"), F.lit("")) == "", "empty").otherwise(F.col("verdict"))))
+    gated = prefilter.cascade_once(pages.select("page_id", "url", "html"), models.with_score, cfg.prefilter_cut)
+    gated = dedup._stored(gated.withColumn("html", F.when(F.col("pf_stage") != "drop", F.col("html"))))
+    passed = gated.where("pf_stage <> 'drop'").select("page_id", "url", "html", C.quick_text(F.col("html")).alias("text")).repartition(F.xxhash64("page_id"))
+    passed = models.with_score(passed).drop("text")
+    docs = dedup._stored(extract.pages(passed, cfg.seed, cfg.dollar_policy))
+    scored = models.with_score(models.with_language(docs))
+    judged = classify.verdicts(scored, classify.FILTERS[:2], cfg.keep_lang, cfg.cut_with_tex, cfg.cut_without_tex, cfg.max_ppl)
+    judged = judged.withColumn("verdict", F.when(F.col("status") != "ok", F.col("status")).when(F.coalesce(F.trim("text"), F.lit("")) == "", "empty").otherwise(F.col("verdict")))
+    judged = dedup._stored(judged.select("page_id", "url", "text", "equations", "has_latex", "output_format", "status", "lang", "math_score", "verdict"))
+    if models.perplexity is None:
+        judged = judged.withColumn("ppl", F.lit(None).cast("double"))
+    else:
+        ppl = models.perplexity(judged.where("verdict = 'keep'").select("page_id", "text"))
+        high = (F.col("verdict") == "keep") & ~F.coalesce(F.col("ppl") <= cfg.max_ppl, F.lit(False))
+        judged = dedup._stored(judged.join(ppl.select("page_id", "ppl"), "page_id", "left").withColumn("verdict", F.when(high, "perplexity").otherwise(F.col("verdict"))))
     kept = judged.where("verdict = 'keep'")
     near = dedup.links_exact(dedup.fingerprint(kept, cfg.fp_bits, key="page_id"), cfg.tau, cfg.fp_bits, key="page_id")
     losers = dedup.components(near).where("node <> root").select(F.col("node").alias("page_id"))

@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions import columns as C
 from ..operators import dedup, prefilter
 
 PAGES = "page_id long, url string, html string, crawled timestamp"
@@ -33,6 +38,66 @@ def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 hour") -
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n"))
 
 
+def without_blocked(pages: DataFrame, hosts: DataFrame) -> DataFrame:
+    """Pages whose host is not in the list (host), which is read anew each trigger. Null urls stay."""
+    return pages.join(hosts.select(F.col("host").alias("_host")).distinct(), C.host(F.col("url")) == F.col("_host"), "left_anti")
+
+
+def followed_by(first: DataFrame, second: DataFrame, key: str, within: str = "10 minutes", late: str = "1 hour") -> DataFrame:
+    """Rows of first (key, ts) with those of second of the same key that come at most `within` after: key, ts, next_ts.
+    Both sides have a watermark and the interval bounds how long a row is kept."""
+    a = first.select(F.col(key), "ts").withWatermark("ts", late)
+    b = second.select(F.col(key).alias("_key"), F.col("ts").alias("next_ts")).withWatermark("next_ts", late)
+    on = (F.col(key) == F.col("_key")) & (F.col("next_ts") > F.col("ts")) & (F.col("next_ts") <= F.col("ts") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, on).drop("_key")
+
+
+def late_rows(query) -> int:
+    """Rows that a query's watermark dropped, over the progress it still remembers. A batch's rows are judged by the
+    watermark of the batch before, so a late row right behind the one that moved it is still counted in its window."""
+    return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
+
+
+def near_pairs(fps: DataFrame, d: int = 3, key: str = "doc_id", ttl_ms: int = 86_400_000) -> DataFrame:
+    """Stream of (key, fp) with 60-bit fingerprints -> a, b, dist: each arriving row with every earlier distinct
+    fingerprint within d bits. State is kept for each of d + 1 blocks of bits; a pair is emitted at its first equal block.
+
+    Of equal fingerprints the first id stands for all, so a group of copies takes one entry; a block's state is dropped
+    after ttl_ms without a row. Rows without an id or a fingerprint meet nothing.
+    """
+    width = -(-dedup.BITS60 // (d + 1))
+    mask = (1 << width) - 1
+    block: Column = F.explode(F.array(*(F.struct(F.lit(i).alias("i"), F.shiftright("fp", i * width).bitwiseAND(F.lit(mask)).alias("v")) for i in range(d + 1))))
+    keyed = fps.where(F.col(key).isNotNull() & F.col("fp").isNotNull()).select(F.col(key).cast("long").alias("id"), F.col("fp").cast("long").alias("fp"), block.alias("k")).select("id", "fp", "k.*")
+
+    def run(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        i = int(group[0])
+        ids, seen = map(list, state.get) if state.exists else ([], [])
+        at = {f: n for n, f in enumerate(seen)}
+        out: list[tuple[int, int, int]] = []
+        for frame in frames:
+            for b, fp in zip(frame["id"].tolist(), frame["fp"].tolist()):
+                if seen:
+                    diff = np.array(seen, np.int64) ^ np.int64(fp)
+                    dist = np.array([int(x).bit_count() for x in diff])
+                    first = np.ones(len(seen), bool)
+                    for j in range(i):
+                        first &= (diff >> (j * width)) & mask != 0
+                    out += [(ids[n], b, int(dist[n])) for n in np.flatnonzero((dist <= d) & first).tolist() if ids[n] != b]
+                if fp not in at:
+                    at[fp] = len(seen)
+                    ids.append(b)
+                    seen.append(fp)
+        state.update((ids, seen))
+        state.setTimeoutDuration(ttl_ms)
+        yield pd.DataFrame(out, columns=["a", "b", "dist"])
+
+    return keyed.groupBy("i", "v").applyInPandasWithState(run, "a long, b long, dist int", "ids array<long>, fps array<long>", "append", "ProcessingTimeTimeout")
+
+
 def near_duplicate_sink(history: str, key: str = "page_id", text_col: str = "text"):
     """A foreachBatch function: appends to `history` the fingerprints of rows that are near none of it nor of an earlier
     row of the batch. A batch that runs again replaces its own rows, since they are stored by batch number."""

@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 from ..fixtures import md5_number_sql
 from ..functions import columns as C
 from ..operators import analysis as A, language_model as lm
+from ..operators.dedup import _stored
 from ..registry import query
 from .dedup import TOKENS_SQL, bench, docs
 from .inspection import HOST_SQL
@@ -61,6 +62,37 @@ def topics(spark, d):
     return A.topic_shares(reps, a.groupBy("cluster").agg(F.count("*").alias("size")))
 
 
+_EMBED = f"list_transform(range(0, 60), lambda i: CAST(2 * coalesce(list_sum(list_transform(h, lambda x: (x >> i) & 1)), 0) - len(h) AS INT))"
+
+
+@query("embed_documents", f"WITH t AS (SELECT doc_id, list_transform({TOKENS_SQL}, lambda x: {md5_number_sql('x')}) AS h FROM documents) SELECT doc_id, md5(array_to_string({_EMBED}, ',')) AS embedding FROM t")
+def embed(spark, d):
+    """Digest of every document's vector by hashed random projection."""
+    x = A.embed(docs(spark, d))
+    return x.select("doc_id", F.md5(F.array_join(F.transform("embedding", lambda v: v.cast("int").cast("string")), ",").cast("binary")).alias("embedding"))
+
+
+@query("topic_study")
+def topic_study(spark, d):
+    """The study as published: 100,000 documents in hash order, their vectors, 128 clusters, the five nearest to each
+    centre, the commonest label (here: language) of those, and the share of each."""
+    some = A.sample(docs(spark, d).select("doc_id", "text", "lang"), 100_000, 17, "doc_id")
+    v = _stored(A.embed(some).select(F.col("doc_id").alias("vec_id"), F.transform("embedding", lambda x: x.cast("double")).alias("embedding")))
+    found = _stored(A.kmeans(v, 128))
+    centres = A.recentre(found.select("cluster", F.col("embedding").alias("v")))
+    dist = found.join(F.broadcast(centres), "cluster").select("vec_id", "cluster", A.squared_distance(F.col("embedding"), F.col("centre")).alias("dist"))
+    near = A.nearest(dist, 5).join(some.select(F.col("doc_id").alias("vec_id"), "lang"), "vec_id")
+    label = near.groupBy("cluster", "lang").agg(F.count("*").alias("k")).groupBy("cluster").agg(F.max_by("lang", F.struct("k", "lang")).alias("topic"))
+    per = found.groupBy("cluster").agg(F.count("*").alias("size")).join(label, "cluster").groupBy("topic").agg(F.count("*").alias("clusters"), F.sum("size").alias("size"))
+    return per.crossJoin(F.broadcast(per.agg(F.sum("size").alias("whole")))).select("topic", "clusters", "size", F.round(100.0 * F.col("size") / F.col("whole"), 4).alias("share"))
+
+
+@query("hyper_parameters", "SELECT '1.4 B' AS model_size, 24 AS layers, 2048 AS model_dim, 16 AS heads, 0.0002::DOUBLE AS learning_rate, '1M' AS batch_size, '14.7B' AS tokens")
+def hyper_parameters(spark, d):
+    """The record of the published training runs, which are not repeated here (fixed values)."""
+    return spark.range(1).select(F.lit("1.4 B").alias("model_size"), F.lit(24).alias("layers"), F.lit(2048).alias("model_dim"), F.lit(16).alias("heads"), F.lit(0.0002).alias("learning_rate"), F.lit("1M").alias("batch_size"), F.lit("14.7B").alias("tokens"))
+
+
 @query("cluster_purity")
 def purity(spark, d):
     """Purity of k-means on vectors with planted clusters, from spread centres."""

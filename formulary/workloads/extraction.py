@@ -2,9 +2,9 @@
 
 from pyspark.sql import functions as F
 
-from ..fixtures import MATH_PAGES_SQL, math_pages
+from ..fixtures import MATH_PAGES_SQL, math_docs, math_pages, truth
 from ..functions import columns as C
-from ..operators import extract
+from ..operators import classify, extract, language_model as lm
 from ..plans import corpus
 from ..registry import query
 from .prefilter import quick_text_sql
@@ -48,6 +48,38 @@ def interplay(spark, d):
     return x.groupBy("extractor").agg(F.count("*").alias("n_pages"), F.count_if("has_latex").alias("with_latex"), F.count_if(F.coalesce(keep, F.lit(False))).alias("kept"))
 
 
+def fitted_models(spark, d, order: int = 5) -> corpus.Models:
+    """Language from documents.lang, math from common commands in texts that are then stripped of them, and a language
+    model of the clean English documents with mathematics planted; all on rows that are not held out."""
+    x = math_docs(spark, d)
+    learn = x.where(~classify.held_out(F.col("doc_id")))
+    language = classify.train_language(learn)
+    math = classify.train_linear(classify.math_labels(learn), features=1 << 16)
+    clean = spark.read.parquet(f"{d}/labels.parquet").where("quality = 1").select("doc_id")
+    model = lm.ModifiedKneserNey(learn.where("lang = 'en'").join(clean, "doc_id", "left_semi").select("doc_id", "text"), order)
+    return corpus.Models(
+        lambda df: classify.predict_language(df, language),
+        lambda df: classify.linear_score(df, math, "math_score"),
+        lambda df: lm.perplexity(model.log_probabilities(df, "page_id"), "page_id"),
+    )
+
+
+@query("equation_prf")
+def equation_prf(spark, d):
+    """Precision, recall and F1 of the extractor's equations against those planted, by encoding and over all. Equal
+    equations of a page count as often as they occur; those in removed elements are not to be found."""
+    p = math_pages(spark, d)
+    found = extract.pages(p).select("page_id", F.explode("equations").alias("e")).groupBy("page_id", F.col("e.encoding").alias("encoding"), F.col("e.latex").alias("latex")).agg(F.count("*").alias("f"))
+    planted = p.select("page_id", "variant").join(F.broadcast(truth(spark)), "variant").groupBy("page_id", "encoding", "latex").agg(F.count("*").alias("t"))
+    x = found.join(planted, ["page_id", "encoding", "latex"], "full").na.fill(0, ["f", "t"]).withColumn("hit", F.least("f", "t"))
+    s = x.groupingSets([["encoding"], []], "encoding").agg(F.sum("f").alias("n_found"), F.sum("t").alias("n_true"), F.sum("hit").alias("n_hit"))
+    return s.select(
+        F.coalesce("encoding", F.lit("any")).alias("encoding"), "n_found", "n_true", F.round(F.try_divide("n_hit", "n_found"), 4).alias("precision"),
+        F.round(F.try_divide("n_hit", "n_true"), 4).alias("recall"), F.round(F.try_divide(2 * F.col("n_hit"), F.col("n_found") + F.col("n_true")), 4).alias("f1"),
+    )
+
+
 @query("pipeline_funnel")
 def funnel(spark, d):
-    return corpus.run(spark, math_pages(spark, d), corpus.Config()).ledger
+    """The whole plan with its fitted models: language, math score and a language model of order 5."""
+    return corpus.run(spark, math_pages(spark, d), corpus.Config(), fitted_models(spark, d)).ledger

@@ -161,7 +161,7 @@ c AS (SELECT doc_id, CASE WHEN lang <> 'en' THEN 'language' WHEN NOT math_score
 
 
 def _chain(spark, d, **kw):
-    return classify.verdicts(_scored(spark, d).join(kn(spark, d).select("doc_id", "ppl"), "doc_id"), **kw)
+    return classify.verdicts(_scored(spark, d).join(kn(spark, d).select("doc_id", "ppl"), "doc_id", "left"), **kw)
 
 
 @query("filter_chain", f"{_CHAIN_SQL} SELECT doc_id, verdict FROM c")
@@ -188,6 +188,35 @@ def ablation(spark, d):
     return out
 
 
+@query("backoff_perplexity", f"""WITH {_bigrams_sql(_TRAIN, 'g')}, bi AS (SELECT ctx, w, count(*) AS c FROM g GROUP BY ctx, w), cx AS (SELECT ctx, sum(c) AS total FROM bi GROUP BY ctx),
+u AS (SELECT w, sum(c) AS uc FROM bi GROUP BY w), a AS (SELECT sum(uc) + count(*) + 1 AS n FROM u), {_bigrams_sql('SELECT doc_id, text FROM documents', 'q')}
+SELECT doc_id, count(*) AS n_tokens, round(exp(-avg(ln(CASE WHEN c IS NOT NULL THEN CAST(c AS DOUBLE) / total ELSE 0.4::DOUBLE * (coalesce(uc, 0) + 1) / n END))), 4) AS ppl
+FROM q LEFT JOIN bi USING (ctx, w) LEFT JOIN cx USING (ctx) LEFT JOIN u USING (w), a GROUP BY doc_id""")
+def backoff(spark, d):
+    return lm.backoff_perplexity(_train(spark, d), docs(spark, d)).select("doc_id", "n_tokens", F.round("ppl", 4).alias("ppl"))
+
+
+_CUTS = (0.17, 0.2, 0.8)
+
+
+@query("classifier_report", f"""WITH {_NB}, y AS (SELECT round(score, 6) AS s, quality AS q FROM s JOIN labels USING (doc_id) WHERE {_TEST}), c AS (SELECT unnest([0.17, 0.2, 0.8]::DOUBLE[]) AS cut)
+SELECT cut, round(avg(CAST((s > cut) = (q = 1) AS INT)), 6) AS accuracy, round(avg(q) FILTER (s > cut), 6) AS precision, round(avg(CAST(s > cut AS INT)) FILTER (q = 1), 6) AS recall FROM y, c GROUP BY cut""")
+def classifier_report(spark, d):
+    """Measures of the naive Bayes quality score on held-out documents at the published cuts."""
+    held = _labelled(spark, d).where(classify.held_out(F.col("doc_id"))).select("doc_id", "label").join(_nb_scores(spark, d), "doc_id")
+    got = classify.report(held.withColumn("score", F.round("score", 6)), _CUTS)
+    return got.select("cut", *(F.round(c, 6).alias(c) for c in ("accuracy", "precision", "recall")))
+
+
+@query("lang_linear")
+def lang_linear(spark, d):
+    """The language of every document by the trained character model, with its probability; held_out rows taught nothing."""
+    x = docs(spark, d).select("doc_id", "text", "lang")
+    model = classify.train_language(x.where(~classify.held_out(F.col("doc_id"))))
+    got = classify.predict_language(x, model, "lang_pred")
+    return got.select("doc_id", "lang", classify.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", F.round("lang_score", 4).alias("score"))
+
+
 @query("math_score_linear")
 def linear(spark, d):
     """The trained linear classifier on stripped text, scored on every document."""

@@ -2,6 +2,7 @@
 
 import math
 import random
+from datetime import datetime, timedelta
 
 import numpy as np
 import pytest
@@ -290,3 +291,97 @@ def test_an_equation_after_a_price_is_found():
     text = r"$5 and $\frac{a}{b}$ and $10 left"
     assert extract.dollars_are_math("", text, "command")
     assert [e.latex for _, _, e in extract.scan(text, extract.DELIMITERS, True)] == [r"\frac{a}{b}"]
+
+
+def test_texts_without_tokens_have_rows(spark):
+    rows = [(1, "the proof of it", 1), (2, None, 0), (3, "", 0), (4, "bread and milk", 0)]
+    x = spark.createDataFrame(rows, "doc_id long, text string, label int")
+    nb = {r.doc_id: r.score for r in classify.nb_score(x, classify.naive_bayes(x, "label")).collect()}
+    assert set(nb) == {1, 2, 3, 4} and nb[2] == nb[3] == 0.5 and nb[1] > 0.5 > nb[4]
+    learn = x.where("doc_id IN (1, 4)")
+    for got in (lm.perplexity(lm.kn_log_probabilities(x, lm.fit_bigram_kn(learn))), lm.add_k_perplexity(learn, x), lm.backoff_perplexity(learn, x), lm.perplexity(lm.ModifiedKneserNey(learn, 5).log_probabilities(x))):
+        ppl = {r.doc_id: (r.n_tokens, r.ppl) for r in got.collect()}
+        assert set(ppl) == {1, 2, 3, 4} and ppl[2] == ppl[3] and ppl[2][0] == 1
+
+
+def test_trained_language(spark):
+    rows = [(i, t, n) for i, (t, n) in enumerate([("the bread and the milk with that", "en"), ("das brot und die milch mit dem", "de")] * 8)]
+    model = classify.train_language(spark.createDataFrame([*rows, (90, None, "en"), (91, "what", None)], "doc_id long, text string, lang string"))
+    odd = spark.createDataFrame([(1, "the milk", "x"), (2, "die milch", None), (3, None, None), (4, "", None), (5, "12 34", None)], "doc_id long, text string, lang string")
+    got = {r.doc_id: (r.text, r.lang, r.lang_score) for r in classify.predict_language(odd, model).collect()}
+    assert [got[i][1] for i in range(1, 6)] == ["en", "de", "und", "und", "und"]
+    assert got[3] == (None, "und", 0.0) and 0.5 < got[1][2] <= 1
+
+
+def test_report_of_known_scores(spark):
+    x = spark.createDataFrame([(0.9, 1), (0.9, 0), (0.1, 1), (0.1, 0), (0.8, 1)], "score double, label int")
+    got = {r.cut: (r.accuracy, r.precision, r.recall) for r in classify.report(x, (0.5, 0.95)).collect()}
+    assert got[0.5] == (0.6, 2 / 3, 2 / 3) and got[0.95] == (0.4, None, 0.0)
+
+
+def test_equation_measures(spark):
+    from formulary.workloads import QUERIES
+
+    got = {r.encoding: r for r in QUERIES["equation_prf"](spark, SF).collect()}
+    assert set(got) == {t[2] for t in TRUTH} | {"any"}
+    assert got["any"].recall == got["any"].precision == got["any"].f1 == 1.0
+
+
+def test_plan_with_models_gives_every_row_a_verdict(spark):
+    pages = math_pages(spark, SF)
+    high = lambda df: df.select("page_id", F.when(F.col("page_id") % 2 == 0, 1e9).alias("ppl"))
+    mathy = lambda df: df.withColumn("math_score", F.lit(0.9))
+    got = corpus.run(spark, pages.select("page_id", "url", "html"), corpus.Config(), corpus.Models(math=mathy, perplexity=high))
+    ledger = {r.verdict: r["rows"] for r in got.ledger.collect()}
+    assert sum(ledger.values()) == pages.count() and ledger["perplexity"] > 0 and "keep" not in ledger and "math" not in ledger
+    assert got.dropped.select("page_id").distinct().count() == pages.count()
+
+
+def test_document_vectors(spark):
+    from formulary.operators import analysis
+
+    x = spark.createDataFrame([(1, "a b c"), (2, "c b a"), (3, None), (4, "")], "doc_id long, text string")
+    got = {r.doc_id: r.embedding for r in analysis.embed(x, dims=8).collect()}
+    assert got[1] == got[2] and set(map(abs, got[1])) <= {1.0, 3.0} and got[3] == got[4] == [0.0] * 8
+
+
+def _streamed(spark, df, tmp_path, name):
+    q = df.writeStream.format("memory").queryName(name).option("checkpointLocation", str(tmp_path / name)).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return q, [tuple(r) for r in spark.table(name).collect()]
+
+
+def test_stream_joins_and_late_rows(spark, tmp_path):
+    from formulary.streaming import incremental
+
+    def arrive(folder, rows, schema):
+        for part in rows:
+            spark.createDataFrame(part, schema).coalesce(1).write.mode("append").parquet(str(tmp_path / folder))
+        return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / folder))
+
+    pages = arrive("p", [[(1, "http://bad.org/x")], [(2, "http://good.org/y"), (3, None)]], "page_id long, url string")
+    _, got = _streamed(spark, incremental.without_blocked(pages, spark.createDataFrame([("bad.org",)], "host string")).select("page_id"), tmp_path, "blocked")
+    assert sorted(got) == [(2,), (3,)]
+    at = lambda m: datetime(2024, 1, 1) + timedelta(minutes=m)
+    a = arrive("a", [[(1, at(0)), (2, at(0))]], "user_id long, ts timestamp")
+    b = arrive("b", [[(1, at(5)), (1, at(30)), (2, at(-1))]], "user_id long, ts timestamp")
+    _, got = _streamed(spark, incremental.followed_by(a, b, "user_id"), tmp_path, "followed")
+    assert got == [(1, at(0), at(5))]
+    for name, minutes, late in (("late1", (600, 0, 610), 0), ("late2", (600, 610, 0, 620), 1)):  # rows are judged by the watermark of the batch before
+        events = arrive(f"{name}_in", [[(1, at(m))] for m in minutes], "user_id long, ts timestamp")
+        q, _ = _streamed(spark, incremental.sessions(events).select("user_id", "n"), tmp_path, name)
+        assert incremental.late_rows(q) == late
+
+
+def test_stream_of_near_pairs_equals_the_batch(spark, tmp_path):
+    from formulary.streaming import incremental
+
+    fps = [(1, 0), (2, 0b111), (3, 0b1111), (4, 1 << 59), (5, 0), (6, (1 << 60) - 1), (7, None)]
+    for part in (fps[:3], fps[3:]):
+        spark.createDataFrame(part, "doc_id long, fp long").coalesce(1).write.mode("append").parquet(str(tmp_path / "f"))
+    stream = spark.readStream.schema("doc_id long, fp long").parquet(str(tmp_path / "f"))
+    _, got = _streamed(spark, incremental.near_pairs(stream), tmp_path, "near")
+    rep = {i: min(j for j, g in fps if g == f) for i, f in fps if f is not None}
+    want = {tuple(sorted((rep[a], rep[b]))) for a, f in fps for b, g in fps if f is not None and g is not None and rep[a] != rep[b] and (f ^ g).bit_count() <= 3}
+    assert {tuple(sorted((rep[a], rep[b]))) for a, b, _ in got if rep[a] != rep[b]} == want
+    assert all(dist == (dict(fps)[a] ^ dict(fps)[b]).bit_count() for a, b, dist in got) and len(got) == len(set(got))

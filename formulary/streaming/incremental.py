@@ -58,17 +58,17 @@ def late_rows(query) -> int:
     return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
 
 
-def near_pairs(fps: DataFrame, d: int = 3, key: str = "doc_id", ttl_ms: int = 86_400_000) -> DataFrame:
-    """Stream of (key, fp) with 60-bit fingerprints -> a, b, dist: each arriving row with every earlier distinct
+def near_pairs(fps: DataFrame, d: int = 3, key: str = "doc_id", ttl_ms: int = 86_400_000, late: str = "1 hour") -> DataFrame:
+    """Stream of (key, fp, crawled) with 60-bit fingerprints -> a, b, dist: each arriving row with every earlier distinct
     fingerprint within d bits. State is kept for each of d + 1 blocks of bits; a pair is emitted at its first equal block.
 
     Of equal fingerprints the first id stands for all, so a group of copies takes one entry; a block's state is dropped
-    after ttl_ms without a row. Rows without an id or a fingerprint meet nothing.
+    once the watermark is ttl_ms past its last row (event time, so that a replay gives the same). Rows without an id or a fingerprint meet nothing.
     """
     width = -(-dedup.BITS60 // (d + 1))
     mask = (1 << width) - 1
     block: Column = F.explode(F.array(*(F.struct(F.lit(i).alias("i"), F.shiftright("fp", i * width).bitwiseAND(F.lit(mask)).alias("v")) for i in range(d + 1))))
-    keyed = fps.where(F.col(key).isNotNull() & F.col("fp").isNotNull()).select(F.col(key).cast("long").alias("id"), F.col("fp").cast("long").alias("fp"), block.alias("k")).select("id", "fp", "k.*")
+    keyed = fps.where(F.col(key).isNotNull() & F.col("fp").isNotNull()).withWatermark("crawled", late).select("crawled", F.col(key).cast("long").alias("id"), F.col("fp").cast("long").alias("fp"), block.alias("k")).select("crawled", "id", "fp", "k.*")
 
     def run(group: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -78,7 +78,10 @@ def near_pairs(fps: DataFrame, d: int = 3, key: str = "doc_id", ttl_ms: int = 86
         ids, seen = map(list, state.get) if state.exists else ([], [])
         at = {f: n for n, f in enumerate(seen)}
         out: list[tuple[int, int, int]] = []
+        last = state.getCurrentWatermarkMs()
         for frame in frames:
+            if frame["crawled"].notna().any():
+                last = max(last, int(frame["crawled"].max().timestamp() * 1000))
             for b, fp in zip(frame["id"].tolist(), frame["fp"].tolist()):
                 if seen:
                     diff = np.array(seen, np.int64) ^ np.int64(fp)
@@ -92,10 +95,10 @@ def near_pairs(fps: DataFrame, d: int = 3, key: str = "doc_id", ttl_ms: int = 86
                     ids.append(b)
                     seen.append(fp)
         state.update((ids, seen))
-        state.setTimeoutDuration(ttl_ms)
+        state.setTimeoutTimestamp(max(last, 0) + ttl_ms)
         yield pd.DataFrame(out, columns=["a", "b", "dist"])
 
-    return keyed.groupBy("i", "v").applyInPandasWithState(run, "a long, b long, dist int", "ids array<long>, fps array<long>", "append", "ProcessingTimeTimeout")
+    return keyed.groupBy("i", "v").applyInPandasWithState(run, "a long, b long, dist int", "ids array<long>, fps array<long>", "append", "EventTimeTimeout")
 
 
 def near_duplicate_sink(history: str, key: str = "page_id", text_col: str = "text"):

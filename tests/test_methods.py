@@ -378,8 +378,8 @@ def test_stream_of_near_pairs_equals_the_batch(spark, tmp_path):
 
     fps = [(1, 0), (2, 0b111), (3, 0b1111), (4, 1 << 59), (5, 0), (6, (1 << 60) - 1), (7, None)]
     for part in (fps[:3], fps[3:]):
-        spark.createDataFrame(part, "doc_id long, fp long").coalesce(1).write.mode("append").parquet(str(tmp_path / "f"))
-    stream = spark.readStream.schema("doc_id long, fp long").parquet(str(tmp_path / "f"))
+        spark.createDataFrame([(*r, datetime(2024, 1, 1)) for r in part], "doc_id long, fp long, crawled timestamp").coalesce(1).write.mode("append").parquet(str(tmp_path / "f"))
+    stream = spark.readStream.schema("doc_id long, fp long, crawled timestamp").parquet(str(tmp_path / "f"))
     _, got = _streamed(spark, incremental.near_pairs(stream), tmp_path, "near")
     rep = {i: min(j for j, g in fps if g == f) for i, f in fps if f is not None}
     want = {tuple(sorted((rep[a], rep[b]))) for a, f in fps for b, g in fps if f is not None and g is not None and rep[a] != rep[b] and (f ^ g).bit_count() <= 3}

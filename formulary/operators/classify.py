@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.ml import Pipeline, PipelineModel
 from pyspark.ml.classification import LogisticRegression
-from pyspark.ml.feature import HashingTF, NGram, RegexTokenizer
+from pyspark.ml.feature import IDF, HashingTF, NGram, Normalizer, RegexTokenizer, SQLTransformer, StringIndexer
 from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -60,14 +60,16 @@ def math_labels(docs: DataFrame) -> DataFrame:
 
 
 def train_linear(labelled: DataFrame, features: int = 1 << 18, iterations: int = 30, reg: float = 1e-4):
-    """Hashed words and word pairs into a logistic regression; gradients are summed by treeAggregate."""
+    """Hashed words and word pairs into a logistic regression; gradients are summed by treeAggregate.
+
+    Words and pairs share one hashed vector (a pair holds a space, a word none): an assembled vector would name each of its
+    features in the schema, which every task of every iteration would then carry.
+    """
     stages = [
-        RegexTokenizer(inputCol="text", outputCol="w1", pattern=r"[^\p{L}\p{N}]+", toLowercase=True), NGram(n=2, inputCol="w1", outputCol="w2"),
-        HashingTF(inputCol="w1", outputCol="f1", numFeatures=features, binary=True), HashingTF(inputCol="w2", outputCol="f2", numFeatures=features, binary=True),
+        RegexTokenizer(inputCol="text", outputCol="words", pattern=r"[^\p{L}\p{N}]+", toLowercase=True), NGram(n=2, inputCol="words", outputCol="pairs"),
+        SQLTransformer(statement="SELECT *, concat(words, pairs) AS grams FROM __THIS__"), HashingTF(inputCol="grams", outputCol="f", numFeatures=features, binary=True),
+        Normalizer(inputCol="f", outputCol="x", p=2.0), LogisticRegression(featuresCol="x", labelCol="label", maxIter=iterations, regParam=reg),
     ]
-    from pyspark.ml.feature import Normalizer, VectorAssembler
-
-    stages += [VectorAssembler(inputCols=["f1", "f2"], outputCol="f"), Normalizer(inputCol="f", outputCol="x", p=2.0), LogisticRegression(featuresCol="x", labelCol="label", maxIter=iterations, regParam=reg)]
     return Pipeline(stages=stages).fit(labelled.where("text IS NOT NULL"))
 
 
@@ -79,8 +81,6 @@ def linear_score(docs: DataFrame, model, out: str = "score") -> DataFrame:
 def train_language(docs: DataFrame, label: str = "lang", features: int = 1 << 16, iterations: int = 30, reg: float = 1e-4):
     """Hashed triples of neighbouring characters into a multinomial regression on the known languages of docs (text, label).
     Rows without a text or a language teach nothing; labels rank by frequency, then name."""
-    from pyspark.ml.feature import IDF, Normalizer, StringIndexer
-
     stages = [
         StringIndexer(inputCol=label, outputCol="y", stringOrderType="frequencyDesc"), RegexTokenizer(inputCol="text", outputCol="chars", pattern=".", gaps=False, toLowercase=True), NGram(n=3, inputCol="chars", outputCol="triples"),
         HashingTF(inputCol="triples", outputCol="counts", numFeatures=features), IDF(inputCol="counts", outputCol="weighted"), Normalizer(inputCol="weighted", outputCol="x", p=2.0),

@@ -54,7 +54,7 @@ def fitted_models(spark, d, order: int = 5) -> corpus.Models:
     x = math_docs(spark, d)
     learn = x.where(~classify.held_out(F.col("doc_id")))
     language = classify.train_language(learn)
-    math = classify.train_linear(classify.math_labels(learn), features=1 << 16)
+    math = classify.train_linear(classify.math_labels(learn))
     clean = spark.read.parquet(f"{d}/labels.parquet").where("quality = 1").select("doc_id")
     model = lm.ModifiedKneserNey(learn.where("lang = 'en'").join(clean, "doc_id", "left_semi").select("doc_id", "text"), order)
     return corpus.Models(

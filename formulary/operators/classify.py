@@ -62,12 +62,12 @@ def math_labels(docs: DataFrame) -> DataFrame:
 def train_linear(labelled: DataFrame, features: int = 1 << 18, iterations: int = 30, reg: float = 1e-4):
     """Hashed words and word pairs into a logistic regression; gradients are summed by treeAggregate.
 
-    Words and pairs share one hashed vector (a pair holds a space, a word none): an assembled vector would name each of its
-    features in the schema, which every task of every iteration would then carry.
+    Words and pairs share one hashed vector (a pair holds a space, a word none) with `features` places for each kind: an
+    assembled vector would name each of its features in the schema, which every task of every iteration would then carry.
     """
     stages = [
         RegexTokenizer(inputCol="text", outputCol="words", pattern=r"[^\p{L}\p{N}]+", toLowercase=True), NGram(n=2, inputCol="words", outputCol="pairs"),
-        SQLTransformer(statement="SELECT *, concat(words, pairs) AS grams FROM __THIS__"), HashingTF(inputCol="grams", outputCol="f", numFeatures=features, binary=True),
+        SQLTransformer(statement="SELECT *, concat(words, pairs) AS grams FROM __THIS__"), HashingTF(inputCol="grams", outputCol="f", numFeatures=2 * features, binary=True),
         Normalizer(inputCol="f", outputCol="x", p=2.0), LogisticRegression(featuresCol="x", labelCol="label", maxIter=iterations, regParam=reg),
     ]
     return Pipeline(stages=stages).fit(labelled.where("text IS NOT NULL"))

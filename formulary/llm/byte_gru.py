@@ -46,8 +46,8 @@ def new_model(languages: list[str], hidden: int = HIDDEN, seed: int = 11) -> Gru
     return Gru(languages, [weights(256, 3 * hidden, scale=0.3) for _ in range(2)], [weights(hidden, 3 * hidden, scale=hidden**-0.5) for _ in range(2)], [weights(hidden, k, scale=hidden**-0.5) for _ in range(2)], np.zeros(k, np.float32))
 
 
-def _walk(x: np.ndarray, u: np.ndarray, rows: np.ndarray, keep: bool = False) -> tuple[np.ndarray, list]:
-    """States after each step of (time, batch) bytes; with keep, what the way back needs."""
+def _walk(x: np.ndarray, u: np.ndarray, rows: np.ndarray, keep: bool = False, inside: np.ndarray | None = None) -> tuple[np.ndarray, list]:
+    """States after each step of (time, batch) bytes; with keep, what the way back needs. Where inside is false the state is 0."""
     t, n = rows.shape
     h_size = u.shape[0]
     h = np.zeros((n, h_size), np.float32)
@@ -66,6 +66,8 @@ def _walk(x: np.ndarray, u: np.ndarray, rows: np.ndarray, keep: bool = False) ->
         if keep:
             kept.append((h, gates, c, b[:, 2 * h_size :]))
         h = c + z * (h - c)
+        if inside is not None:
+            h *= inside[i][:, None]
         states[i] = h
     return states, kept
 
@@ -97,10 +99,10 @@ def _softmax(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def position_probabilities(model: Gru, rows: np.ndarray) -> np.ndarray:
-    """(time, batch) bytes -> (time, batch, languages)."""
-    ahead, _ = _walk(model.x[0], model.u[0], rows)
-    behind, _ = _walk(model.x[1], model.u[1], rows[::-1])
+def position_probabilities(model: Gru, rows: np.ndarray, inside: np.ndarray | None = None) -> np.ndarray:
+    """(time, batch) bytes -> (time, batch, languages). inside: which of them are of the text; both directions start at its ends."""
+    ahead, _ = _walk(model.x[0], model.u[0], rows, inside=inside)
+    behind, _ = _walk(model.x[1], model.u[1], rows[::-1], inside=None if inside is None else inside[::-1])
     return _softmax(ahead @ model.o[0] + behind[::-1] @ model.o[1] + model.bias)
 
 
@@ -166,7 +168,7 @@ def pooled(model: Gru, data: np.ndarray, offsets: np.ndarray, core: int = CORE,
         at = b[None, :] - warm + np.arange(core + 2 * warm)[:, None]
         inside = (at >= offsets[o][None, :]) & (at < e[None, :])
         rows = np.where(inside, data[np.clip(at, 0, len(data) - 1)], 0).astype(np.uint8)
-        p = position_probabilities(model, rows)[warm : warm + core]
+        p = position_probabilities(model, rows, None if inside.all() else inside)[warm : warm + core]
         p *= (at[warm : warm + core] < np.minimum(b + core, e)[None, :])[..., None]
         np.add.at(total, o, p.sum(axis=0))
     return np.where(size[:, None] > 0, total / np.maximum(size, 1)[:, None], 1 / max(k, 1))

@@ -10,6 +10,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -46,31 +47,73 @@ def _hasher(seed: int):
     return lambda s: F.xxhash64(s, F.lit(seed))
 
 
+_STEP, _GOLD = np.uint64(0xD6E8FEB86659FD93), 0x9E3779B97F4A7C15
+#: The bits of a byte, each in a byte of its own.
+_LANES = (np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").copy()).view(np.uint64).ravel()
+
+
+def _mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def shingle_hashes(tokens: np.ndarray, size: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the distinct n-token shingles of each text (fewer tokens: the whole sequence), text after text and sorted
+    in each, and their numbers. tokens: hashes of all tokens, text after text; size: tokens of each text."""
+    owner, start = np.repeat(np.arange(len(size)), size), np.cumsum(size) - size
+    left = (start + size)[owner] - np.arange(len(owner))  # tokens from here to the text's end
+    many = np.flatnonzero(left >= n)
+    h = np.zeros(len(many), np.uint64)
+    for j in range(n):
+        h = _mix(h * _STEP + tokens[many + j])
+    few = np.flatnonzero((size > 0) & (size < n))
+    g = np.full(len(few), n, np.uint64)
+    for j in range(n - 1):
+        on = size[few] > j
+        g[on] = _mix(g[on] * _STEP + tokens[start[few[on]] + j])
+    h, owner = np.concatenate([h, g]), np.concatenate([owner[many], few])
+    order = np.lexsort((h, owner))
+    h, owner = h[order], owner[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])
+    return h[new], np.bincount(owner[new], minlength=len(size))
+
+
+def _majorities(h: np.ndarray, size: np.ndarray, words: int) -> np.ndarray:
+    """Words of the fingerprint of each text (none is empty): bits that more of its hashes have than not. Counts are kept in
+    the bytes of a 64-bit number, for runs of up to 255 hashes."""
+    runs = -(-size // 255)
+    first = np.cumsum(runs) - runs
+    at = np.repeat(np.cumsum(size) - size, runs) + 255 * (np.arange(runs.sum()) - np.repeat(first, runs))
+    out = np.empty((len(size), words), np.uint64)
+    for w in range(words):
+        raw = _mix(h ^ np.uint64((w + 1) * _GOLD & 0xFFFFFFFFFFFFFFFF)).view(np.uint8).reshape(-1, 8)
+        lanes = np.stack([np.add.reduceat(_LANES[raw[:, k]], at) for k in range(8)], axis=1).view(np.uint8)
+        ones = np.add.reduceat(lanes.astype(np.int32), first, axis=0)
+        out[:, w] = np.packbits(2 * ones > size[:, None], axis=1, bitorder="little").view(np.uint64).ravel()
+    return out
+
+
 def fingerprint(docs: DataFrame, bits: int = 256, n: int = SHINGLE, key: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """key and a fingerprint of bits / 64 words: shingles are hashed in the JVM, votes are counted in numpy by Arrow batch.
+    """key and a fingerprint of bits / 64 words: tokens are hashed in the JVM, shingles and votes are made in numpy by Arrow
+    batch. The first words of a wide fingerprint are the narrower ones.
 
     Texts without words have a null fingerprint and never pair.
     """
     words = bits // 64
-    sh = C.shingles(C.tokens(F.col(text_col)), n)
-    hashed = docs.select(F.col(key).cast("long").alias("id"), *(F.transform(sh, _hasher(i)).alias(f"h{i}") for i in range(words)))
+    hashed = docs.select(F.col(key).cast("long").alias("id"), F.transform(C.tokens(F.col(text_col)), lambda t: F.xxhash64(t)).alias("h"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            cols = []
-            for w in range(words):
-                col = batch.column(w + 1)
-                size = np.array([len(x) if x is not None else 0 for x in col.to_pylist()])
-                values = col.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
-                owner = np.repeat(np.arange(len(size)), size)
-                word = np.zeros(len(size), np.uint64)
-                for b in range(64):
-                    ones = np.bincount(owner, (values >> np.uint64(b)) & np.uint64(1), len(size))
-                    word |= np.where(2 * ones > size, np.uint64(1) << np.uint64(b), np.uint64(0))
-                cols.append(word.view(np.int64))
-            empty = np.array([not x for x in batch.column(1).to_pylist()])
-            fp = [None if e else list(map(int, r)) for e, r in zip(empty, zip(*cols))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp, pa.list_(pa.int64()))], [key, "fp"])
+            col = batch.column(1)
+            size = pc.fill_null(pc.list_value_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+            h, count = shingle_hashes(col.flatten().to_numpy(zero_copy_only=False).view(np.uint64), size, n)
+            some = count > 0
+            fp = _majorities(h, count[some], words) if some.any() else np.empty((0, words), np.uint64)
+            ends = np.concatenate([[0], np.cumsum(some)]) * words
+            lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(fp.view(np.int64).ravel()), mask=pa.array(~some))
+            yield pa.RecordBatch.from_arrays([batch.column(0), lists], [key, "fp"])
 
     return hashed.mapInArrow(run, f"{key} long, fp array<long>")
 
@@ -120,14 +163,22 @@ def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int
     return near.select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
 
 
-def _cells(fps: DataFrame, bits: int, key: str, limit: int, out, schema: str, block: int) -> DataFrame:
-    """Compare all fingerprints, block against block. out gets (a, b, dist) of a cell's pairs within limit bits, a < b, as arrays."""
+def _dealt(fps: DataFrame, key: str, block: int, ranged: bool = False) -> DataFrame:
+    """i, j, own, id, fp: every fingerprint in the cells of its block with each block, i <= j. ranged: blocks are ranges of ids."""
     rows = fps.where(F.col("fp").isNotNull() & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), "fp")
     rows = _stored(rows)
     n = max(1, -(-rows.count() // block))
     own = F.pmod(F.xxhash64("id"), F.lit(n)).cast("int")
+    if ranged and n > 1:
+        bounds = sorted(set(rows.approxQuantile("id", [k / n for k in range(1, n)], 0.05 / n)))
+        n, own = len(bounds) + 1, F.size(F.filter(F.array(*map(F.lit, bounds)), lambda low: low <= F.col("id").cast("double")))
     dealt = rows.select("id", "fp", own.alias("own"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("o"))
-    dealt = dealt.select(F.least("own", "o").alias("i"), F.greatest("own", "o").alias("j"), "own", "id", "fp")
+    return dealt.select(F.least("own", "o").alias("i"), F.greatest("own", "o").alias("j"), "own", "id", "fp")
+
+
+def _cells(fps: DataFrame, bits: int, key: str, limit: int, out, schema: str, block: int) -> DataFrame:
+    """Compare all fingerprints, block against block. out gets (a, b, dist) of a cell's pairs within limit bits, a < b, as arrays."""
+    dealt = _dealt(fps, key, block)
 
     def run(cell: pa.Table) -> pa.Table:
         i, j = cell.column("i")[0].as_py(), cell.column("j")[0].as_py()
@@ -180,18 +231,65 @@ def links_exact(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, key:
     return _cells(fps, bits, key, int((1 - tau) * bits + 1e-9), out, "a long, b long", block)
 
 
-def sweep_exact(fps: DataFrame, taus: tuple[float, ...], bits: int = 256, key: str = "doc_id", block: int = 8192) -> DataFrame:
-    """tau, pairs, removable: pairs with that similarity and their distinct later documents, counted where they are found."""
-    limits = [int((1 - t) * bits + 1e-9) for t in taus]
+def sweep_widths(fps: DataFrame, taus: tuple[float, ...], widths: tuple[int, ...], key: str = "doc_id", block: int = 16384) -> DataFrame:
+    """tau, pairs, removable, bits: pairs with that similarity on the first bits of the fingerprints, and their distinct later
+    documents. Every fingerprint is compared with every other once for all widths, and pairs are counted where they are
+    found: a cell gives its counts and, of each document, a bit for every width and threshold that it has an earlier pair at."""
+    cuts = [(w, t, w - 2 * int((1 - t) * w + 1e-9)) for w in widths for t in sorted(taus)]  # least agreement less disagreement
+    spans = list(zip((0, *widths), widths))
+    per = len(taus)
+
+    def run(cell: pa.Table) -> pa.Table:
+        i, j = cell.column("i")[0].as_py(), cell.column("j")[0].as_py()
+        ids = cell.column("id").to_numpy()
+        order = np.argsort(ids, kind="stable")
+        ids, side = ids[order], cell.column("own").to_numpy()[order]
+        words = cell.column("fp").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)[order]
+        signs = np.unpackbits(np.ascontiguousarray(words).view(np.uint8), axis=1, bitorder="little").astype(np.float32) * 2 - 1
+        sides = [np.flatnonzero(side == x) for x in (i, j)]
+        left, right = ([np.ascontiguousarray(signs[x, low:high]) for low, high in spans] for x in sides)
+        a, b = (ids[x] for x in sides)
+        counts, seen = np.zeros(len(cuts), np.int64), np.zeros(len(b), np.int32)
+        for s in range(0, len(a), 512):
+            for c in range(0, len(b), 2048):
+                p, q, dot = a[s : s + 512], b[c : c + 2048], None
+                if p[0] >= q[-1]:
+                    continue
+                later = None if p[-1] < q[0] else p[:, None] < q
+                for k in range(len(widths)):
+                    more = left[k][s : s + 512] @ right[k][c : c + 2048].T
+                    dot = more if dot is None else np.add(dot, more, out=dot)
+                    # the loosest threshold may be met by many pairs and is counted whole, the others from those that meet the next
+                    near = dot >= cuts[k * per][2]
+                    near = near if later is None else near & later
+                    counts[k * per] += np.count_nonzero(near)
+                    seen[c : c + 2048] |= near.any(axis=0).astype(np.int32) << (k * per)
+                    if per > 1:
+                        near = dot >= cuts[k * per + 1][2]
+                        at = np.flatnonzero(near if later is None else near & later)
+                        close, col = dot.ravel()[at], at % len(q)
+                        for m in range(k * per + 1, (k + 1) * per):
+                            on = close >= cuts[m][2]
+                            counts[m] += np.count_nonzero(on)
+                            hit = np.zeros(len(q), np.int32)
+                            hit[col[on]] = 1 << m
+                            seen[c : c + 2048] |= hit
+        on = np.flatnonzero(seen)
+        none = np.zeros(len(on), np.int64)
+        found = {f"n{m}": np.concatenate([counts[m : m + 1], none]) for m in range(len(cuts))}
+        return pa.table({"b": pa.array([None, *b[on].tolist()], pa.int64()), "seen": np.concatenate([np.zeros(1, np.int32), seen[on]]), **found})
+
+    numbers = [f"n{m}" for m in range(len(cuts))]
+    cells = _dealt(fps, key, block, ranged=True).groupBy("i", "j").applyInArrow(run, f"b long, seen int, {', '.join(f'{x} long' for x in numbers)}")
+    per_doc = cells.groupBy("b").agg(F.bit_or("seen").alias("seen"), *(F.sum(x).alias(x) for x in numbers))
+    whole = per_doc.agg(*(F.coalesce(F.sum(x), F.lit(0)).alias(x) for x in numbers), *(F.count_if(F.getbit("seen", F.lit(m)) == 1).alias(f"r{m}") for m in range(len(cuts))))
+    rows = (F.struct(F.lit(t).alias("tau"), F.col(f"n{m}").alias("pairs"), F.col(f"r{m}").alias("removable"), F.lit(w).alias("bits")) for m, (w, t, _) in enumerate(cuts))
+    return whole.select(F.inline(F.array(*rows)))
 
-    def out(a: np.ndarray, b: np.ndarray, d: np.ndarray) -> pa.Table:
-        got = [(t, *np.unique(b[d <= x], return_counts=True)) for t, x in zip(taus, limits)]
-        return pa.table({"tau": pa.array([t for t, v, _ in got for _ in v], pa.float64()), "b": pa.array([i for _, v, _ in got for i in v.tolist()], pa.int64()), "n": pa.array([c for _, _, k in got for c in k.tolist()], pa.int64())})
 
-    seen = _cells(fps, bits, key, max(limits), out, "tau double, b long, n long", block)
-    found = seen.groupBy("tau").agg(F.sum("n").alias("pairs"), F.countDistinct("b").alias("removable"))
-    every = fps.sparkSession.createDataFrame([(t,) for t in taus], "tau double")
-    return every.join(found, "tau", "left").select("tau", F.coalesce("pairs", F.lit(0)).alias("pairs"), F.coalesce("removable", F.lit(0)).alias("removable"))
+def sweep_exact(fps: DataFrame, taus: tuple[float, ...], bits: int = 256, key: str = "doc_id", block: int = 8192) -> DataFrame:
+    """tau, pairs, removable of one width."""
+    return sweep_widths(fps, taus, (bits,), key, block).drop("bits")
 
 
 def prefix_tokens(sh: DataFrame, percent: int, key: str = "doc_id") -> DataFrame:

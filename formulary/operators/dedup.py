@@ -292,25 +292,111 @@ def sweep_exact(fps: DataFrame, taus: tuple[float, ...], bits: int = 256, key: s
     return sweep_widths(fps, taus, (bits,), key, block).drop("bits")
 
 
-def prefix_tokens(sh: DataFrame, percent: int, key: str = "doc_id") -> DataFrame:
-    """key, n, token: of each set its first n - ceil(percent n / 100) + 1 tokens, the rarest first."""
-    long = sh.select(key, F.size("sh").alias("n"), F.explode("sh").alias("token"))
-    df = long.groupBy("token").agg(F.count("*").alias("df"))
-    ranked = long.join(df, "token").withColumn("k", F.row_number().over(W.partitionBy(key).orderBy("df", "token")))
-    return ranked.where(F.col("k") <= F.col("n") - F.ceil(F.col("n") * percent / 100.0) + 1).select(key, "n", "token", "df")
+#: Places of the table of counts by which a prefix orders its shingles.
+_PLACES = 1 << 22
+
+
+def _hash_sets(batch: pa.RecordBatch, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of the shingle sets of a batch of (key, hashes of tokens), their sizes, and a name of each set."""
+    col = batch.column(1)
+    size = pc.fill_null(pc.list_value_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    h, count = shingle_hashes(col.flatten().to_numpy(zero_copy_only=False).view(np.uint64), size, n)
+    name = np.zeros(len(count), np.uint64)
+    if len(h):
+        some = count > 0
+        name[some] = np.add.reduceat(_mix(h ^ np.uint64(_GOLD)), (np.cumsum(count) - count)[some])
+    return h, count, name
+
+
+def _hashed_tokens(docs: DataFrame, key: str, text_col: str) -> DataFrame:
+    return docs.where(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.transform(C.tokens(F.col(text_col)), lambda t: F.xxhash64(t)).alias("h"))
+
+
+def _shingle_counts(hashed: DataFrame, n: int) -> np.ndarray:
+    """How many sets have a shingle, up to 255, by place of its hash: other shingles of the place are counted with it."""
+    piece = 1 << 16
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(_PLACES, np.uint8)
+        for batch in batches:
+            h = _hash_sets(batch, n)[0]
+            at, c = np.unique(h % np.uint64(_PLACES), return_counts=True)
+            total[at] = np.minimum(total[at] + c, 255)
+        parts = [(k, total[k * piece : (k + 1) * piece]) for k in range(_PLACES // piece)]
+        parts = [(k, x.tobytes()) for k, x in parts if x.any()]
+        yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in parts], pa.int32()), pa.array([x for _, x in parts], pa.binary())], ["k", "c"])
+
+    def merge(t: pa.Table) -> pa.Table:
+        total = sum(np.frombuffer(x, np.uint8).astype(np.int64) for x in t.column("c").to_pylist())
+        return pa.table({"k": t.column("k").combine_chunks()[:1], "c": pa.array([np.minimum(total, 255).astype(np.uint8).tobytes()], pa.binary())})
+
+    out = np.zeros(_PLACES, np.uint8)
+    for r in hashed.mapInArrow(count, "k int, c binary").groupBy("k").applyInArrow(merge, "k int, c binary").collect():
+        out[r.k * piece : (r.k + 1) * piece] = np.frombuffer(r.c, np.uint8)
+    return out
+
+
+def prefix_keys(h: np.ndarray, count: np.ndarray, counts: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of each set its first n - ceil(percent n / 100) + 1 shingles, those of rare places first, and how many: two sets with
+    that similarity share one, in whatever order all sets keep."""
+    owner = np.repeat(np.arange(len(count)), count)
+    h = h[np.lexsort((h, counts[h % np.uint64(_PLACES)], owner))]
+    most = np.where(count > 0, count - -(-percent * count // 100) + 1, 0)
+    at = np.arange(len(h)) - np.repeat(np.cumsum(count) - count, count)
+    return h[at < most[owner]], most
+
+
+def _similar_pairs(docs: DataFrame, keys, percent: int, n: int, key: str, text_col: str = "text") -> DataFrame:
+    """a, b, shared, total of the pairs of texts that have a key in common and Jaccard similarity of percent or more.
+
+    keys: hashes of sets and their sizes -> their keys and how many each has. Shingles are 64-bit hashes. Equal sets are one node until the end; only keys, and the
+    sets of nodes that have a candidate, are exchanged.
+    """
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            h, count, name = _hash_sets(batch, n)
+            got, many = keys(h, count)
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), pa.array(got.view(np.int64)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(name.view(np.int64)), pa.array(count.astype(np.int32)), lists], ["id", "name", "n", "keys"])
+
+    rows = _stored(_hashed_tokens(docs, key, text_col).mapInArrow(keyed, "id long, name long, n int, keys array<long>").where("n > 0"))
+    nodes = rows.groupBy("name").agg(F.min_by(F.struct("n", "keys", "id"), "id").alias("x")).select("name", "x.*")
+    k = nodes.select("name", "n", F.explode("keys").alias("k"))
+    a, b = k.select(F.col("name").alias("a"), F.col("n").alias("na"), "k"), k.select(F.col("name").alias("b"), F.col("n").alias("nb"), "k")
+    size = (100 * F.col("nb").cast("long") >= percent * F.col("na").cast("long")) & (100 * F.col("na").cast("long") >= percent * F.col("nb").cast("long"))
+    cand = _stored(a.join(b, "k").where((F.col("a") < F.col("b")) & size).select("a", "b").distinct())
+    live = cand.select(F.explode(F.array("a", "b")).alias("name")).distinct().join(rows.groupBy("name").agg(F.min("id").alias("id")), "name").select("id")
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            h, count, name = _hash_sets(batch, n)
+            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(count)]), pa.int32()), pa.array(h.view(np.int64)))], ["name", "h"])
+
+    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            left, right = batch.column(2), batch.column(3)
+            both = np.empty(len(batch), np.int64)
+            for i in range(len(batch)):
+                both[i] = len(np.intersect1d(left[i].values.to_numpy(), right[i].values.to_numpy(), assume_unique=True))
+            whole = pc.add(pc.list_value_length(left), pc.list_value_length(right)).to_numpy() - both
+            on = 100 * both >= percent * whole
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(on)), batch.column(1).filter(pa.array(on)), pa.array(both[on].astype(np.int32)), pa.array(whole[on].astype(np.int32))], ["na", "nb", "shared", "total"])
+
+    live_docs = docs.join(live.select(F.col("id").alias(key)), key, "left_semi")
+    whole = _stored(_hashed_tokens(live_docs, key, text_col).mapInArrow(sets, "name long, h array<long>").dropDuplicates(["name"]))
+    full = cand.join(whole.select(F.col("name").alias("a"), F.col("h").alias("ha")), "a").join(whole.select(F.col("name").alias("b"), F.col("h").alias("hb")), "b")
+    near = full.select("a", "b", "ha", "hb").mapInArrow(verify, "na long, nb long, shared int, total int")
+    left, right = rows.select(F.col("name").alias("na"), F.col("id").alias("x"), "n"), rows.select(F.col("name").alias("nb"), F.col("id").alias("y"))
+    unlike = near.join(left.drop("n"), "na").join(right, "nb").where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "shared", "total")
+    like = left.join(right, F.col("na") == F.col("nb")).where("x < y").select(F.col("x").alias("a"), F.col("y").alias("b"), F.col("n").alias("shared"), F.col("n").alias("total"))
+    return unlike.unionByName(like)
 
 
 def jaccard_pairs(docs: DataFrame, percent: int = 70, n: int = SHINGLE, key: str = "doc_id") -> DataFrame:
     """All pairs of texts with Jaccard similarity of percent or more on n-word shingles, by prefix filter."""
-    sh = shingled(docs, n, key)
-    p = prefix_tokens(sh, percent, key).where("df > 1").select(key, "n", "token")
-    a, b = p.select(F.col(key).alias("a"), F.col("n").alias("na"), "token"), p.select(F.col(key).alias("b"), F.col("n").alias("nb"), "token")
-    size = (100 * F.col("nb") >= percent * F.col("na")) & (100 * F.col("na") >= percent * F.col("nb"))
-    cand = a.join(b, "token").where((F.col("a") < F.col("b")) & size).select("a", "b").distinct()
-    full = cand.join(sh.select(F.col(key).alias("a"), F.col("sh").alias("sa")), "a").join(sh.select(F.col(key).alias("b"), F.col("sh").alias("sb")), "b")
-    both = F.size(F.array_intersect("sa", "sb"))
-    got = full.select("a", "b", both.alias("shared"), (F.size("sa") + F.size("sb") - both).alias("total"))
-    return got.where(100 * F.col("shared") >= percent * F.col("total")).select("a", "b", "shared", "total")
+    counts = docs.sparkSession.sparkContext.broadcast(_shingle_counts(_hashed_tokens(docs, key, "text"), n))
+    return _similar_pairs(docs, lambda h, count: prefix_keys(h, count, counts.value, percent), percent, n, key)
 
 
 def scratch_path(spark: SparkSession, tag: str) -> str:

@@ -43,10 +43,6 @@ def fingerprint60(docs: DataFrame, n: int = SHINGLE, key: str = "doc_id") -> Dat
     return votes.select(key, fp.alias("fp"))
 
 
-def _hasher(seed: int):
-    return lambda s: F.xxhash64(s, F.lit(seed))
-
-
 _STEP, _GOLD = np.uint64(0xD6E8FEB86659FD93), 0x9E3779B97F4A7C15
 #: The bits of a byte, each in a byte of its own.
 _LANES = (np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").copy()).view(np.uint64).ravel()
@@ -346,6 +342,21 @@ def prefix_keys(h: np.ndarray, count: np.ndarray, counts: np.ndarray, percent: i
     return h[at < most[owner]], most
 
 
+def band_keys(h: np.ndarray, count: np.ndarray, bands: int, rows: int) -> tuple[np.ndarray, np.ndarray]:
+    """MinHash bands of each set that isn't empty, and how many."""
+    some = count > 0
+    if not some.any():
+        return np.empty(0, np.uint64), np.zeros(len(count), np.int64)
+    start, out = (np.cumsum(count) - count)[some], np.empty((some.sum(), bands), np.uint64)
+    for band in range(bands):
+        v = np.full(some.sum(), band, np.uint64)
+        for r in range(rows):
+            seed = np.uint64((101 + band * rows + r) * _GOLD & 0xFFFFFFFFFFFFFFFF)
+            v = _mix(v * _STEP + np.minimum.reduceat(_mix(h ^ seed), start))
+        out[:, band] = v
+    return out.ravel(), np.where(some, bands, 0)
+
+
 def _similar_pairs(docs: DataFrame, keys, percent: int, n: int, key: str, text_col: str = "text") -> DataFrame:
     """a, b, shared, total of the pairs of texts that have a key in common and Jaccard similarity of percent or more.
 
@@ -451,9 +462,4 @@ def any_previous(docs: DataFrame, pairs: DataFrame, key: str = "doc_id") -> Data
 
 def minhash_pairs(docs: DataFrame, percent: int = 70, bands: int = 16, rows: int = 4, n: int = SHINGLE, key: str = "doc_id") -> DataFrame:
     """Comparison method: MinHash bands, then verification by Jaccard."""
-    sh = shingled(docs, n, key).where(F.size("sh") > 0)
-    mins = [F.array_min(F.transform("sh", _hasher(100 + i))) for i in range(bands * rows)]
-    keyed = sh.select(key, "sh", F.explode(F.array(*(F.struct(F.lit(b).alias("band"), F.xxhash64(*mins[b * rows : (b + 1) * rows]).alias("v")) for b in range(bands)))).alias("k")).select(key, "sh", "k.*")
-    a, b = keyed.select(F.col(key).alias("a"), F.col("sh").alias("sa"), "band", "v"), keyed.select(F.col(key).alias("b"), F.col("sh").alias("sb"), "band", "v")
-    both = F.size(F.array_intersect("sa", "sb"))
-    return a.join(b, ["band", "v"]).where("a < b").dropDuplicates(["a", "b"]).where(100 * both >= percent * (F.size("sa") + F.size("sb") - both)).select("a", "b")
+    return _similar_pairs(docs, lambda h, count: band_keys(h, count, bands, rows), percent, n, key).select("a", "b")

@@ -292,9 +292,14 @@ def sweep_exact(fps: DataFrame, taus: tuple[float, ...], bits: int = 256, key: s
 _PLACES = 1 << 22
 
 
-def _hash_sets(batch: pa.RecordBatch, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes of the shingle sets of a batch of (key, hashes of tokens), their sizes, and a name of each set."""
-    col = batch.column(1)
+def _slices(batches: Iterator[pa.RecordBatch], rows: int = 2000) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for s in range(0, len(batch), rows):
+            yield batch.slice(s, rows)
+
+
+def _hash_sets(col: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of the shingle sets of a column of hashes of tokens, their sizes, and a name of each set."""
     size = pc.fill_null(pc.list_value_length(col), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     h, count = shingle_hashes(col.flatten().to_numpy(zero_copy_only=False).view(np.uint64), size, n)
     name = np.zeros(len(count), np.uint64)
@@ -314,8 +319,8 @@ def _shingle_counts(hashed: DataFrame, n: int) -> np.ndarray:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(_PLACES, np.uint8)
-        for batch in batches:
-            h = _hash_sets(batch, n)[0]
+        for batch in _slices(batches):
+            h = _hash_sets(batch.column(1), n)[0]
             at, c = np.unique(h % np.uint64(_PLACES), return_counts=True)
             total[at] = np.minimum(total[at] + c, 255)
         parts = [(k, total[k * piece : (k + 1) * piece]) for k in range(_PLACES // piece)]
@@ -361,43 +366,41 @@ def _similar_pairs(docs: DataFrame, keys, percent: int, n: int, key: str, text_c
     """a, b, shared, total of the pairs of texts that have a key in common and Jaccard similarity of percent or more.
 
     keys: hashes of sets and their sizes -> their keys and how many each has. Shingles are 64-bit hashes. Equal sets are one node until the end; only keys, and the
-    sets of nodes that have a candidate, are exchanged.
+    texts of nodes that have a candidate, are exchanged.
     """
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            h, count, name = _hash_sets(batch, n)
+        for batch in _slices(batches):
+            h, count, name = _hash_sets(batch.column(1), n)
             got, many = keys(h, count)
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(many)]), pa.int32()), pa.array(got.view(np.int64)))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(name.view(np.int64)), pa.array(count.astype(np.int32)), lists], ["id", "name", "n", "keys"])
 
     rows = _stored(_hashed_tokens(docs, key, text_col).mapInArrow(keyed, "id long, name long, n int, keys array<long>").where("n > 0"))
-    nodes = rows.groupBy("name").agg(F.min_by(F.struct("n", "keys", "id"), "id").alias("x")).select("name", "x.*")
+    first = rows.groupBy("name").agg(F.min("id").alias("first"), F.count("*").alias("copies")).where("copies > 1")
+    copies = _stored(rows.select("name", "id").join(first.select("name", "first"), "name").where("id <> first").select("name", "id").distinct())
+    nodes = rows.join(copies, ["name", "id"], "left_anti")
     k = nodes.select("name", "n", F.explode("keys").alias("k"))
     a, b = k.select(F.col("name").alias("a"), F.col("n").alias("na"), "k"), k.select(F.col("name").alias("b"), F.col("n").alias("nb"), "k")
     size = (100 * F.col("nb").cast("long") >= percent * F.col("na").cast("long")) & (100 * F.col("na").cast("long") >= percent * F.col("nb").cast("long"))
     cand = _stored(a.join(b, "k").where((F.col("a") < F.col("b")) & size).select("a", "b").distinct())
-    live = cand.select(F.explode(F.array("a", "b")).alias("name")).distinct().join(rows.groupBy("name").agg(F.min("id").alias("id")), "name").select("id")
-
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            h, count, name = _hash_sets(batch, n)
-            yield pa.RecordBatch.from_arrays([pa.array(name.view(np.int64)), pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(count)]), pa.int32()), pa.array(h.view(np.int64)))], ["name", "h"])
+    live = _stored(cand.select(F.explode(F.array("a", "b")).alias("name")).distinct().join(rows.groupBy("name").agg(F.min("id").alias("id")), "name"))
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            left, right = batch.column(2), batch.column(3)
-            both = np.empty(len(batch), np.int64)
-            for i in range(len(batch)):
-                both[i] = len(np.intersect1d(left[i].values.to_numpy(), right[i].values.to_numpy(), assume_unique=True))
-            whole = pc.add(pc.list_value_length(left), pc.list_value_length(right)).to_numpy() - both
-            on = 100 * both >= percent * whole
+        for batch in _slices(batches):
+            (x, size, name), (y, other, mate) = (_hash_sets(batch.column(c), n) for c in (2, 3))
+            ends, stops = np.cumsum(size), np.cumsum(other)
+            both = np.array([len(np.intersect1d(x[e - c : e], y[f - d : f], assume_unique=True)) for e, c, f, d in zip(ends, size, stops, other)], np.int64)
+            whole = size + other - both
+            mine = (name.view(np.int64) == batch.column(0).to_numpy()) & (mate.view(np.int64) == batch.column(1).to_numpy())  # an id may stand for several texts
+            on = mine & (100 * both >= percent * whole)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(on)), batch.column(1).filter(pa.array(on)), pa.array(both[on].astype(np.int32)), pa.array(whole[on].astype(np.int32))], ["na", "nb", "shared", "total"])
 
-    live_docs = docs.join(live.select(F.col("id").alias(key)), key, "left_semi")
-    whole = _stored(_hashed_tokens(live_docs, key, text_col).mapInArrow(sets, "name long, h array<long>").dropDuplicates(["name"]))
-    full = cand.join(whole.select(F.col("name").alias("a"), F.col("h").alias("ha")), "a").join(whole.select(F.col("name").alias("b"), F.col("h").alias("hb")), "b")
-    near = full.select("a", "b", "ha", "hb").mapInArrow(verify, "na long, nb long, shared int, total int")
+    # texts are shuffled, which take a third of the room of their hashes
+    whole = docs.select(F.col(key).cast("long").alias("id"), F.col(text_col).alias("t")).join(live, "id").select("name", "t")
+    full = cand.join(whole.select(F.col("name").alias("a"), F.col("t").alias("ta")), "a").join(whole.select(F.col("name").alias("b"), F.col("t").alias("tb")), "b")
+    tokens = (F.transform(C.tokens(F.col(t)), lambda x: F.xxhash64(x)).alias(t) for t in ("ta", "tb"))
+    near = full.select("a", "b", *tokens).mapInArrow(verify, "na long, nb long, shared int, total int").dropDuplicates(["na", "nb"])
     left, right = rows.select(F.col("name").alias("na"), F.col("id").alias("x"), "n"), rows.select(F.col("name").alias("nb"), F.col("id").alias("y"))
     unlike = near.join(left.drop("n"), "na").join(right, "nb").where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "shared", "total")
     like = left.join(right, F.col("na") == F.col("nb")).where("x < y").select(F.col("x").alias("a"), F.col("y").alias("b"), F.col("n").alias("shared"), F.col("n").alias("total"))

@@ -133,30 +133,89 @@ def pairs_blocked(fps: DataFrame, d: int, bits: int = BITS60, key: str = "doc_id
     return x.where((F.col("dist") <= d) & ~earlier).select("a", "b", F.col("dist").cast("int").alias("dist"))
 
 
-def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int = 12, tables: int | None = None, seed: int = 5, key: str = "doc_id", recall: float = 0.99) -> DataFrame:
+def pairs_lsh(fps: DataFrame, tau: float = L.SIMILARITY, bits: int = 256, r: int = 12, tables: int | None = None, seed: int = 5, key: str = "doc_id", recall: float = 0.99, block: int = 1 << 18) -> DataFrame:
     """Pairs with similarity of tau or more among those that agree on r sampled bits in one of the tables: an approximate
     method (pairs_exact finds all). Unless given, there are so many tables that a pair at tau itself is met with
-    probability recall."""
+    probability recall.
+
+    Distinct fingerprints are dealt in blocks, and a cell of two blocks makes the keys of a share of the tables where it
+    compares, so that no row is exchanged for each table. A pair is emitted at the first table it meets in."""
     limit = int((1 - tau) * bits + 1e-9)
     if tables is None:
         meet = math.comb(bits - limit, r) / math.comb(bits, r)
         tables = max(1, math.ceil(math.log(1 - recall) / math.log1p(-meet))) if meet < 1 else 1
     rng = np.random.default_rng(seed)
     picks = [sorted(rng.choice(bits, r, replace=False).tolist()) for _ in range(tables)]
+    masks = np.zeros((tables, bits // 64), np.uint64)
+    for t, chosen in enumerate(picks):
+        for bit in chosen:
+            masks[t, bit // 64] |= np.uint64(1) << np.uint64(bit % 64)
+
+    def earlier(x: np.ndarray, t: int) -> np.ndarray:
+        """Which of the differences x agree on the bits of a table before t."""
+        met, left = np.zeros(len(x), bool), np.arange(len(x))
+        for s in range(0, t, 32):
+            part = x[left]
+            same = (part[:, None, 0] & masks[s : min(s + 32, t), 0]) == 0
+            for w in range(1, masks.shape[1]):
+                same &= (part[:, None, w] & masks[s : min(s + 32, t), w]) == 0
+            hit = same.any(axis=1)
+            met[left[hit]] = True
+            left = left[~hit]
+            if not len(left):
+                break
+        return met
 
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            fp = np.array(batch.column(1).to_pylist(), np.int64).view(np.uint64).reshape(len(batch), -1)
-            for t, chosen in enumerate(picks):
-                v = np.zeros(len(batch), np.int64)
-                for j, bit in enumerate(chosen):
-                    v |= ((fp[:, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1)).astype(np.int64) << j
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.full(len(batch), t, np.int32)), pa.array(v)], [key, "fp", "t", "v"])
-
-    keyed = fps.where("fp IS NOT NULL").select(F.col(key).cast("long").alias(key), "fp").mapInArrow(keys, f"{key} long, fp array<long>, t int, v long")
-    a, b = keyed.select(F.col(key).alias("a"), F.col("fp").alias("fa"), "t", "v"), keyed.select(F.col(key).alias("b"), F.col("fp").alias("fb"), "t", "v")
-    near = a.join(b, ["t", "v"]).where("a < b").withColumn("dist", distance(F.col("fa"), F.col("fb"))).where(F.col("dist") <= limit)
-    return near.select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
+    def run(cell: pa.Table) -> pa.Table:
+        i, j, g = (cell.column(c)[0].as_py() for c in ("i", "j", "g"))
+        ids, side = cell.column("id").to_numpy(), cell.column("own").to_numpy()
+        words = cell.column("fp").combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(ids), -1)
+        sides = [np.flatnonzero(side == x) for x in ((i,) if i == j else (i, j))]
+        found = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int32))]
+        for t in range(g, tables, groups):
+            ordered = []  # of each side: its rows by key, their words, where each key starts
+            for rows in sides:
+                v = np.zeros(len(rows), np.int64)
+                for k, bit in enumerate(picks[t]):
+                    v |= ((words[rows, bit // 64] >> np.uint64(bit % 64)) & np.uint64(1)).astype(np.int64) << k
+                order = np.argsort(v.astype(np.uint16) if r <= 16 else v, kind="stable")
+                key_of, first = np.unique(v[order], return_index=True)
+                ordered.append((rows[order], np.ascontiguousarray(words[rows[order]].T), key_of, np.append(first, len(rows))))
+            (left, lw, lk, ls), (right, rw, rk, rs) = ordered[0], ordered[-1]
+            _, p, q = np.intersect1d(lk, rk, assume_unique=True, return_indices=True)
+            a, b, c, d = ls[p], ls[p + 1], rs[q], rs[q + 1]
+            some = np.flatnonzero(b - a > 1) if i == j else np.arange(len(p))
+            for low, high, start, stop in zip(a[some].tolist(), b[some].tolist(), c[some].tolist(), d[some].tolist()):
+                step = max(1, (1 << 20) // (stop - start))
+                for s in range(low, high, step):
+                    e, begin = min(s + step, high), s if i == j else start
+                    dist = np.bitwise_count(lw[0, s:e, None] ^ rw[0, begin:stop]).astype(np.uint16)
+                    for w in range(1, len(lw)):
+                        dist += np.bitwise_count(lw[w, s:e, None] ^ rw[w, begin:stop])
+                    x, y = np.nonzero(dist <= limit)
+                    if i == j:
+                        x, y = x[y > x], y[y > x]
+                    if len(x):
+                        x, y, near = x + s, y + begin, dist[x, y].astype(np.int32)
+                        new = ~earlier((lw[:, x] ^ rw[:, y]).T, t)
+                        if new.any():
+                            found.append((ids[left[x[new]]], ids[right[y[new]]], near[new]))
+        x, y, dist = (np.concatenate(z) for z in zip(*found))
+        return pa.table({"x": x, "y": y, "dist": dist})
+
+    rows = _stored(fps.where(F.col("fp").isNotNull() & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), "fp"))
+    nodes = _stored(rows.groupBy("fp").agg(F.min("id").alias("id")))  # an id with two fingerprints may name two nodes
+    nodes = _stored(nodes.select(F.monotonically_increasing_id().alias("node"), "fp"))
+    members = _stored(rows.join(nodes, "fp").select("node", "id").distinct())
+    blocks = max(1, -(-nodes.count() // block))
+    groups = max(1, min(tables, -(-64 // (blocks * (blocks + 1)))))
+    dealt = _dealt(nodes, "node", block).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    cells = dealt.repartition(groups * blocks * (blocks + 1), "i", "j", "g")  # a cell costs seconds, not bytes: no coalescing by size
+    near = cells.groupBy("i", "j", "g").applyInArrow(run, "x long, y long, dist int")
+    one, other = members.toDF("x", "a"), members.toDF("y", "b")
+    unlike = near.join(one, "x").join(other, "y").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "dist")
+    like = one.join(other, F.col("x") == F.col("y")).where("a < b").select("a", "b", F.lit(0).alias("dist"))
+    return unlike.unionByName(like).select("a", "b", "dist", F.round(1 - F.col("dist") / bits, 6).alias("sim")).distinct()
 
 
 def _dealt(fps: DataFrame, key: str, block: int, ranged: bool = False) -> DataFrame:
